@@ -19,6 +19,8 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
+from .common import stash
+
 WEIGHTS = (5.0, 2.0, 1.0)
 EXACT, FINE, SALTS = 2048, 512, 64
 
@@ -96,9 +98,11 @@ def mix(df: DataFrame, text: str = "text", ident: str = "doc_id", source: str =
         *([F.struct("*").alias("_row")] if carry else []),
         F.col(ident).alias("_id"), F.coalesce(F.concat(F.lit("="), F.col(source).cast("string")), F.lit("")).alias("_k"), word_count(F.col(text)).alias("_size"),
     )
-    docs = docs.withColumns({"_bin": _bin(F.col("_size")), "_salt": F.pmod(F.xxhash64("_id"), F.lit(SALTS)).cast("int")})
-    # One pass over the texts: documents per source, bin and slice. Key `_k` stands for the source and is never null.
-    slices = docs.groupBy("_k", "_bin", "_salt").agg(F.count("*").alias("_n"), F.sum("_size").alias("_sum"))
+    # The texts are counted once; all else reads the small table of sizes. Key `_k` stands for the source and is never null.
+    sizes = stash(docs.select("_id", "_k", "_size"), "sizes")
+    placed = {"_bin": _bin(F.col("_size")), "_salt": F.pmod(F.xxhash64("_id"), F.lit(SALTS)).cast("int")}
+    docs, sizes = (docs if carry else sizes).withColumns(placed), sizes.withColumns(placed)
+    slices = sizes.groupBy("_k", "_bin", "_salt").agg(F.count("*").alias("_n"), F.sum("_size").alias("_sum"))
     hist = slices.groupBy("_k", "_bin").agg(F.sum("_n").alias("_n"), F.sum("_sum").alias("_sum"))
     totals = hist.groupBy("_k").agg(F.sum("_sum").alias("_total")).withColumn("_source", F.when(F.col("_k") != "", F.expr("substring(_k, 2)")))
     plan = source_targets(totals, weights, float(cap)).withColumn("_rate", dual_newton(F.col("_total"), F.col("_target"), float(cap)))
