@@ -12,12 +12,13 @@ doc_id are documents of their own, ordered by a hash of the text; an empty table
 
 from __future__ import annotations
 
+import functools
 import itertools
 import json
 import re
 import struct
 import uuid
-import zlib
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -31,7 +32,9 @@ MAGIC = b"DACIDS01"
 #: Bits of the bitmap that one entry of the rank directory stands for.
 RANK = 512
 #: A file is closed after so many ids; a longer document has a file of its own.
-FILE_IDS = 4_000_000
+FILE_IDS = 1_000_000
+_INNER_BLANK = re.compile(r" \s")
+_BIT_LENGTH = np.array([x.bit_length() for x in range(1 << 16)], np.uint8)
 FILES_SCHEMA = "part int, seq int, path string, docs long, ids long"
 
 
@@ -79,7 +82,12 @@ def _unpack(data: bytes, width: int, n: int) -> np.ndarray:
 def encode_file(ids: np.ndarray, doc_ids: list, lengths: np.ndarray) -> bytes:
     """The bytes of a file: magic, header, document table, then chunks, bitmap and rank directory of each level."""
     v = ids.astype(np.uint32)
-    widths = chunk_widths(np.bincount(np.frexp(v.astype(np.float64))[1], minlength=33))
+    if len(v) and v.max() < len(_BIT_LENGTH):
+        lengths_of = np.bincount(_BIT_LENGTH[v], minlength=34)
+    else:
+        reach = np.array([np.count_nonzero(v >> np.uint32(k)) for k in range(32)] + [0, 0])  # ids of more than k bits
+        lengths_of = np.r_[len(v) - reach[0], reach[:-1] - reach[1:]]
+    widths = chunk_widths(lengths_of)
     parts, levels, at = [], [], 0
 
     def add(data: bytes) -> int:
@@ -179,7 +187,7 @@ class CachedEncoder:
     alike alone and in their text; texts where a space precedes white space, or with a special token's string, go whole.
     """
 
-    def __init__(self, vocabulary: str, entries: int = 250_000):
+    def __init__(self, vocabulary: str, entries: int = 200_000):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(vocabulary)
@@ -189,42 +197,53 @@ class CachedEncoder:
         self.entries = entries
 
     def _encode(self, texts: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        """For each text its ids as little-endian unsigned 32-bit integers."""
-        split, missing, whole = [], {}, []
-        new, old = self.new, self.old
-        for k, text in enumerate(texts):
-            if re.search(r" \s", text) or text.endswith(" ") or any(s in text for s in self.special):
+        """For each text its ids as little-endian unsigned 32-bit integers. Keys of the cache are words without their space."""
+        new, split, heads, missing = self.new, [], [], set()
+        for text in texts:
+            if _INNER_BLANK.search(text) or text.endswith(" ") or any(s in text for s in self.special):
+                heads.append(text)
                 split.append(None)
-                whole.append(k)
                 continue
-            first, *rest = text.split(" ")
-            words = [first, *map(" ".__add__, rest)]
-            split.append(words)
-            for w in set(words):
-                if w not in new:
-                    found = old.get(w)
-                    if found is None:
-                        missing[w] = None
-                    else:
-                        new[w] = found
-        todo = list(missing)
-        for i in range(0, len(todo), 4096):
-            new.update(zip(todo[i: i + 4096], self._encode(todo[i: i + 4096])))
-        out = [b"" if words is None else b"".join(map(new.__getitem__, words)) for words in split]
-        for k in whole:
-            out[k] = self._encode([texts[k]])[0]
+            first, *words = text.split(" ")
+            heads.append(first)
+            ids = list(map(new.get, words))
+            gaps = []
+            if None in ids:
+                gaps = [i for i, x in enumerate(ids) if x is None]
+                missing.update([words[i] for i in gaps])
+            split.append((words, ids, gaps))
+        if missing:
+            found = {w: x for w in missing if (x := self.old.get(w)) is not None}
+            new.update(found)
+            todo = [w for w in missing if w not in found]
+            for i in range(0, len(todo), 4096):
+                part = todo[i: i + 4096]
+                new.update(zip(part, self._encode([f" {w}" for w in part])))
+        out = self._encode(heads)
+        for k, entry in enumerate(split):
+            if entry is not None:
+                words, ids, gaps = entry
+                for i in gaps:
+                    ids[i] = new[words[i]]
+                out[k] += b"".join(ids)
         if len(new) > self.entries:
             self.old, self.new = new, {}
         return out
 
 
+@functools.cache
+def worker_encoder(vocabulary: str) -> CachedEncoder:
+    """One encoder for all tasks of a Python worker."""
+    return CachedEncoder(vocabulary)
+
+
 def _file_writer(folder: str, vocabulary: str, end_id: int):
     def run(batches):
         fs, base = pafs.FileSystem.from_uri(folder)
-        encoder, end = CachedEncoder(vocabulary), struct.pack("<I", end_id)
+        encoder, end = worker_encoder(vocabulary), struct.pack("<I", end_id)
         part, seq, docs, ids, n = TaskContext.get().partitionId(), 0, [], [], 0
 
         def flush():
