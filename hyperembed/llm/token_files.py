@@ -34,6 +34,18 @@ RANK = 512
 #: A file is closed after so many ids; a longer document has a file of its own.
 FILE_IDS = 1_000_000
 _INNER_BLANK = re.compile(r" \s")
+#: A word of letters, then punctuation: the pre-tokeniser gives the letters with their space, then the punctuation.
+_SIMPLE = re.compile(r"([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u017f]+)([!-/:-@\[-`{-~]{0,8})")
+
+
+def _byte_letters() -> dict[int, str]:
+    """Byte-level BPE writes each byte as one letter: printable Latin-1 as itself, the others from U+0100 on."""
+    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    letter = {b: chr(b) for b in plain} | {b: chr(256 + k) for k, b in enumerate(x for x in range(256) if x not in plain)}
+    return {c: "".join(letter[b] for b in chr(c).encode()) for c in range(0x80, 0x180)}
+
+
+_BYTE_LEVEL = _byte_letters()
 _BIT_LENGTH = np.array([x.bit_length() for x in range(1 << 16)], np.uint8)
 FILES_SCHEMA = "part int, seq int, path string, docs long, ids long"
 
@@ -191,11 +203,16 @@ class CachedEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(vocabulary)
+        self.model, self.tails = self.tokenizer.model, {}
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.new: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
         self.entries = entries
 
+    def _piece(self, piece: str) -> bytes:
+        """Ids of one piece of the pre-tokeniser, already in its byte-level letters."""
+        return array("I", [t.id for t in self.model.tokenize(piece)]).tobytes()
+
     def _encode(self, texts: list[str]) -> list[bytes]:
         return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
@@ -219,8 +236,23 @@ class CachedEncoder:
             found = {w: x for w in missing if (x := self.old.get(w)) is not None}
             new.update(found)
             todo = [w for w in missing if w not in found]
-            for i in range(0, len(todo), 4096):
-                part = todo[i: i + 4096]
+            other = []
+            for w in todo:
+                m = _SIMPLE.fullmatch(w)
+                if m is None:
+                    other.append(w)
+                    continue
+                stem, tail = m.groups()
+                ids = new.get(stem) if tail else None
+                if ids is None:
+                    ids = new[stem] = self._piece(f"\u0120{stem if stem.isascii() else stem.translate(_BYTE_LEVEL)}")
+                if tail:
+                    end = self.tails.get(tail)
+                    if end is None:
+                        end = self.tails[tail] = self._piece(tail)
+                    new[w] = ids + end
+            for i in range(0, len(other), 4096):
+                part = other[i: i + 4096]
                 new.update(zip(part, self._encode([f" {w}" for w in part])))
         out = self._encode(heads)
         for k, entry in enumerate(split):

@@ -59,7 +59,8 @@ def test_codes_round_trip_and_random_access(n, top):
         assert file[int(i)] == ids[i]
 
 
-TEXTS = ["a b  c", " lead", "tail ", "x\n y", "x\n \ny", "it's 'tis   don't", "a \tb", "", "été  naïve 12 34,5!!", "<|endoftext|> x", "a\r\n\r\n b   c", "word " * 3000]
+TEXTS = ["a b  c", " lead", "tail ", "x\n y", "x\n \ny", "it's 'tis   don't", "a \tb", "", "été  naïve 12 34,5!!", "<|endoftext|> x", "a\r\n\r\n b   c", "word " * 3000,
+         "x école, Ærø! naïf... Straße? ŝi's l'été, (or) [a] b_c d__ e-f g&& h''", "x \u0142 \u03b1\u03b2, \u4e2d\u6587! e\u0301, \u00b5 \u00aa \u0130."]
 
 
 def test_cached_encoder_equals_the_library():
