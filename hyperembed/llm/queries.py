@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from . import exact_dedup as dedup, mixing, token_files, warc
+from . import exact_dedup as dedup, html_text, mixing, ngram_join, quality, token_files, toxicity, warc
 from .common import LOWER, UPPER, table
 
 
@@ -19,6 +19,14 @@ def op1_warc_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.archive_round_trip(table(spark, sf_dir, "pages")).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
+def op2_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.near_duplicate_classes(table(spark, sf_dir, "documents"))
+
+
+def op4_quality_votes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.judge(table(spark, sf_dir, "documents")).drop("quality")
+
+
 def op5_entropy_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents")).drop("copies", "rate")
 
@@ -28,15 +36,40 @@ def op7_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return docs.select("doc_id", "start", (F.octet_length("ids") / 4).cast("long").alias("n_tokens"), F.crc32("ids").alias("ids_crc32"))
 
 
+def op8_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_text.extract(table(spark, sf_dir, "pages"))
+
+
 def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup.exact_dedup(table(spark, sf_dir, "documents"))
 
 
+def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return toxicity.score(docs, toxicity.learn(docs, table(spark, sf_dir, "labels")))
+
+
 QUERIES = {f.__name__: f for f in (
-    op1_warc_archive, op5_entropy_mix, op7_token_files, op9_exact_dedup,
+    op1_warc_archive, op2_ngram_jaccard_join, op4_quality_votes, op5_entropy_mix, op7_token_files, op8_main_text, op9_exact_dedup, op10_toxicity,
 )}
 
 ORACLES = {
+    "op2_ngram_jaccard_join": f"""
+        WITH RECURSIVE words AS (
+            SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{UPPER}', '{LOWER}'), '[^\\x20\\x09-\\x0D]+') AS w FROM documents),
+        sets AS (
+            SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')]
+                ELSE list_distinct([array_to_string(w[i:i+4], ' ') FOR i IN range(1, len(w) - 3)]) END AS s FROM words),
+        groups AS (SELECT list_sort(s) AS k, min(doc_id) AS rep, max(len(s)) AS n FROM sets WHERE len(s) > 0 GROUP BY 1),
+        tokens AS (SELECT rep, n, unnest(k) AS t FROM groups),
+        overlap AS (SELECT a.rep AS x, b.rep AS y, any_value(a.n) AS nx, any_value(b.n) AS ny, count(*) AS c
+            FROM tokens a JOIN tokens b ON a.t = b.t AND a.rep < b.rep GROUP BY 1, 2),
+        links AS (SELECT x, y FROM overlap WHERE 100 * c >= 75 * (nx + ny - c)),
+        both_ways AS (SELECT x, y FROM links UNION ALL SELECT y, x FROM links),
+        reach(node, root) AS (SELECT rep, rep FROM groups UNION SELECT b.y, r.root FROM reach r JOIN both_ways b ON b.x = r.node),
+        class AS (SELECT node, min(root) AS c FROM reach GROUP BY node)
+        SELECT s.doc_id, CAST(len(s.s) AS BIGINT) AS n_shingles, coalesce(class.c, s.doc_id) AS component_id
+        FROM sets s LEFT JOIN groups g ON g.k = list_sort(s.s) AND len(s.s) > 0 LEFT JOIN class ON class.node = g.rep""",
     "op9_exact_dedup": f"""
         WITH n AS (SELECT doc_id, translate(coalesce(text, ''), '{UPPER}', '{LOWER}') AS t FROM documents)
         SELECT doc_id, max(doc_id) OVER w AS keep_id, count(*) OVER w AS group_size,
