@@ -36,7 +36,9 @@ MAP_BITS = 26
 #: A token is frequent from so many sets on: the least of these that fills at most a quarter of the bitmap, else the last.
 LEVELS = (16, 64, 256)
 SUBCLASS_SHARE = 0.15
-FLUSH = 4_000_000
+FLUSH = 2_000_000
+#: Sizes of candidates are compared in steps of this logarithm: five steps cover a ratio of 4/3.
+STEP = np.log(1.07)
 U = np.uint64
 _MIX1, _MIX2, _STEP = U(0xBF58476D1CE4E5B9), U(0x94D049BB133111EB), U(0x9E3779B97F4A7C15)
 
@@ -93,8 +95,29 @@ def band_of(n: int) -> int:
 
 
 def handle_of(key: bytes, n: int) -> int:
-    """56 bits of the key and the band of the size; need not be unique, since candidates are verified by key."""
-    return (int.from_bytes(key[:7], "little") << 8 | min(band_of(n), 255)) - (1 << 63)
+    """56 bits of the key and a step of the size; need not be unique, since candidates are verified by key."""
+    return (int.from_bytes(key[:7], "little") << 8 | min(255, int(np.log(n) / STEP))) - (1 << 63)
+
+
+def profile_of(s: np.ndarray) -> bytes:
+    """Tokens of the set by upper bits of a hash, in as many classes (a power of two) as it has tokens, or up to twice that.
+
+    The sum of the lesser counts of two profiles bounds the overlap of their sets from above. Counts stop at 255, which
+    no real class reaches: there are as many classes as tokens.
+    """
+    bits = max(3, int(len(s) - 1).bit_length())
+    return np.minimum(255, np.bincount((mix64(s) >> U(64 - bits)).astype(np.int64), minlength=1 << bits)).astype(np.uint8).tobytes()
+
+
+def overlap_bound(a: bytes, b: bytes) -> int:
+    """Upper bound of the overlap of two sets, from their profiles."""
+    x, y = (np.frombuffer(p, np.uint8).astype(np.int32) for p in (a, b))
+    while len(x) > len(y):
+        x = x[::2] + x[1::2]
+    while len(y) > len(x):
+        y = y[::2] + y[1::2]
+    full = (x >= 255) | (y >= 255)
+    return int(np.minimum(x, y).sum()) + (1 << 40) * bool(full.any())
 
 
 def prefix_signatures(s: np.ndarray, frequent: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -192,111 +215,115 @@ def _frequent_segments(bits: int, levels):
     return run
 
 
-def frequent_tokens(docs: DataFrame, bits: int, words: int = WORDS, levels=LEVELS) -> tuple[np.ndarray, int]:
-    """(bitmap of 2 ** MAP_BITS bits, level) over all texts; the driver holds that fixed size and no more."""
+def frequent_tokens(docs: DataFrame, bits: int, words: int = WORDS, levels=LEVELS) -> tuple[np.ndarray, np.ndarray, int]:
+    """(bitmap of shared tokens, of frequent tokens, level) over all texts, 2 ** MAP_BITS bits each; the driver holds no more.
+
+    Shared tokens are those that two sets or more hold; others cannot lead to a partner.
+    """
+    levels = (2, *levels)
     pieces = docs.mapInArrow(_token_pieces(bits, words), "block int, tokens binary")
     columns = ["block int", *(f"n{k} long" for k in range(len(levels))), *(f"map{k} binary" for k in range(len(levels)))]
     segments = stash(pieces.groupBy("block").applyInArrow(_frequent_segments(bits, levels), ", ".join(columns)), "frequent")
     sums = segments.agg(*[F.sum(f"n{k}").alias(f"n{k}") for k in range(len(levels))]).first()
-    k = next((k for k in range(len(levels)) if (sums[k] or 0) <= 1 << (MAP_BITS - 2)), len(levels) - 1)
-    bitmap = np.zeros(1 << (MAP_BITS - 3), np.uint8)
+    k = next((k for k in range(1, len(levels)) if (sums[k] or 0) <= 1 << (MAP_BITS - 2)), len(levels) - 1)
+    maps = [np.zeros(1 << (MAP_BITS - 3), np.uint8) for _ in range(2)]
     size = 1 << (MAP_BITS - 3 - bits)
-    for r in segments.where(F.col(f"map{k}").isNotNull()).select("block", f"map{k}").toLocalIterator():
-        bitmap[r[0] * size: (r[0] + 1) * size] = np.frombuffer(r[1], np.uint8)
-    return bitmap, levels[k]
+    for r in segments.where("map0 is not null").select("block", "map0", f"map{k}").toLocalIterator():
+        for bitmap, x in zip(maps, r[1:]):
+            if x is not None:
+                bitmap[r[0] * size: (r[0] + 1) * size] = np.frombuffer(x, np.uint8)
+    return maps[0], maps[1], levels[k]
 
 
-def is_frequent(s: np.ndarray, bitmap: np.ndarray) -> np.ndarray:
+def is_marked(s: np.ndarray, bitmap: np.ndarray) -> np.ndarray:
     place = (s >> U(64 - MAP_BITS)).astype(np.int64)
     return (bitmap[place >> 3] >> (7 - (place & 7)).astype(np.uint8) & 1).astype(bool)
 
 
-NODES = "key binary, handle long, n long, pairs array<long>"
+#: Rows of documents (block is null), and pieces of the index by block; block -1 holds stars.
+INDEX = "key binary, handle long, n long, pairs array<long>, profile binary, block int, sigs binary, singles int, handles binary"
 
 
-def _node_rows(bitmap, kind: pa.DataType, words: int):
-    """A row per document; token-pair signatures only at the first document of a set in its partition."""
-    names = ["_id", "key", "handle", "n", "pairs"]
-    types = [kind, pa.binary(), pa.int64(), pa.int64(), pa.list_(pa.int64())]
-
-    def run(batches):
-        rows = []
-        for ident, s, key, n in _fresh_sets(batches, Shingler(words)):
-            pairs = None
-            if s is not None and ident is not None:
-                combos = prefix_signatures(s, is_frequent(s, bitmap.value))[1]
-                pairs = combos.view(np.int64) if len(combos) else None
-            rows.append((ident, key, handle_of(key, n) if key else None, n, pairs))
-            if len(rows) >= 2000:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), types)], names)
-                rows = []
-        if rows:
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), types)], names)
-
-    return run
+def _index_rows(shared, frequent, bits: int, kind: pa.DataType, words: int):
+    """One pass over the texts of a partition: a row per document, and its index entries by block.
 
+    Signatures of token pairs and the profile stand at the first document of a set. Buckets of token pairs keep their first
+    member of the partition, the others give a star; buckets of single tokens keep all.
+    """
+    names = ["_id", "key", "handle", "n", "pairs", "profile", "block", "sigs", "singles", "handles"]
+    types = [kind, pa.binary(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.binary(), pa.int32(), pa.binary(), pa.int32(), pa.binary()]
 
-def _bucket_pieces(bitmap, bits: int, words: int):
-    """Index entries of a partition by block; buckets of token pairs keep their first member, the others give a star."""
+    def batch(rows):
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), types)], names)
 
     def flush(parts):
-        sig = np.concatenate([p[0] for p in parts])
-        sizes = [len(p[0]) for p in parts]
-        handle = np.repeat(np.array([p[1] for p in parts], np.int64), sizes)
-        combo = np.concatenate([np.arange(len(p[0])) >= p[2] for p in parts])
-        sig = (sig & ~U(1)) | combo.astype(U)
-        order = np.lexsort((handle, sig))
-        sig, handle, combo = sig[order], handle[order], combo[order]
-        first = np.r_[True, sig[1:] != sig[:-1]]
-        head = handle[np.maximum.accumulate(np.where(first, np.arange(len(sig)), 0))]
-        star = combo & ~first & (handle != head)
-        edges = np.unique(np.stack([head[star], handle[star]]), axis=1) if star.any() else np.zeros((2, 0), np.int64)
-        keep = ~combo | first
-        rows = list(_blocks(sig[keep], bits, handle[keep].astype("<i8"), (sig[keep] & U(1)).astype(np.uint8)))
-        rows.append((-1, None, edges.astype("<i8").tobytes(), None))
-        return pa.RecordBatch.from_arrays(
-            [pa.array([r[0] for r in rows], pa.int32()), *(pa.array([r[k] for r in rows], pa.binary()) for k in (1, 2, 3))], ["block", "sigs", "handles", "combo"]
-        )
+        out = []
+        blocks: dict[int, list] = {}
+        for which in (0, 1):
+            sig = np.concatenate([p[which] for p in parts])
+            handle = np.repeat(np.array([p[2] for p in parts], np.int64), [len(p[which]) for p in parts])
+            order = np.lexsort((handle, sig))
+            sig, handle = sig[order], handle[order]
+            if which and len(sig):
+                first = np.r_[True, sig[1:] != sig[:-1]]
+                head = handle[np.maximum.accumulate(np.where(first, np.arange(len(sig)), 0))]
+                star = ~first & (handle != head)
+                if star.any():
+                    edges = np.unique(np.stack([head[star], handle[star]]), axis=1)
+                    out.append((*[None] * 6, -1, None, None, edges.astype("<i8").tobytes()))
+                sig, handle = sig[first], handle[first]
+            for block, low, own in _blocks(sig, bits, handle.astype("<i8")) if len(sig) else ():
+                blocks.setdefault(block, [b"", b"", b"", b""])[2 * which: 2 * which + 2] = [low, own]
+        for block, (low, own, low2, own2) in blocks.items():
+            out.append((*[None] * 6, block, low + low2, len(low) // 4, own + own2))
+        return batch(out) if out else None
 
     def run(batches):
-        parts, n = [], 0
+        rows, parts, n = [], [], 0
         for ident, s, key, size in _fresh_sets(batches, Shingler(words)):
-            if s is None or ident is None:
-                continue
-            singles, combos = prefix_signatures(s, is_frequent(s, bitmap.value))
-            parts.append((np.concatenate([mix64(singles + U(77)), combos]), handle_of(key, size), len(singles)))
-            n += len(parts[-1][0])
+            handle = handle_of(key, size) if key else None
+            pairs = profile = None
+            if s is not None and ident is not None:
+                singles, combos = prefix_signatures(s, is_marked(s, frequent.value))
+                singles = singles[is_marked(singles, shared.value)]
+                if len(singles) or len(combos):
+                    parts.append((np.sort(mix64(singles + U(77))), combos, handle))
+                    n += len(singles) + len(combos)
+                    profile = profile_of(s)
+                pairs = combos.view(np.int64) if len(combos) else None
+            rows.append((ident, key, handle, size, pairs, profile, None, None, None, None))
+            if len(rows) >= 2000:
+                yield batch(rows)
+                rows = []
             if n >= FLUSH:
-                yield flush(parts)
+                if (b := flush(parts)) is not None:
+                    yield b
                 parts, n = [], 0
-        if n:
-            yield flush(parts)
+        if rows:
+            yield batch(rows)
+        if n and (b := flush(parts)) is not None:
+            yield b
 
     return run
 
 
-def _spread_stars(bits: int):
-    """Stars go to blocks of their own size: no block gathers those of all partitions."""
-
-    def run(batches):
-        for b in batches:
-            for block, handles in zip(b.column("block").to_pylist(), b.column("handles").to_pylist()):
-                if block == -1:
-                    e = np.frombuffer(handles, "<i8").reshape(2, -1)
-                    yield pa.RecordBatch.from_arrays([pa.array(e[0]), pa.array(e[1])], ["a", "b"])
-
-    return run
+def _star_rows(batches):
+    for b in batches:
+        for handles in b.column(0).to_pylist():
+            e = np.frombuffer(handles, "<i8").reshape(2, -1)
+            meet = _sizes_meet(e[0], e[1])
+            yield pa.RecordBatch.from_arrays([pa.array(e[0][meet]), pa.array(e[1][meet])], ["a", "b"])
 
 
-def _bands_meet(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    return np.abs((a & 255) - (b & 255)) <= 1
+def _sizes_meet(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    return np.abs((a & 255) - (b & 255)) <= 5
 
 
 def _bucket_pairs(key, t):
     """Candidates of one block: all pairs of a rare token's bucket, a star for a token pair's bucket."""
     sig = np.concatenate([np.frombuffer(x, "<u4") for x in t.column("sigs").to_pylist()]).astype(U)
     handle = np.concatenate([np.frombuffer(x, "<i8") for x in t.column("handles").to_pylist()])
-    combo = np.concatenate([np.frombuffer(x, np.uint8) for x in t.column("combo").to_pylist()]).astype(bool)
+    combo = np.concatenate([np.arange(len(x) // 4) >= k for x, k in zip(t.column("sigs").to_pylist(), t.column("singles").to_pylist())])
     sig = sig << U(1) | combo.astype(U)
     order = np.lexsort((handle, sig))
     sig, handle, combo = sig[order], handle[order], combo[order]
@@ -305,6 +332,7 @@ def _bucket_pairs(key, t):
     first = np.r_[True, sig[1:] != sig[:-1]]
     head = handle[np.maximum.accumulate(np.where(first, np.arange(len(sig)), 0))]
     star = combo & ~first
+    star[star] = _sizes_meet(head[star], handle[star])
     found = [np.stack([head[star], handle[star]])]
     size = np.diff(np.r_[np.flatnonzero(first), len(sig)])
     alone = np.repeat((size > 1), size) & ~combo
@@ -314,21 +342,30 @@ def _bucket_pairs(key, t):
         if not same.any():
             break
         a, b = h[:-lag][same], h[lag:][same]
-        meet = _bands_meet(a, b)
+        meet = _sizes_meet(a, b)
         found.append(np.unique(np.stack([a[meet], b[meet]]), axis=1))
     e = np.unique(np.concatenate(found, axis=1), axis=1)
     return pa.table({"a": e[0], "b": e[1]})
 
 
+def _bound_filter(batches):
+    """Keys of pairs whose profiles leave room for the similarity."""
+    for b in batches:
+        keep = []
+        for na, nb, pa_, pb in zip(*(b.column(c).to_pylist() for c in ("na", "nb", "pa", "pb"))):
+            same = min(overlap_bound(pa_, pb), na, nb)
+            keep.append(100 * same >= 75 * (na + nb - same))
+        yield b.filter(pa.array(keep, pa.bool_())).select(["a", "b"])
+
+
 def _set_rows(words: int):
     def run(batches):
         shingler = Shingler(words)
         for b in batches:
             for at in range(0, b.num_rows, 64):
-                rows = [(set_key(s), s) for s in map(shingler, b.column(1).slice(at, 64).to_pylist()) if len(s)]
+                sets = [s for s in map(shingler, b.column(1).slice(at, 64).to_pylist()) if len(s)]
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array([k for k, _ in rows], pa.binary()), pa.array([handle_of(k, len(s)) for k, s in rows], pa.int64()),
-                     pa.array([s.view(np.int64) for _, s in rows], pa.list_(pa.int64()))], ["key", "handle", "tokens"])
+                    [pa.array([set_key(s) for s in sets], pa.binary()), pa.array([s.view(np.int64) for s in sets], pa.list_(pa.int64()))], ["key", "tokens"])
 
     return run
 
@@ -365,67 +402,67 @@ class ShingleJoin:
         self.kind = df.schema[ident].dataType
         self.docs = df.select(F.col(ident).alias("_id"), F.col(text).alias("_text"))
         self.bits = max(6, min(18, int(self.spark.conf.get("spark.sql.shuffle.partitions")).bit_length() + 1))
-        bitmap, self.level = frequent_tokens(self.docs, self.bits, words)
-        self.bitmap = self.spark.sparkContext.broadcast(bitmap)
+        shared, frequent, self.level = frequent_tokens(self.docs, self.bits, words)
+        shared, frequent = (self.spark.sparkContext.broadcast(m) for m in (shared, frequent))
         arrow = pa.string() if self.kind.simpleString() == "string" else pa.int32() if self.kind.simpleString() == "int" else pa.int64()
-        rows = self.docs.mapInArrow(_node_rows(self.bitmap, arrow, words), f"_id {self.kind.simpleString()}, {NODES}")
-        self.rows = stash(rows, "nodes")
+        self.index = stash(self.docs.mapInArrow(_index_rows(shared, frequent, self.bits, arrow, words), f"_id {self.kind.simpleString()}, {INDEX}"), "index")
+        self.rows = self.index.where("block is null").select("_id", "key", "handle", "n")
 
     def candidates(self) -> DataFrame:
         """Distinct (a, b) handles, a < b, from the buckets."""
-        pieces = self.docs.mapInArrow(_bucket_pieces(self.bitmap, self.bits, self.words), "block int, sigs binary, handles binary, combo binary")
-        pieces = stash(pieces, "buckets")
-        stars = pieces.where("block = -1").mapInArrow(_spread_stars(self.bits), "a long, b long")
-        pairs = pieces.where("block >= 0").groupBy("block").applyInArrow(_bucket_pairs, "a long, b long")
+        stars = self.index.where("block = -1").select("handles").mapInArrow(_star_rows, "a long, b long")
+        pieces = self.index.where("block >= 0").select("block", "sigs", "singles", "handles")
+        pairs = pieces.groupBy("block").applyInArrow(_bucket_pairs, "a long, b long")
         return stash(pairs.union(stars).where("a != b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "candidates")
 
-    def verify(self, pairs: DataFrame) -> DataFrame:
-        """(a, b) keys of the candidate pairs that link, on whole sets."""
+    def plausible(self, pairs: DataFrame) -> DataFrame:
+        """(a, b) keys, a < b, of the pairs of handles that their profiles do not rule out."""
+        profiles = self.index.where("profile is not null").select("handle", "key", "n", "profile")
         wanted = pairs.select(F.explode(F.array("a", "b")).alias("handle")).distinct()
-        ids = self.rows.where("_id is not null").select("_id", "handle", "key").join(wanted, "handle", "left_semi").groupBy("key").agg(F.min("_id").alias("_id"))
+        profiles = stash(profiles.join(wanted, "handle", "left_semi").dropDuplicates(["key"]), "profiles")
+        side = lambda x: profiles.select(F.col("handle").alias(f"h{x}"), F.col("key").alias(x), F.col("n").alias(f"n{x}"), F.col("profile").alias(f"p{x}"))
+        both = pairs.withColumnsRenamed({"a": "ha", "b": "hb"}).join(side("b"), "hb").join(side("a"), "ha").where("4 * na >= 3 * nb and 4 * nb >= 3 * na and a != b")
+        left = both.select("a", "b", "na", "nb", "pa", "pb").mapInArrow(_bound_filter, "a binary, b binary")
+        return stash(left.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "plausible")
+
+    def verify(self, pairs: DataFrame) -> DataFrame:
+        """Of pairs of keys those that link, on whole sets."""
+        wanted = pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct()
+        ids = self.rows.where("_id is not null").select("_id", "key").join(wanted, "key", "left_semi").groupBy("key").agg(F.min("_id").alias("_id"))
         ids = maybe_broadcast(stash(ids.select("_id").distinct(), "wanted"), 32)
-        sets = self.docs.join(ids, "_id", "left_semi").select("_id", "_text").mapInArrow(_set_rows(self.words), "key binary, handle long, tokens array<long>")
-        sets = stash(sets, "sets")
-        b = sets.select(F.col("handle").alias("b"), F.col("key").alias("kb"), F.col("tokens").alias("tb"))
-        a = sets.select(F.col("handle").alias("a"), F.col("key").alias("ka"), F.col("tokens").alias("ta"))
-        both = pairs.join(b, "b").join(a, "a").where("4 * size(ta) >= 3 * size(tb) and 4 * size(tb) >= 3 * size(ta)")
-        both = both.withColumn("same", F.size(F.array_intersect("ta", "tb")))
-        return both.where("100 * same >= 75 * (size(ta) + size(tb) - same)").select(F.least("ka", "kb").alias("a"), F.greatest("ka", "kb").alias("b")).where("a != b").distinct()
-
-    def labelled(self, links: DataFrame) -> DataFrame:
-        """(handle, label): the class of each linked node so far."""
-        roots = components(links)
-        nodes = self.rows.where("_id is not null").select("key", "handle").distinct()
-        return stash(nodes.join(roots, nodes["key"] == roots["node"]).select("handle", F.col("root").alias("label")).distinct(), "labels")
-
-    def _apart(self, pairs: DataFrame, labels: DataFrame) -> DataFrame:
-        a = labels.select(F.col("handle").alias("a"), F.col("label").alias("la"))
-        b = labels.select(F.col("handle").alias("b"), F.col("label").alias("lb"))
-        return pairs.join(a, "a", "left").join(b, "b", "left").where("la is null or lb is null or la != lb").select("a", "b").distinct()
+        sets = self.docs.join(ids, "_id", "left_semi").select("_id", "_text").mapInArrow(_set_rows(self.words), "key binary, tokens array<long>")
+        sets = stash(sets.join(wanted, "key", "left_semi"), "sets")
+        a, b = (sets.select(F.col("key").alias(x), F.col("tokens").alias(f"t{x}")) for x in "ab")
+        both = pairs.join(b, "b").join(a, "a").withColumn("same", F.size(F.array_intersect("ta", "tb")))
+        return both.where("100 * same >= 75 * (size(ta) + size(tb) - same)").select("a", "b").distinct()
+
+    def _apart(self, pairs: DataFrame, links: DataFrame) -> DataFrame:
+        """Pairs whose members the links so far do not join."""
+        roots = stash(components(links), "roots")
+        a, b = (roots.select(F.col("node").alias(x), F.col("root").alias(f"r{x}")) for x in "ab")
+        return pairs.join(a, "a", "left").join(b, "b", "left").where("ra is null or rb is null or ra != rb").select("a", "b")
 
     def links(self) -> DataFrame:
         """(a, b) keys: links enough to give every class; a link between members of one class may be left out."""
-        pairs = self.candidates()
+        tried = self.candidates()
+        pairs = self.plausible(tried)
         # First each node with its least neighbour: most classes are whole after that.
         near = pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
         links = stash(self.verify(near), "links")
-        labels = self.labelled(links)
-        rest = stash(self._apart(pairs, labels).join(near, ["a", "b"], "left_anti"), "rest")
+        rest = stash(self._apart(pairs, links).join(near, ["a", "b"], "left_anti"), "rest")
         links = stash(links.union(self.verify(rest)), "links")
-        tried = pairs
         # Buckets of token pairs were tried as stars; members of different classes meet now.
-        members = self.rows.where("pairs is not null").select("handle", F.explode("pairs").alias("sig")).distinct()
+        members = self.index.where("pairs is not null").select("handle", "key", F.explode("pairs").alias("sig"))
         if not members.limit(1).count():
             return links
-        labels = self.labelled(links)
-        named = members.join(labels, "handle", "left").withColumn("label", F.coalesce("label", F.hex(F.col("handle").cast("string")).cast("binary")))
+        roots = stash(components(links), "roots")
+        named = members.join(roots, members["key"] == roots["node"], "left").select("handle", "sig", F.coalesce("root", "key").alias("label")).distinct()
         open_ = named.groupBy("sig").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo != hi").select("sig")
         left = stash(named.join(open_, "sig", "left_semi"), "open")
-        a = left.select("sig", F.col("handle").alias("a"), F.col("label").alias("la"))
-        b = left.select("sig", F.col("handle").alias("b"), F.col("label").alias("lb"))
-        cross = a.join(b, "sig").where("la != lb and a < b and abs((a & 255) - (b & 255)) <= 1").select("a", "b").distinct()
+        a, b = (left.select("sig", F.col("handle").alias(x), F.col("label").alias(f"l{x}")) for x in "ab")
+        cross = a.join(b, "sig").where("la != lb and a < b and abs((a & 255) - (b & 255)) <= 5").select("a", "b").distinct()
         cross = stash(cross.join(tried, ["a", "b"], "left_anti"), "cross")
-        return stash(links.union(self.verify(cross)), "links")
+        return stash(links.union(self.verify(self.plausible(cross))), "links")
 
 
 def near_duplicate_classes(df: DataFrame, text: str = "text", ident: str = "doc_id", carry: bool = False, words: int = WORDS) -> DataFrame:
@@ -437,7 +474,7 @@ def near_duplicate_classes(df: DataFrame, text: str = "text", ident: str = "doc_
     classes = named.groupBy("root").agg(F.min("_least").alias("_class"))
     # Only sets of several documents, and linked ones, have a class beyond themselves.
     table = stash(named.where("linked or _size > 1").join(classes, "root").select("key", "_class"), "classes")
-    rows = join.rows.drop("pairs", "handle").join(maybe_broadcast(table, 64), "key", "left")
+    rows = join.rows.drop("handle").join(maybe_broadcast(table, 64), "key", "left")
     rows = rows.select("_id", "n", F.when(F.col("_id").isNotNull(), F.coalesce("_class", "_id")).alias("_class"))
     if not carry:
         return rows.select(F.col("_id").alias(ident), F.col("n").alias("n_shingles"), F.col("_class").alias("component_id"))
