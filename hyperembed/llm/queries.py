@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, functions as F
+from pyspark.sql import DataFrame, SparkSession
 
 from . import exact_dedup as dedup, html_text, mixing, ngram_join, quality, token_files, toxicity, warc
 from .common import LOWER, UPPER, table
@@ -32,8 +32,7 @@ def op5_entropy_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = token_files.tokens_round_trip(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))
-    return docs.select("doc_id", "start", (F.octet_length("ids") / 4).cast("long").alias("n_tokens"), F.crc32("ids").alias("ids_crc32"))
+    return token_files.tokens_round_trip(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"), digest=True)
 
 
 def op8_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:

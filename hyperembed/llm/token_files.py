@@ -18,6 +18,7 @@ import json
 import re
 import struct
 import uuid
+import zlib
 from array import array
 
 import numpy as np
@@ -31,11 +32,14 @@ from .common import new_folder, stash
 MAGIC = b"DACIDS01"
 #: Bits of the bitmap that one entry of the rank directory stands for.
 RANK = 512
+#: Chunk widths to choose from, in bits.
+WIDTHS = (4, 8, 16)
 #: A file is closed after so many ids; a longer document has a file of its own.
 FILE_IDS = 1_000_000
-_INNER_BLANK = re.compile(r" \s")
+#: White space runs; texts with them are encoded whole.
+_INNER_BLANK = re.compile(r"[ \n]\s|\s\n")
 #: A word of letters, then punctuation: the pre-tokeniser gives the letters with their space, then the punctuation.
-_SIMPLE = re.compile(r"([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u017f]+)([!-/:-@\[-`{-~]{0,8})")
+_SIMPLE = re.compile(r"([\0\n]?)([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u017f]+)([!-/:-@\[-`{-~]{0,8})")
 
 
 def _byte_letters() -> dict[int, str]:
@@ -51,13 +55,13 @@ FILES_SCHEMA = "part int, seq int, path string, docs long, ids long"
 
 
 def chunk_widths(lengths: np.ndarray) -> list[int]:
-    """Widths (of 2, 4, 8 or 16 bits, lowest first) with the fewest bits in all; lengths[k] is the number of ids of k bits."""
+    """Widths (of WIDTHS, lowest first) with the fewest bits in all; lengths[k] is the number of ids of k bits."""
     top = max(1, int(np.flatnonzero(lengths).max()) if lengths.any() else 1)
     longer = lengths[::-1].cumsum()[::-1]  # ids of at least k bits
     best, bits = {0: (0.0, [])}, 0
-    for bits in range(2, top + 18, 2):
+    for bits in range(2, top + max(WIDTHS) + 2, 2):
         found = []
-        for w in (2, 4, 8, 16):
+        for w in WIDTHS:
             if bits - w in best and bits - w < top:
                 n = lengths.sum() if bits == w else (longer[bits - w + 1] if bits - w + 1 < len(longer) else 0)
                 cost, widths = best[bits - w]
@@ -204,6 +208,7 @@ class CachedEncoder:
 
         self.tokenizer = Tokenizer.from_file(vocabulary)
         self.model, self.tails = self.tokenizer.model, {}
+        (self.line_feed,) = self._encode(["\n"])
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.new: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
@@ -217,15 +222,17 @@ class CachedEncoder:
         return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        """For each text its ids as little-endian unsigned 32-bit integers. Keys of the cache are words without their space."""
-        new, split, heads, missing = self.new, [], [], set()
-        for text in texts:
-            if _INNER_BLANK.search(text) or text.endswith(" ") or any(s in text for s in self.special):
-                heads.append(text)
+        """For each text its ids as little-endian unsigned 32-bit integers.
+
+        Keys of the cache: words without the space before them; words after a line feed with it; a text's first word after a NUL.
+        """
+        new, split, whole, missing = self.new, [], [], set()
+        for k, text in enumerate(texts):
+            if _INNER_BLANK.search(text) or text.endswith(" ") or "\0" in text or any(s in text for s in self.special):
                 split.append(None)
+                whole.append(k)
                 continue
-            first, *words = text.split(" ")
-            heads.append(first)
+            words = f"\0{text}".replace("\n", " \n").split(" ")
             ids = list(map(new.get, words))
             gaps = []
             if None in ids:
@@ -235,17 +242,21 @@ class CachedEncoder:
         if missing:
             found = {w: x for w in missing if (x := self.old.get(w)) is not None}
             new.update(found)
-            todo = [w for w in missing if w not in found]
             other = []
-            for w in todo:
+            for w in missing:
+                if w in found:
+                    continue
                 m = _SIMPLE.fullmatch(w)
                 if m is None:
                     other.append(w)
                     continue
-                stem, tail = m.groups()
-                ids = new.get(stem) if tail else None
+                lead, stem, tail = m.groups()
+                head = f"{lead}{stem}"
+                ids = new.get(head) if tail else None
                 if ids is None:
-                    ids = new[stem] = self._piece(f"\u0120{stem if stem.isascii() else stem.translate(_BYTE_LEVEL)}")
+                    letters = stem if stem.isascii() else stem.translate(_BYTE_LEVEL)
+                    ids = self._piece(f"\u0120{letters}") if not lead else self._piece(letters) if lead == "\0" else self.line_feed + self._piece(letters)
+                    new[head] = ids
                 if tail:
                     end = self.tails.get(tail)
                     if end is None:
@@ -253,14 +264,16 @@ class CachedEncoder:
                     new[w] = ids + end
             for i in range(0, len(other), 4096):
                 part = other[i: i + 4096]
-                new.update(zip(part, self._encode([f" {w}" for w in part])))
-        out = self._encode(heads)
+                new.update(zip(part, self._encode([w[1:] if w[:1] == "\0" else w if w[:1] == "\n" else f" {w}" for w in part])))
+        out = [b""] * len(texts)
         for k, entry in enumerate(split):
             if entry is not None:
                 words, ids, gaps = entry
                 for i in gaps:
                     ids[i] = new[words[i]]
-                out[k] += b"".join(ids)
+                out[k] = b"".join(ids)
+        for k, ids in zip(whole, self._encode([texts[k] for k in whole])):
+            out[k] = ids
         if len(new) > self.entries:
             self.old, self.new = new, {}
         return out
@@ -319,7 +332,7 @@ def write_token_files(df: DataFrame, folder: str, vocabulary: str, end_id: int =
     return files.join(sizes, "part").withColumn("start", F.col("_before") + F.coalesce(F.sum("ids").over(inside), F.lit(0))).drop("_before")
 
 
-def _file_reader(folder: str):
+def _file_reader(folder: str, digest: bool):
     def run(batches):
         fs, _ = pafs.FileSystem.from_uri(folder)
         for b in batches:
@@ -328,21 +341,25 @@ def _file_reader(folder: str):
                     file = TokenFile(f)
                     ids, (docs, ends) = file.all_ids().astype("<u4"), file.documents()
                 starts = np.r_[0, ends[:-1]] if len(ends) else ends
+                data = memoryview(ids).cast("B")
+                if digest:
+                    crc = [zlib.crc32(data[4 * s: 4 * e]) for s, e in zip(starts.tolist(), ends.tolist())]
+                    yield pa.RecordBatch.from_arrays([pa.array(docs, pa.int64()), pa.array(starts + start, pa.int64()), pa.array(ends - starts, pa.int64()), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
+                    continue
                 for at in range(0, len(docs), 256):
                     k = slice(at, at + 256)
-                    runs = [ids[s:e] for s, e in zip(starts[k], ends[k])]
                     yield pa.RecordBatch.from_arrays(
-                        [pa.array(docs[k], pa.int64()), pa.array(starts[k] + start, pa.int64()), pa.array([x.tobytes() for x in runs], pa.binary())],
+                        [pa.array(docs[k], pa.int64()), pa.array(starts[k] + start, pa.int64()), pa.array([bytes(data[4 * s: 4 * e]) for s, e in zip(starts[k], ends[k])], pa.binary())],
                         ["doc_id", "start", "ids"],
                     )
 
     return run
 
 
-def read_token_files(files: DataFrame, folder: str) -> DataFrame:
-    """(doc_id, start, ids) of every document; ids as little-endian unsigned 32-bit integers."""
+def read_token_files(files: DataFrame, folder: str, digest: bool = False) -> DataFrame:
+    """(doc_id, start, ids) of every document, ids as little-endian unsigned 32-bit integers; with `digest` (doc_id, start, n_tokens, ids_crc32)."""
     spread = files.select("path", "start").repartition(max(1, min(files.count(), 10_000)))
-    return spread.mapInArrow(_file_reader(folder), "doc_id long, start long, ids binary")
+    return spread.mapInArrow(_file_reader(folder, digest), "doc_id long, start long, n_tokens long, ids_crc32 long" if digest else "doc_id long, start long, ids binary")
 
 
 def unpack_ids(column):
@@ -354,11 +371,11 @@ def unpack_ids(column):
     )
 
 
-def tokens_round_trip(df: DataFrame, vocabulary: str, **options) -> DataFrame:
-    """Write the table's token files, then read every document back: (doc_id, start, ids)."""
+def tokens_round_trip(df: DataFrame, vocabulary: str, digest: bool = False, **options) -> DataFrame:
+    """Write the table's token files, then read every document back as `read_token_files` does."""
     folder = new_folder(df.sparkSession, "tokens")
     files = stash(write_token_files(df, folder, vocabulary, **options), "token-index")
-    return read_token_files(files, folder)
+    return read_token_files(files, folder, digest)
 
 
 def random_access(file: TokenFile, places) -> list[int]:
