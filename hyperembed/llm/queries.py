@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import exact_dedup as dedup, html_text, mixing, ngram_join, quality, token_files, toxicity, warc
+from . import exact_dedup as dedup, html_text, mixing, ngram_join, quality, sentence_pieces, suffix_dedup, token_files, toxicity, warc
 from .common import LOWER, UPPER, table
 
 
@@ -23,6 +23,10 @@ def op2_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join.near_duplicate_classes(table(spark, sf_dir, "documents"))
 
 
+def op3_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.remove_repeats(table(spark, sf_dir, "documents")).drop("kept")
+
+
 def op4_quality_votes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(table(spark, sf_dir, "documents")).drop("quality")
 
@@ -31,6 +35,10 @@ def op5_entropy_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents")).drop("copies", "rate")
 
 
+def op6_sampled_segmentations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sentence_pieces.sample_segmentations(table(spark, sf_dir, "documents"), vocabulary("piece_bpe_32k.model"), digest=True)
+
+
 def op7_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.tokens_round_trip(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"), digest=True)
 
@@ -49,7 +57,7 @@ def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (
-    op1_warc_archive, op2_ngram_jaccard_join, op4_quality_votes, op5_entropy_mix, op7_token_files, op8_main_text, op9_exact_dedup, op10_toxicity,
+    op1_warc_archive, op2_ngram_jaccard_join, op3_suffix_dedup, op4_quality_votes, op5_entropy_mix, op6_sampled_segmentations, op7_token_files, op8_main_text, op9_exact_dedup, op10_toxicity,
 )}
 
 ORACLES = {
