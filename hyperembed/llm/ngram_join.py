@@ -39,6 +39,8 @@ SUBCLASS_SHARE = 0.15
 FLUSH = 2_000_000
 #: Sizes of candidates are compared in steps of this logarithm: five steps cover a ratio of 4/3.
 STEP = np.log(1.07)
+#: Members of a tile in which classes of open buckets are compared.
+TILE = 512
 U = np.uint64
 _MIX1, _MIX2, _STEP = U(0xBF58476D1CE4E5B9), U(0x94D049BB133111EB), U(0x9E3779B97F4A7C15)
 
@@ -94,9 +96,14 @@ def band_of(n: int) -> int:
     return int(np.searchsorted(BANDS, n, "right")) - 1
 
 
-def handle_of(key: bytes, n: int) -> int:
-    """56 bits of the key and a step of the size; need not be unique, since candidates are verified by key."""
-    return (int.from_bytes(key[:7], "little") << 8 | min(255, int(np.log(n) / STEP))) - (1 << 63)
+def handle_of(key: bytes, n: int, rare: int) -> int:
+    """Share of rare tokens (8 bits), 48 bits of the key, a step of the size (8 bits).
+
+    The least handle of a bucket is its most central set: edits make tokens rare, so an original stands before its
+    copies and links with them where copies do not link with each other. Handles need not be unique, since candidates
+    are verified by key.
+    """
+    return (min(255, rare * 256 // n) << 56 | int.from_bytes(key[:6], "little") << 8 | min(255, int(np.log(n) / STEP))) - (1 << 63)
 
 
 def profile_of(s: np.ndarray) -> bytes:
@@ -281,10 +288,11 @@ def _index_rows(shared, frequent, bits: int, kind: pa.DataType, words: int):
     def run(batches):
         rows, parts, n = [], [], 0
         for ident, s, key, size in _fresh_sets(batches, Shingler(words)):
-            handle = handle_of(key, size) if key else None
-            pairs = profile = None
+            handle = pairs = profile = None
             if s is not None and ident is not None:
-                singles, combos = prefix_signatures(s, is_marked(s, frequent.value))
+                often = is_marked(s, frequent.value)
+                handle = handle_of(key, size, size - int(np.count_nonzero(often)))
+                singles, combos = prefix_signatures(s, often)
                 singles = singles[is_marked(singles, shared.value)]
                 if len(singles) or len(combos):
                     parts.append((np.sort(mix64(singles + U(77))), combos, handle))
@@ -355,7 +363,41 @@ def _bound_filter(batches):
         for na, nb, pa_, pb in zip(*(b.column(c).to_pylist() for c in ("na", "nb", "pa", "pb"))):
             same = min(overlap_bound(pa_, pb), na, nb)
             keep.append(100 * same >= 75 * (na + nb - same))
-        yield b.filter(pa.array(keep, pa.bool_())).select(["a", "b"])
+        yield b.filter(pa.array(keep, pa.bool_())).select(["a", "b", "ha"])
+
+
+def _tile_pairs(key, t):
+    """Pairs of one tile with another (or itself) that differ in label and whose profiles leave room for the similarity."""
+    lo, hi = key[1].as_py(), key[2].as_py()
+    keys, tile, n = t.column("key").to_pylist(), t.column("tile").to_numpy(), t.column("n").to_numpy()
+    label = np.unique(np.array([x.hex() for x in t.column("label").to_pylist()]), return_inverse=True)[1]
+    raw = t.column("profile").to_pylist()
+    width = np.array([len(x) for x in raw])
+    found: set = set()
+    for w in np.unique(width).tolist():
+        rows = {v: np.flatnonzero(width == v) for v in (w, 2 * w)}
+        flat = {v: np.frombuffer(b"".join(raw[i] for i in r), np.uint8).reshape(-1, v) for v, r in rows.items() if len(r)}
+        x = flat[w]
+        for v, y in flat.items():
+            if v != w:  # fold neighbouring classes of the longer profiles; full counts stay full
+                y = np.minimum(255, y[:, ::2].astype(np.uint16) + y[:, 1::2]).astype(np.uint8)
+            i_all, j_all = rows[w], rows[v]
+            for s in range(0, len(i_all), 32):
+                i = i_all[s: s + 32]
+                na, nb = n[i][:, None], n[j_all][None, :]
+                ok = (label[i][:, None] != label[j_all][None, :]) & (4 * na >= 3 * nb) & (4 * nb >= 3 * na)
+                if lo != hi:
+                    ok &= tile[i][:, None] != tile[j_all][None, :]
+                if not ok.any():
+                    continue
+                least = np.minimum(x[s: s + 32, None, :], y[None, :, :])
+                same = np.minimum(least.sum(axis=2, dtype=np.int32) + (1 << 20) * (least == 255).any(axis=2), np.minimum(na, nb))
+                for p, q in np.argwhere(ok & (100 * same >= 75 * (na + nb - same))).tolist():
+                    a, b = keys[i[p]], keys[j_all[q]]
+                    if a != b:
+                        found.add((min(a, b), max(a, b)))
+    pairs = sorted(found)
+    return pa.table({"a": pa.array([a for a, _ in pairs], pa.binary()), "b": pa.array([b for _, b in pairs], pa.binary())})
 
 
 def _set_rows(words: int):
@@ -416,14 +458,14 @@ class ShingleJoin:
         return stash(pairs.union(stars).where("a != b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "candidates")
 
     def plausible(self, pairs: DataFrame) -> DataFrame:
-        """(a, b) keys, a < b, of the pairs of handles that their profiles do not rule out."""
+        """(a, b, ha): keys of the pairs of handles that their profiles do not rule out; a has the lesser handle, ha."""
         profiles = self.index.where("profile is not null").select("handle", "key", "n", "profile")
         wanted = pairs.select(F.explode(F.array("a", "b")).alias("handle")).distinct()
         profiles = stash(profiles.join(wanted, "handle", "left_semi").dropDuplicates(["key"]), "profiles")
         side = lambda x: profiles.select(F.col("handle").alias(f"h{x}"), F.col("key").alias(x), F.col("n").alias(f"n{x}"), F.col("profile").alias(f"p{x}"))
         both = pairs.withColumnsRenamed({"a": "ha", "b": "hb"}).join(side("b"), "hb").join(side("a"), "ha").where("4 * na >= 3 * nb and 4 * nb >= 3 * na and a != b")
-        left = both.select("a", "b", "na", "nb", "pa", "pb").mapInArrow(_bound_filter, "a binary, b binary")
-        return stash(left.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "plausible")
+        left = both.select("a", "b", "ha", "na", "nb", "pa", "pb").mapInArrow(_bound_filter, "a binary, b binary, ha long")
+        return stash(left.distinct(), "plausible")
 
     def verify(self, pairs: DataFrame) -> DataFrame:
         """Of pairs of keys those that link, on whole sets."""
@@ -446,8 +488,8 @@ class ShingleJoin:
         """(a, b) keys: links enough to give every class; a link between members of one class may be left out."""
         tried = self.candidates()
         pairs = self.plausible(tried)
-        # First each node with its least neighbour: most classes are whole after that.
-        near = pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
+        # First each node with its most central neighbour: most classes are whole after that.
+        near = pairs.groupBy("b").agg(F.min_by("a", F.struct("ha", "a")).alias("a")).select("a", "b")
         links = stash(self.verify(near), "links")
         rest = stash(self._apart(pairs, links).join(near, ["a", "b"], "left_anti"), "rest")
         links = stash(links.union(self.verify(rest)), "links")
@@ -459,10 +501,25 @@ class ShingleJoin:
         named = members.join(roots, members["key"] == roots["node"], "left").select("handle", "sig", F.coalesce("root", "key").alias("label")).distinct()
         open_ = named.groupBy("sig").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo != hi").select("sig")
         left = stash(named.join(open_, "sig", "left_semi"), "open")
-        a, b = (left.select("sig", F.col("handle").alias(x), F.col("label").alias(f"l{x}")) for x in "ab")
-        cross = a.join(b, "sig").where("la != lb and a < b and abs((a & 255) - (b & 255)) <= 5").select("a", "b").distinct()
-        cross = stash(cross.join(tried, ["a", "b"], "left_anti"), "cross")
-        return stash(links.union(self.verify(self.plausible(cross))), "links")
+        survivors = self._across(left).join(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti")
+        return stash(links.union(self.verify(stash(survivors, "across"))), "links")
+
+    def _across(self, left: DataFrame) -> DataFrame:
+        """(a, b) keys of plausible pairs of different labels within the clusters that open buckets form.
+
+        A cluster is cut into tiles of about TILE members; a task compares the profiles of two tiles and gives out only
+        the pairs that these leave open.
+        """
+        centre = left.groupBy("sig").agg(F.min("handle").alias("centre"))
+        edges = left.select("sig", "handle").join(centre, "sig").where("handle != centre").select(F.col("centre").alias("a"), F.col("handle").alias("b")).distinct()
+        clusters = components(edges).withColumnsRenamed({"node": "handle", "root": "cluster"})
+        profiles = self.index.where("profile is not null").select("handle", "key", "n", "profile")
+        members = stash(left.select("handle", "label").distinct().join(clusters, "handle").join(profiles, "handle").dropDuplicates(["key"]), "members")
+        tiles = members.groupBy("cluster").agg(F.ceil(F.count("*") / TILE).cast("int").alias("tiles"))
+        placed = members.join(tiles, "cluster").withColumn("tile", F.pmod(F.xxhash64("key"), F.col("tiles")).cast("int"))
+        placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
+        placed = placed.select("cluster", F.least("tile", "other").alias("lo"), F.greatest("tile", "other").alias("hi"), "tile", "key", "label", "n", "profile")
+        return placed.groupBy("cluster", "lo", "hi").applyInArrow(_tile_pairs, "a binary, b binary").distinct()
 
 
 def near_duplicate_classes(df: DataFrame, text: str = "text", ident: str = "doc_id", carry: bool = False, words: int = WORDS) -> DataFrame:
