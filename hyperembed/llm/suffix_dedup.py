@@ -30,7 +30,7 @@ LENGTH, GRAM = 50, 24
 #: Anchors that so many documents have are hot.
 HOT = 2048
 #: Bytes of text worked on at a time, and records gathered before a partition sends them.
-SLICE, FLUSH = 1 << 20, 300_000
+SLICE, FLUSH = 1 << 18, 80_000
 U = np.uint64
 _BASE = U(0x9E3779B97F4A7C15)
 EMPTY_SHA = hashlib.sha256(b"").hexdigest()
@@ -131,7 +131,7 @@ def _anchor_pieces(bits: int, length: int):
                 h = h[np.r_[True, (h[1:] != h[:-1]) | (doc[1:] != doc[:-1])]]
                 parts.append(h)
                 n += len(h)
-            if n >= 10 * FLUSH:
+            if n >= 20 * FLUSH:
                 yield flush(parts)
                 parts, n = [], 0
         if n:
@@ -462,7 +462,7 @@ def _cut_rows(batches):
 def remove_repeats(df: DataFrame, text: str = "text", ident: str = "doc_id", length: int = LENGTH) -> DataFrame:
     """(ident, n_bytes, n_removed, n_spans, kept_sha256, kept) of every row; kept holds the remaining bytes."""
     spark = df.sparkSession
-    bits = max(6, min(18, int(spark.conf.get("spark.sql.shuffle.partitions")).bit_length() + 2))
+    bits = max(6, min(18, int(spark.conf.get("spark.sql.shuffle.partitions")).bit_length() + 4))
     docs = df.select(F.col(ident).cast("long").alias("_id"), F.coalesce(F.col(text), F.lit("")).alias("_text"))
     docs = docs.withColumns({"_tie": F.xxhash64("_text"), "_sha": F.sha2("_text", 256)})
     # Whole texts that a smaller doc_id has are settled at once.
