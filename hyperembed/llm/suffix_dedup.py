@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, functions as F
 from .common import maybe_broadcast, stash
 from .ngram_join import MAP_BITS, _blocks, _frequent_segments, mix64
 
-LENGTH, GRAM = 50, 24
+LENGTH, GRAM = 50, 32
 #: Anchors that so many documents have are hot.
 HOT = 2048
 #: Bytes of text worked on at a time, and records gathered before a partition sends them.
@@ -164,6 +164,14 @@ class _Records:
         return out
 
 
+def _zip(data: bytes) -> bytes:
+    return len(data).to_bytes(4, "little") + pa.compress(data, codec="zstd", asbytes=True)
+
+
+def _unzip(data: bytes) -> bytes:
+    return pa.decompress(data[4:], int.from_bytes(data[:4], "little"), codec="zstd", asbytes=True)
+
+
 def _same_rows(rows: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(order, new): rows sorted by bytes and length, and where another row begins."""
     pad = -(rows.shape[1] + 1) % 8
@@ -219,12 +227,12 @@ def _surroundings(repeated, hot, bits: int, length: int):
             by = (mix64(d.view(U)) >> U(64 - bits)).astype(np.int64)
             order = np.argsort(by, kind="stable")
             for part in np.split(order, np.flatnonzero(np.diff(by[order])) + 1):
-                out.append((int(by[part[0]]), 1, d[part].tobytes(), t[part].tobytes(), s[part].astype("<i4").tobytes(), None, e[part].astype("<i4").tobytes(), None))
+                out.append((int(by[part[0]]), 1, _zip(d[part].tobytes()), _zip(t[part].tobytes()), _zip(s[part].astype("<i4").tobytes()), None, _zip(e[part].astype("<i4").tobytes()), None))
         keep = np.flatnonzero(~later)
         keep = keep[np.argsort(block[keep], kind="stable")]
         for part in np.split(keep, np.flatnonzero(np.diff(block[keep])) + 1):
             flat = rows[part][np.arange(rows.shape[1]) < size[part][:, None]]
-            out.append((int(block[part[0]]), 0, doc[part].tobytes(), tie[part].tobytes(), place[part].tobytes(), off[part].tobytes(), size[part].tobytes(), flat.tobytes()))
+            out.append((int(block[part[0]]), 0, _zip(doc[part].tobytes()), _zip(tie[part].tobytes()), _zip(place[part].tobytes()), off[part].tobytes(), size[part].tobytes(), _zip(flat.tobytes())))
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), types)], names)
 
     def run(batches):
@@ -375,15 +383,16 @@ def _settle(length: int):
         doc, tie, start, end = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
         parts = []
         for kind, d, ti, p, o, s, data in zip(*(t.column(c).to_pylist() for c in ("kind", "doc", "tie", "place", "off", "size", "data"))):
+            d, ti, p = _unzip(d), _unzip(ti), _unzip(p)
             if kind:
                 doc.append(np.frombuffer(d, np.int64))
                 tie.append(np.frombuffer(ti, np.int64))
                 start.append(np.frombuffer(p, "<i4").astype(np.int64))
-                end.append(np.frombuffer(s, "<i4").astype(np.int64))
+                end.append(np.frombuffer(_unzip(s), "<i4").astype(np.int64))
             else:
                 size = np.frombuffer(s, np.uint8)
                 rows = np.zeros((len(size), 2 * length - GRAM), np.uint8)
-                rows[np.arange(rows.shape[1]) < size[:, None]] = np.frombuffer(data, np.uint8)
+                rows[np.arange(rows.shape[1]) < size[:, None]] = np.frombuffer(_unzip(data), np.uint8)
                 parts.append((np.frombuffer(d, np.int64), np.frombuffer(ti, np.int64), np.frombuffer(p, "<i4").astype(np.int64), np.frombuffer(o, np.uint8), size, rows))
         if parts:
             d, ti, p, o, s, rows = (np.concatenate(c) for c in zip(*parts))
@@ -462,7 +471,8 @@ def _cut_rows(batches):
 def remove_repeats(df: DataFrame, text: str = "text", ident: str = "doc_id", length: int = LENGTH) -> DataFrame:
     """(ident, n_bytes, n_removed, n_spans, kept_sha256, kept) of every row; kept holds the remaining bytes."""
     spark = df.sparkSession
-    bits = max(6, min(18, int(spark.conf.get("spark.sql.shuffle.partitions")).bit_length() + 4))
+    bits = int(spark.conf.get("spark.sql.shuffle.partitions")).bit_length()
+    bits = max(6, min(18, bits + 4, max(10, bits)))  # small blocks, but not more than about a thousand on few partitions
     docs = df.select(F.col(ident).cast("long").alias("_id"), F.coalesce(F.col(text), F.lit("")).alias("_text"))
     docs = docs.withColumns({"_tie": F.xxhash64("_text"), "_sha": F.sha2("_text", 256)})
     # Whole texts that a smaller doc_id has are settled at once.
