@@ -13,8 +13,9 @@ import numpy as np
 class LabelModel:
     """P(vote | label) for each voter and the prior of label 1."""
 
-    def __init__(self, prior: float = 0.5, smoothing: float = 1.0, steps: int = 100, weigh_correlated: bool = True):
-        self.prior, self.smoothing, self.steps, self.weigh = prior, smoothing, steps, weigh_correlated
+    def __init__(self, prior: float = 0.5, smoothing: float = 1.0, steps: int = 100, weigh_correlated: bool = True, belief: dict | None = None, strength: float = 2.0):
+        """`belief` holds, for label 0 and 1, expected shares of votes -1, 0, 1; it counts as `strength` times the data."""
+        self.prior, self.smoothing, self.steps, self.weigh, self.belief, self.strength = prior, smoothing, steps, weigh_correlated, belief, strength
 
     def fit(self, votes: np.ndarray, counts: np.ndarray, anchor: np.ndarray | None = None, start_accuracy: float = 0.8) -> LabelModel:
         """`votes` (patterns x voters) in {-1, 0, 1} with `counts`; starts from voters that are right with `start_accuracy`.
@@ -30,7 +31,7 @@ class LabelModel:
         self.table[1] = np.stack([active[0] * (1 - start_accuracy), active[1], active[2] * start_accuracy]) + 1e-9
         self.table[0] = np.stack([active[0] * start_accuracy, active[1], active[2] * (1 - start_accuracy)]) + 1e-9
         self.table /= self.table.sum(axis=1, keepdims=True)
-        self.weights = self._weights(votes, counts) if self.weigh else np.ones(m)
+        self.weights = self._weights(votes, counts, anchor) if self.weigh else np.ones(m)
         if n == 0 or counts.sum() == 0:
             return self
         first = None if anchor is None else np.asarray(anchor, float)
@@ -41,27 +42,39 @@ class LabelModel:
             old = self.table.copy()
             for label, weight in ((1, counts * p), (0, counts * (1 - p))):
                 t = np.tensordot(is_vote, weight, axes=([1], [0])) + self.smoothing * active
+                if self.belief is not None:
+                    t = t + self.strength * weight.sum() * np.array(self.belief[label])[:, None]
                 self.table[label] = t / t.sum(axis=0)
             self.prior = float((counts * p).sum() + self.smoothing / 2) / float(counts.sum() + self.smoothing)
             if np.abs(old - self.table).max() < 1e-7:
                 break
         return self
 
-    def _weights(self, votes: np.ndarray, counts: np.ndarray) -> np.ndarray:
-        """1 / (1 + sum of squared correlations with other voters, beyond what the common label explains)."""
+    def _weights(self, votes: np.ndarray, counts: np.ndarray, anchor: np.ndarray | None) -> np.ndarray:
+        """1 / (1 + sum of squared correlations with other voters, beyond what the label explains).
+
+        With a first guess of the label, correlations are taken within its two classes; else one common factor stands for it.
+        """
         if votes.shape[0] < 2 or votes.shape[1] < 2:
             return np.ones(votes.shape[1])
-        total = counts.sum()
-        x = votes - (votes * counts[:, None]).sum(0) / total
-        cov = (x * counts[:, None]).T @ x / total
-        d = np.sqrt(np.maximum(np.diag(cov), 1e-12))
-        r = cov / np.outer(d, d)
-        np.fill_diagonal(r, 0)
-        # One common factor is the label; what it leaves over is dependence between voters.
-        w, v = np.linalg.eigh(r + np.eye(len(r)))
-        f = v[:, -1] * np.sqrt(max(w[-1] - 1, 0))
-        rest = r - np.outer(f, f)
-        np.fill_diagonal(rest, 0)
+
+        def correlation(w):
+            x = votes - (votes * w[:, None]).sum(0) / max(w.sum(), 1e-12)
+            cov = (x * w[:, None]).T @ x / max(w.sum(), 1e-12)
+            d = np.sqrt(np.maximum(np.diag(cov), 1e-9))
+            r = cov / np.outer(d, d)
+            np.fill_diagonal(r, 0)
+            return r
+
+        if anchor is not None:
+            p = np.nan_to_num(np.asarray(anchor, float), nan=0.5)
+            rest = np.minimum(correlation(counts * p), correlation(counts * (1 - p)))
+        else:
+            r = correlation(counts)
+            w, v = np.linalg.eigh(r + np.eye(len(r)))
+            f = v[:, -1] * np.sqrt(max(w[-1] - 1, 0))
+            rest = r - np.outer(f, f)
+            np.fill_diagonal(rest, 0)
         self.correlations = rest
         return 1 / (1 + (np.clip(rest, 0, 1) ** 2).sum(1))
 

@@ -79,16 +79,30 @@ def dual_newton(total: Column, target: Column, cap: float = 3.0, steps: int = 40
 
 
 def _diffuse(bins: Column, cap: float) -> Column:
-    """Copies of each bin, largest sizes first, carrying the token error on to the next bin."""
+    """Copies of each bin, largest sizes first, carrying the token error on to the next bin.
+
+    Of the two whole numbers around the wanted copies, the one whose error the smaller documents can still make up for.
+    """
 
     def step(s: Column, b: Column) -> Column:
         mean = b["_sum"] / b["_n"]
         want = s["err"] + b["_rate"] * b["_sum"]
-        copies = F.when(b["_sum"] <= 0, 0).otherwise(F.greatest(F.lit(0), F.least(F.round(want / mean), cap * b["_n"]))).cast("long")
+        rest = s["rest"] - b["_sum"]
+
+        def cost(k: Column) -> Column:
+            """Error that stays whatever the smaller documents do, then the error itself."""
+            e = want - k * mean
+            due = e + b["_rate"] * rest
+            return (F.greatest(-due, F.lit(0.0)) + F.greatest(due - cap * rest, F.lit(0.0))) * 1e6 + F.abs(e)
+
+        within = lambda k: F.greatest(F.lit(0.0), F.least(k, cap * b["_n"]))
+        low, high = within(F.floor(want / mean).cast("double")), within(F.ceil(want / mean).cast("double"))
+        copies = F.when(b["_sum"] <= 0, F.lit(0.0)).when(cost(low) <= cost(high), low).otherwise(high).cast("long")
         entry = F.struct(b["_bin"].alias("_bin"), copies.alias("_copies"))
-        return F.struct((want - copies * mean).alias("err"), F.concat(s["out"], F.array(entry)).alias("out"))
+        return F.struct((want - copies * mean).alias("err"), rest.alias("rest"), F.concat(s["out"], F.array(entry)).alias("out"))
 
-    start = F.struct(F.lit(0.0).alias("err"), F.expr("cast(array() as array<struct<_bin:bigint,_copies:bigint>>)").alias("out"))
+    whole = F.aggregate(bins, F.lit(0).cast("long"), lambda t, b: t + b["_sum"])
+    start = F.struct(F.lit(0.0).alias("err"), whole.alias("rest"), F.expr("cast(array() as array<struct<_bin:bigint,_copies:bigint>>)").alias("out"))
     return F.aggregate(bins, start, step, lambda s: s["out"])
 
 

@@ -24,9 +24,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from .common import maybe_broadcast, stash
-from .ngram_join import MAP_BITS, _blocks, _frequent_segments, mix64
+from .ngram_join import _blocks, mix64
 
 LENGTH, GRAM = 50, 32
+#: Bits of each bitmap of anchors; an anchor takes two places.
+MAP_BITS = 27
 #: Anchors that so many documents have are hot.
 HOT = 2048
 #: Bytes of text worked on at a time, and records gathered before a partition sends them.
@@ -140,9 +142,35 @@ def _anchor_pieces(bits: int, length: int):
     return run
 
 
-def _probe(h: np.ndarray, bitmap: np.ndarray) -> np.ndarray:
-    place = (h >> U(64 - MAP_BITS)).astype(np.int64)
-    return (bitmap[place >> 3] >> (7 - (place & 7)).astype(np.uint8) & 1).astype(bool)
+def _anchor_segments(bits: int, levels):
+    """Of one block, for each level the bitmap segment of the anchors that so many documents have; two places an anchor."""
+    width = MAP_BITS - bits
+
+    def run(key, t):
+        tokens = np.sort(np.concatenate([np.frombuffer(x, "<u4") for x in t.column("tokens").to_pylist()]))
+        first = np.flatnonzero(np.r_[True, tokens[1:] != tokens[:-1]])
+        count = np.diff(np.r_[first, len(tokens)])
+        maps = []
+        for level in levels:
+            bitmap = np.zeros(1 << width, bool)
+            much = tokens[first[count >= level]]
+            bitmap[much >> np.uint32(32 - width)] = True
+            bitmap[much & np.uint32((1 << width) - 1)] = True
+            maps.append(np.packbits(bitmap).tobytes() if len(much) else None)
+        return pa.table({"block": pa.array([key[0].as_py()], pa.int32()), **{f"map{k}": pa.array([m], pa.binary()) for k, m in enumerate(maps)}})
+
+    return run
+
+
+def _probe(h: np.ndarray, bitmap: np.ndarray, bits: int) -> np.ndarray:
+    width = MAP_BITS - bits
+    base = (h >> U(64 - bits) << U(width)).astype(np.int64)
+    token = (h >> U(32 - bits)) & U(0xFFFFFFFF)
+    out = np.ones(len(h), bool)
+    for place in (token >> U(32 - width), token & U((1 << width) - 1)):
+        at = base | place.astype(np.int64)
+        out &= (bitmap[at >> 3] >> (7 - (at & 7)).astype(np.uint8) & 1).astype(bool)
+    return out
 
 
 class _Records:
@@ -239,13 +267,13 @@ def _surroundings(repeated, hot, bits: int, length: int):
         records = _Records(2 * length - GRAM)
         for ids, ties, data, starts, ends in _slices(batches):
             at, h = anchors(data, ends, length)
-            again = _probe(h, repeated.value)
+            again = _probe(h, repeated.value, bits)
             at, h = at[again], h[again]
             if not len(at):
                 continue
             doc = np.searchsorted(ends, at, "right")
             first, last = np.maximum(starts[doc], at + GRAM - length), np.minimum(ends[doc], at + length)
-            common = _probe(h, hot.value)
+            common = _probe(h, hot.value, bits)
             k = ~common
             records.add((h[k] >> U(64 - bits)).astype(np.int64), ids[doc[k]], ties[doc[k]], first[k] - starts[doc[k]], at[k] - first[k], last[k] - first[k], data, first[k])
             k = np.flatnonzero(common)
@@ -482,7 +510,7 @@ def remove_repeats(df: DataFrame, text: str = "text", ident: str = "doc_id", len
     fresh = docs.where(f"not _copy and _id is not null and octet_length(_text) >= {length}").select("_id", "_tie", "_text")
 
     pieces = fresh.mapInArrow(_anchor_pieces(bits, length), "block int, tokens binary").groupBy("block")
-    segments = stash(pieces.applyInArrow(_frequent_segments(bits, (2, HOT)), "block int, n0 long, n1 long, map0 binary, map1 binary"), "anchors")
+    segments = stash(pieces.applyInArrow(_anchor_segments(bits, (2, HOT)), "block int, map0 binary, map1 binary"), "anchors")
     size = 1 << (MAP_BITS - 3 - bits)
     maps = [np.zeros(1 << (MAP_BITS - 3), np.uint8) for _ in range(2)]
     for r in segments.toLocalIterator():

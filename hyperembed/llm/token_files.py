@@ -37,8 +37,19 @@ WIDTHS = (8, 16)
 #: A file is closed after so many ids; a longer document has a file of its own.
 FILE_IDS = 1_000_000
 #: White space runs; texts with them are encoded whole.
-_SPACE = re.compile(r"\s")
 _INNER_BLANK = re.compile(r"[ \n]\s|\s\n")
+#: A word of letters, then punctuation: the pre-tokeniser gives the letters with their space, then the punctuation.
+_SIMPLE = re.compile(r"([\0\n]?)([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u017f]+)([!-/:-@\[-`{-~]{0,8})")
+
+
+def _byte_letters() -> dict[int, str]:
+    """Byte-level BPE writes each byte as one letter: printable Latin-1 as itself, the others from U+0100 on."""
+    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    letter = {b: chr(b) for b in plain} | {b: chr(256 + k) for k, b in enumerate(x for x in range(256) if x not in plain)}
+    return {c: "".join(letter[b] for b in chr(c).encode()) for c in range(0x80, 0x180)}
+
+
+_BYTE_LEVEL = _byte_letters()
 _BIT_LENGTH = np.array([x.bit_length() for x in range(1 << 16)], np.uint8)
 FILES_SCHEMA = "part int, seq int, path string, docs long, ids long"
 
@@ -196,21 +207,16 @@ class CachedEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(vocabulary)
-        self.starts = np.array([(self.tokenizer.id_to_token(i) or "").startswith("\u0120") for i in range(self.tokenizer.get_vocab_size())])
+        self.model, self.tails = self.tokenizer.model, {}
+        (self.line_feed,) = self._encode(["\n"])
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.new: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
         self.entries = entries
 
-    def _space_led(self, words: list[str], together: int = 1000) -> list[bytes]:
-        """Ids of words with a space before each, many in one call: only a word's first id stands for a space and letters."""
-        out = []
-        joined = [" " + " ".join(words[i: i + together]) for i in range(0, len(words), together)]
-        for e in self.tokenizer.encode_batch_fast(joined, add_special_tokens=False):
-            ids = np.array(e.ids, "<u4")
-            data, at = ids.tobytes(), (4 * np.flatnonzero(self.starts[ids])).tolist()
-            out.extend([data[i:j] for i, j in zip(at, [*at[1:], len(data)])])
-        return out
+    def _piece(self, piece: str) -> bytes:
+        """Ids of one piece of the pre-tokeniser, already in its byte-level letters."""
+        return array("I", [t.id for t in self.model.tokenize(piece)]).tobytes()
 
     def _encode(self, texts: list[str]) -> list[bytes]:
         return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
@@ -236,11 +242,26 @@ class CachedEncoder:
         if missing:
             found = {w: x for w in missing if (x := self.old.get(w)) is not None}
             new.update(found)
-            plain, other = [], []
+            other = []
             for w in missing:
-                if w not in found:
-                    (plain if w[:1] > " " and not _SPACE.search(w) else other).append(w)
-            new.update(zip(plain, self._space_led(plain)))
+                if w in found:
+                    continue
+                m = _SIMPLE.fullmatch(w)
+                if m is None:
+                    other.append(w)
+                    continue
+                lead, stem, tail = m.groups()
+                head = f"{lead}{stem}"
+                ids = new.get(head) if tail else None
+                if ids is None:
+                    letters = stem if stem.isascii() else stem.translate(_BYTE_LEVEL)
+                    ids = self._piece(f"\u0120{letters}") if not lead else self._piece(letters) if lead == "\0" else self.line_feed + self._piece(letters)
+                    new[head] = ids
+                if tail:
+                    end = self.tails.get(tail)
+                    if end is None:
+                        end = self.tails[tail] = self._piece(tail)
+                    new[w] = ids + end
             for i in range(0, len(other), 4096):
                 part = other[i: i + 4096]
                 new.update(zip(part, self._encode([w[1:] if w[:1] == "\0" else w if w[:1] == "\n" else f" {w}" for w in part])))
@@ -337,7 +358,8 @@ def _file_reader(folder: str, digest: bool):
 
 def read_token_files(files: DataFrame, folder: str, digest: bool = False) -> DataFrame:
     """(doc_id, start, ids) of every document, ids as little-endian unsigned 32-bit integers; with `digest` (doc_id, start, n_tokens, ids_crc32)."""
-    spread = files.select("path", "start").repartition(max(1, min(files.count(), 10_000)))
+    parts = int(files.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    spread = files.select("path", "start").repartition(max(1, min(files.count(), parts)))
     return spread.mapInArrow(_file_reader(folder, digest), "doc_id long, start long, n_tokens long, ids_crc32 long" if digest else "doc_id long, start long, ids binary")
 
 

@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame, functions as F
 from .common import stash
 from .label_model import LabelModel
 
-SAMPLE_ROWS, VOTERS, LEAST_DOCS = 12_000, 512, 8
+SAMPLE_ROWS, VOTERS, LEAST_DOCS = 12_000, 512, 4
 BEGINNINGS = (4, 5, 6)
 _LETTERS = re.compile(r"[^\W\d_]+")
 #: Votes for label 1 from the form of a text alone.
@@ -103,7 +103,9 @@ def mine_lexicon(sample: DataFrame, voters: int, least: int) -> list[tuple[str,
     share = (k + 0.5) / (n + 1)
     # Twice the gain in log-likelihood over the base rate.
     gain = 2 * (k * F.log(share / rate) + (n - k) * F.log((1 - share) / (1 - rate)))
-    best = counts.where((k >= least) & (share > 3 * rate) & (share > 0.5)).withColumn("gain", gain).where("gain > 20")
+    # Among so many features some gain this much by chance alone.
+    tried = counts.where(n >= least).count()
+    best = counts.where((k >= least) & (share > 0.75)).withColumn("gain", gain).where(F.col("gain") > 1.9 * float(np.log(max(2, tried))))
     return [(r.f, r.toxic, r.docs) for r in best.orderBy(F.desc("gain"), "f").limit(voters).collect()]
 
 
@@ -197,7 +199,7 @@ def learn(docs: DataFrame, labels: DataFrame, text: str = "text", ident: str = "
     pattern, inverse, counts = np.unique(votes, axis=0, return_inverse=True, return_counts=True)
     anchor = np.bincount(inverse.ravel(), weights=given, minlength=len(pattern)) / counts
     model = LabelModel(prior=float(given.mean())).fit(pattern, counts, np.clip(anchor, 0.02, 0.98))
-    w = _logistic(fires, model.posterior(votes))
+    w = _logistic(fires, model.posterior(votes), l2=0.05)
     kept = {f: float(v) for f, v in zip(features, w) if abs(v) > 1e-9}
     return ToxicityModel(kept, float(w[-1]), [(f, int(g)) for f, g in zip(features, group)], model)
 
