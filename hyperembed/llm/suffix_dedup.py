@@ -29,8 +29,8 @@ from .ngram_join import _blocks, mix64
 LENGTH, GRAM = 50, 32
 #: Bits of each bitmap of anchors; an anchor takes two places.
 MAP_BITS = 27
-#: Anchors that so many documents have are hot.
-HOT = 2048
+#: Anchors that so many documents have are hot: their surroundings would fill a task's memory.
+HOT = 65_536
 #: Bytes of text worked on at a time, and records gathered before a partition sends them.
 SLICE, FLUSH = 1 << 18, 80_000
 U = np.uint64
