@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import contextlib
+import gc
 import tempfile
 import uuid
 
@@ -58,3 +60,15 @@ def fold_case(c: Column) -> Column:
 def packed(df: DataFrame, text: str, ident: str) -> DataFrame:
     """`_row` holds every input column, so that internal names cannot clash with the caller's."""
     return df.select(F.struct("*").alias("_row"), F.col(ident).alias("_id"), F.col(text).alias("_text"))
+
+
+@contextlib.contextmanager
+def without_cycles():
+    """Large caches of small objects and no reference cycles: the cycle collector would only walk over them, again and again."""
+    was = gc.isenabled()
+    gc.disable()
+    try:
+        yield
+    finally:
+        if was:
+            gc.enable()

@@ -27,7 +27,7 @@ from pyarrow import fs as pafs
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window, functions as F
 
-from .common import new_folder, stash
+from .common import new_folder, stash, without_cycles
 
 MAGIC = b"DACIDS01"
 #: Bits of the bitmap that one entry of the rank directory stands for.
@@ -302,7 +302,9 @@ def _file_writer(folder: str, vocabulary: str, end_id: int):
         for b in batches:
             for at in range(0, b.num_rows, 512):
                 rows = b.slice(at, 512)
-                for d, x in zip(rows.column(0).to_pylist(), encoder.encode([t or "" for t in rows.column(1).to_pylist()])):
+                with without_cycles():
+                    found = encoder.encode([t or "" for t in rows.column(1).to_pylist()])
+                for d, x in zip(rows.column(0).to_pylist(), found):
                     docs.append(d)
                     ids.append(x + end)
                     n += len(x) // 4 + 1
