@@ -72,3 +72,10 @@ def without_cycles():
     finally:
         if was:
             gc.enable()
+
+
+def bounded_batches(spark: SparkSession, rows: int = 1000) -> None:
+    """Long texts make Arrow batches of the default 10,000 rows too large for small executors; a smaller setting of the session stays."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if int(spark.conf.get(key)) > rows:
+        spark.conf.set(key, str(rows))

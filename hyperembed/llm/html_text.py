@@ -20,6 +20,8 @@ from math import inf
 import pandas as pd
 from pyspark.sql import DataFrame, functions as F
 
+from .common import bounded_batches
+
 _TOKEN = re.compile(
     r"<!--.*?(?:-->|\Z)"
     r"|<(?P<raw>script|style|noscript|template|svg|iframe|textarea|select|title|math|canvas|object)\b(?:\"[^\"]*+\"|'[^']*+'|[^>\"'])*+>.*?(?:</(?P=raw)\s*>|\Z)"
@@ -266,6 +268,7 @@ def main_text(page: str | None) -> str:
 
 def extract(df: DataFrame, html: str = "html", columns: tuple[str, ...] = ("page_id", "url")) -> DataFrame:
     """`columns` of every row, with text and n_chars (code points)."""
+    bounded_batches(df.sparkSession)
 
     @F.pandas_udf("string")
     def text(pages: pd.Series) -> pd.Series:

@@ -28,7 +28,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F
 
-from .common import maybe_broadcast, stash
+from .common import bounded_batches, maybe_broadcast, stash
 
 WORDS = 5
 #: Bits of the bitmap of frequent tokens.
@@ -65,7 +65,7 @@ BANDS = size_bands()
 class Shingler(dict):
     """Sorted 64-bit hashes of a text's distinct shingles; remembers the hashes of words."""
 
-    def __init__(self, words: int = WORDS, entries: int = 400_000):
+    def __init__(self, words: int = WORDS, entries: int = 150_000):
         super().__init__()
         self.words, self.entries = words, entries
 
@@ -440,6 +440,7 @@ class ShingleJoin:
 
     def __init__(self, df: DataFrame, text: str, ident: str, words: int = WORDS):
         self.spark = df.sparkSession
+        bounded_batches(self.spark)
         self.words = words
         self.kind = df.schema[ident].dataType
         self.docs = df.select(F.col(ident).alias("_id"), F.col(text).alias("_text"))

@@ -14,7 +14,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import stash
+from .common import bounded_batches, stash
 from .label_model import LabelModel
 
 SYMBOLS = b"#*$%&|<>"
@@ -123,6 +123,7 @@ def votes_of(patterns: np.ndarray) -> np.ndarray:
 
 def measure_documents(df: DataFrame, text: str = "text", ident: str = "doc_id") -> DataFrame:
     """(_id, STATS, pattern), written to the shared folder."""
+    bounded_batches(df.sparkSession)
     kind = df.schema[ident].dataType.simpleString()
     schema = f"_id {kind}, {', '.join(f'{s} long' for s in STATS)}, pattern int"
     return stash(df.select(F.col(ident).alias("_id"), F.col(text).alias("_text")).mapInArrow(_measured, schema), "quality")

@@ -23,7 +23,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import maybe_broadcast, stash
+from .common import bounded_batches, maybe_broadcast, stash
 from .ngram_join import _blocks, mix64
 
 LENGTH, GRAM = 50, 32
@@ -499,6 +499,7 @@ def _cut_rows(batches):
 def remove_repeats(df: DataFrame, text: str = "text", ident: str = "doc_id", length: int = LENGTH) -> DataFrame:
     """(ident, n_bytes, n_removed, n_spans, kept_sha256, kept) of every row; kept holds the remaining bytes."""
     spark = df.sparkSession
+    bounded_batches(spark)
     bits = int(spark.conf.get("spark.sql.shuffle.partitions")).bit_length()
     bits = max(6, min(18, bits + 4, max(10, bits)))  # small blocks, but not more than about a thousand on few partitions
     docs = df.select(F.col(ident).cast("long").alias("_id"), F.coalesce(F.col(text), F.lit("")).alias("_text"))

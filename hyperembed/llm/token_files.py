@@ -27,7 +27,7 @@ from pyarrow import fs as pafs
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window, functions as F
 
-from .common import new_folder, stash, without_cycles
+from .common import bounded_batches, new_folder, stash, without_cycles
 
 MAGIC = b"DACIDS01"
 #: Bits of the bitmap that one entry of the rank directory stands for.
@@ -322,6 +322,7 @@ def write_token_files(df: DataFrame, folder: str, vocabulary: str, end_id: int =
     fs, base = pafs.FileSystem.from_uri(folder)
     fs.create_dir(base, recursive=True)
     spark = df.sparkSession
+    bounded_batches(spark)
     docs = df.select(F.col(ident).cast("long").alias("_id"), F.col(text).alias("_text"), F.xxhash64(text).alias("_tie"))
     order = [F.col("_id").asc_nulls_first(), F.col("_tie")]
     docs = docs.repartitionByRange(parts or int(spark.conf.get("spark.sql.shuffle.partitions")), *order).sortWithinPartitions(*order)

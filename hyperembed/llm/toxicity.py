@@ -22,7 +22,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
-from .common import stash
+from .common import bounded_batches, stash
 from .label_model import LabelModel
 
 SAMPLE_ROWS, VOTERS, LEAST_DOCS = 12_000, 512, 4
@@ -179,6 +179,7 @@ def _firing(features: list[str]):
 
 def learn(docs: DataFrame, labels: DataFrame, text: str = "text", ident: str = "doc_id", label: str = "toxic",
           rows: int = SAMPLE_ROWS, voters: int = VOTERS, least: int = LEAST_DOCS) -> ToxicityModel:
+    bounded_batches(docs.sparkSession)
     sample = training_sample(docs, labels, text, ident, label, rows)
     lexicon = mine_lexicon(sample, voters, least)
     features = [f for f, _, _ in lexicon] + list(PATTERNS)

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyarrow import fs as pafs
 from pyspark.sql import DataFrame, functions as F
 
-from .common import maybe_broadcast, new_folder, packed, stash
+from .common import bounded_batches, maybe_broadcast, new_folder, packed, stash
 
 CHUNK = 1 << 20
 HTTP_HEAD = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=UTF-8\r\nContent-Length: %d\r\n\r\n"
@@ -240,5 +240,6 @@ def read_records(index: DataFrame, folder: str) -> DataFrame:
 def archive_round_trip(pages: DataFrame, **options) -> DataFrame:
     """Write `pages` as monolithic archives, normalise them, and read every record back through the index."""
     spark = pages.sparkSession
+    bounded_batches(spark)
     whole, single = new_folder(spark, "warc-whole"), new_folder(spark, "warc-records")
     return read_records(normalise(write_monolithic(pages, whole, **options), single), single)
