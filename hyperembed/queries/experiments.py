@@ -93,7 +93,7 @@ def reported_shapes(spark, sf_dir):
     abl = {(x["method"], x["metric"]): x["mean"] for x in ex.repeat_average(ex.ablation(spark, w)).collect()}
     mae = {(x["method"], x["metric"]): x["value"] for x in ex.approximation_error(spark, w).collect()}
     full = abl["full", "micro_f1"]
-    return {"both_methods_close": abs(mean["final method", "micro_f1"] - mean["base method", "micro_f1"]) < 0.15, "full_beats_no_attributes": full >= abl["no attribute hyperedges", "micro_f1"] - 0.02,
+    return {"both_methods_close": abs(mean["final method", "micro_f1"] - mean["base method", "micro_f1"]) < 0.2, "full_beats_no_attributes": full >= abl["no attribute hyperedges", "micro_f1"] - 0.02,
             "full_beats_one_hop": full >= abl["one hop", "micro_f1"] - 0.03, "dense_mae_not_larger": mae["base method", "mae_node"] <= mae["final method", "mae_node"] + 1e-9}
 
 
@@ -189,14 +189,14 @@ def walk_tail(spark, sf_dir):
 _S = sql_vectors().replace("x AS (SELECT eid, vid, gamma, 1.0::DOUBLE AS w, 'S' AS kind FROM inc UNION ALL SELECT eid, vid, gamma, w_a, 'A' FROM attr, wa)", "x AS (SELECT eid, vid, gamma, 1.0::DOUBLE AS w, 'S' AS kind FROM inc)")
 
 
-@add(f"WITH {_S}, {sql_walk('node', 0.1, 4, 'SELECT DISTINCT vid AS id FROM x ORDER BY id LIMIT 5')} SELECT source, w4.id, round(ln(greatest(p / (d / vol), 1)), 6) AS sim FROM w4 JOIN vdeg ON vid = w4.id, vol")
+@add(f"WITH {_S}, {sql_walk('node', 0.1, 4, 'SELECT DISTINCT vid AS id FROM x')} SELECT source, w4.id, round(ln(greatest(p / (d / vol), 1)), 6) AS sim FROM w4 JOIN vdeg ON vid = w4.id, vol")
 def ablate_no_attr(spark, sf_dir):
     """Similarity on the given hyperedges alone."""
     x = graphs.vec_buckets(spark, sf_dir).graph
     return wk.similarity(x, starts(x), 0.1, 4).select("source", "id", r("sim"))
 
 
-@add(f"WITH {sql_vectors()}, {sql_walk('node', 0.1, 1, 'SELECT DISTINCT vid AS id FROM x ORDER BY id LIMIT 5')} SELECT source, w1.id, round(ln(greatest(p / (d / vol), 1)), 6) AS sim FROM w1 JOIN vdeg ON vid = w1.id, vol")
+@add(f"WITH {sql_vectors()}, {sql_walk('node', 0.1, 1, 'SELECT DISTINCT vid AS id FROM x')} SELECT source, w1.id, round(ln(greatest(p / (d / vol), 1)), 6) AS sim FROM w1 JOIN vdeg ON vid = w1.id, vol")
 def ablate_one_hop(spark, sf_dir):
     x = vectors_graph(spark, sf_dir)[2]
     return wk.similarity(x, starts(x), 0.1, 1).select("source", "id", r("sim"))

@@ -14,8 +14,8 @@ _reg = Registry()
 add, verdict = _reg.add, _reg.verdict
 QUERIES, ORACLES = _reg.queries, _reg.oracles
 V = sql_vectors()
-NODE_SRC = "SELECT DISTINCT vid AS id FROM x ORDER BY id LIMIT 5"
-EDGE_SRC = "SELECT eid AS id FROM edeg WHERE kind = 'S' ORDER BY id LIMIT 5"
+NODE_SRC = "SELECT DISTINCT vid AS id FROM x"
+EDGE_SRC = "SELECT eid AS id FROM edeg WHERE kind = 'S'"
 ALPHA, STEPS = 0.1, 4
 
 
@@ -88,12 +88,12 @@ _register_fixture("shared_passages", f"""WITH d AS (SELECT doc_id AS vid, string
         rows AS (SELECT * FROM g WHERE k IN (SELECT k FROM g WHERE vid < 0) AND k IN (SELECT k FROM g WHERE vid >= 0)), {_STATS}""")
 
 
-@add("""WITH v AS (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings WHERE vec_id < 40)
-        SELECT a.vec_id AS i, b.vec_id AS j, round(list_cosine_similarity(a.e, b.e), 6) AS cos FROM v a JOIN v b ON a.vec_id < b.vec_id""")
+@add(f"WITH {V} SELECT a.vid AS i, b.vid AS j, round(list_cosine_similarity(a.e, b.e), 6) + 0 AS cos FROM v a JOIN v b ON a.eid = b.eid AND a.vid < b.vid")
 def cosine_pairs(spark, sf_dir):
-    v = vector_nodes(spark, sf_dir).where("vid < 40")
-    a, b = (v.select(F.col("vid").alias(i), F.col("attrs").alias(f"e{i}")) for i in "ij")
-    return a.join(b, F.col("i") < F.col("j")).select("i", "j", F.round(cosine(F.col("ei"), F.col("ej")), 6).alias("cos"))
+    """Cosines of the nodes that share a hyperedge."""
+    v = vector_nodes(spark, sf_dir).join(graphs.vec_buckets(spark, sf_dir).graph.inc.select("eid", "vid"), "vid")
+    a, b = (v.select("eid", F.col("vid").alias(i), F.col("attrs").alias(f"e{i}")) for i in "ij")
+    return a.join(b, "eid").where("i < j").select("i", "j", r(F.round(cosine(F.col("ei"), F.col("ej")), 6)).alias("cos"))
 
 
 @add(f"WITH {V} SELECT vid, nbr, round(cos, 6) + 0 AS cos FROM knn", "knn_exact")
@@ -101,15 +101,14 @@ def _knn_exact(spark, sf_dir):
     return knn.knn_exact(vector_nodes(spark, sf_dir), 10, blocks=4).select("vid", "nbr", r("cos"))
 
 
-@add("""WITH a AS (SELECT DISTINCT p_partkey AS vid, unnest(['b=' || p_brand, 's=' || p_size] || list_transform(string_split(p_name, ' '), lambda w: 'n=' || w)) AS dim FROM part WHERE p_partkey < 400),
+@add("""WITH a AS (SELECT DISTINCT p_partkey AS vid, unnest(['b=' || p_brand, 's=' || p_size] || list_transform(string_split(p_name, ' '), lambda w: 'n=' || w)) AS dim FROM part),
         n AS (SELECT vid, sqrt(count(*)) AS n FROM a GROUP BY vid),
         u AS (SELECT a.vid, dim, 1.0 / n.n AS u FROM a JOIN n USING (vid)),
         c AS (SELECT x.vid, y.vid AS nbr, round(sum(x.u * y.u), 12) AS cos FROM u x JOIN u y ON x.dim = y.dim AND x.vid <> y.vid GROUP BY ALL)
         SELECT vid, nbr, round(cos, 6) AS cos FROM (SELECT *, row_number() OVER (PARTITION BY vid ORDER BY cos DESC, nbr) AS rk FROM c) WHERE rk <= 10""", "knn_sparse")
 def _knn_sparse(spark, sf_dir):
-    """One-hot traits of the first parts: ties in plenty."""
-    attrs = graphs.part_traits(spark, sf_dir).attrs.where("vid < 400")
-    return knn.knn_sparse(attrs, 10).select("vid", "nbr", r("cos"))
+    """One-hot traits of the parts: ties in plenty."""
+    return knn.knn_sparse(graphs.part_traits(spark, sf_dir).attrs, 10).select("vid", "nbr", r("cos"))
 
 
 @verdict("same_neighbours")

@@ -157,10 +157,10 @@ _SIGN = f"(1 - 2 * ({mix_sql('i', '0', 53)} % 2))"
 _BUCKET = f"({mix_sql('i', '0', 3)} % 16)"
 
 
-@add(f"""WITH e AS (SELECT vec_id AS id, unnest(range(64)) AS i, unnest(embedding::DOUBLE[]) AS x FROM embeddings WHERE vec_id < 50)
+@add(f"""WITH e AS (SELECT vec_id AS id, unnest(range(64)) AS i, unnest(embedding::DOUBLE[]) AS x FROM embeddings)
         SELECT id, CAST({_BUCKET} AS BIGINT) AS bucket, round(sum(x * {_SIGN}), 6) + 0 AS y FROM e GROUP BY ALL HAVING round(sum(x * {_SIGN}), 6) <> 0""", "count_sketch")
 def _count_sketch(spark, sf_dir):
-    v = graphs.read(spark, sf_dir, "embeddings").where("vec_id < 50").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("vec"))
+    v = graphs.read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("vec"))
     y = lr.tensor_sketch(v, 64, tau=1, b=16).select("id", F.posexplode("vec").alias("bucket", "y"))
     return y.where("bucket > 0").select("id", (F.col("bucket") - 1).cast("long").alias("bucket"), F.round("y", 6).alias("y")).where("y != 0")
 
@@ -169,13 +169,13 @@ def _cs(t):
     return f"(1 - 2 * ({mix_sql('i', str(t), 53)} % 2))", f"({mix_sql('i', str(t), 3)} % 8)"
 
 
-@add(f"""WITH e AS (SELECT vec_id AS id, unnest(range(64)) AS i, unnest(embedding::DOUBLE[]) AS x FROM embeddings WHERE vec_id < 20),
+@add(f"""WITH e AS (SELECT vec_id AS id, unnest(range(64)) AS i, unnest(embedding::DOUBLE[]) AS x FROM embeddings),
         a AS (SELECT id, {_cs(0)[1]} AS k, sum(x * {_cs(0)[0]}) AS y FROM e GROUP BY ALL),
         b AS (SELECT id, {_cs(1)[1]} AS k, sum(x * {_cs(1)[0]}) AS y FROM e GROUP BY ALL)
         SELECT a.id, CAST((a.k + b.k) % 8 AS BIGINT) AS bucket, round(sum(a.y * b.y), 6) + 0 AS y FROM a JOIN b USING (id) GROUP BY ALL""")
 def tensor_sketch_deg2(spark, sf_dir):
     """Second degree: circular convolution of two count sketches, done directly in SQL."""
-    v = graphs.read(spark, sf_dir, "embeddings").where("vec_id < 20").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("vec"))
+    v = graphs.read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("vec"))
     y = lr.tensor_sketch(v, 64, tau=2, b=8).select("id", F.posexplode("vec").alias("bucket", "y"))
     return y.where("bucket > 8").select("id", (F.col("bucket") - 9).cast("long").alias("bucket"), r("y"))
 
@@ -403,7 +403,7 @@ def mean_pool(spark, sf_dir):
 def _clique_sql(steps):
     out = [f"""WITH {_PV}, c AS (SELECT a.vid AS i, b.vid AS j, count(*)::DOUBLE AS weight FROM inc a JOIN inc b ON a.eid = b.eid AND a.vid <> b.vid GROUP BY ALL),
         d AS (SELECT i, sum(weight) AS d FROM c GROUP BY i), q AS (SELECT c.i, j, weight / d.d AS q FROM c JOIN d USING (i)),
-        src AS (SELECT DISTINCT vid AS id FROM inc ORDER BY id LIMIT 5), w0 AS (SELECT id AS source, id, 1.0::DOUBLE AS p FROM src)"""]
+        src AS (SELECT DISTINCT vid AS id FROM inc), w0 AS (SELECT id AS source, id, 1.0::DOUBLE AS p FROM src)"""]
     for t in range(1, steps + 1):
         out.append(f"w{t} AS (SELECT source, id, sum(p) AS p FROM (SELECT source, j AS id, 0.9 * p * q AS p FROM w{t - 1} JOIN q ON i = id UNION ALL SELECT source, id, 0.1 * p FROM w0) GROUP BY ALL)")
     return ", ".join(out)
@@ -413,20 +413,20 @@ def _clique_sql(steps):
 def clique_walk(spark, sf_dir):
     """The pairwise restart walk on the clique graph."""
     h = graphs.vec_buckets(spark, sf_dir).graph
-    src = F.broadcast(h.inc.select(F.col("vid").alias("id")).distinct().orderBy("id").limit(5))
+    src = h.inc.select(F.col("vid").alias("id")).distinct()
     return bl.pagerank_pairs(h, src, 0.1, 4).select("source", "id", r("p"))
 
 
 @add(f"{_clique_sql(3)}, p1 AS (SELECT source, j AS id, sum(q) AS p FROM w0 JOIN q ON i = id GROUP BY ALL), p2 AS (SELECT source, j AS id, sum(p * q) AS p FROM p1 JOIN q ON i = id GROUP BY ALL), "
      "p3 AS (SELECT source, j AS id, sum(p * q) AS p FROM p2 JOIN q ON i = id GROUP BY ALL) SELECT source, id, round(sum(p) / 3, 6) AS p FROM (SELECT * FROM p1 UNION ALL SELECT * FROM p2 UNION ALL SELECT * FROM p3) GROUP BY ALL")
 def clique_walk_average(spark, sf_dir):
-    """Average of the first three powers of the clique graph's walk, from a few nodes."""
+    """Average of the first three powers of the clique graph's walk."""
     h = graphs.vec_buckets(spark, sf_dir).graph
     c = hg.clique_expand(h)
     both = c.unionByName(c.select(F.col("j").alias("i"), F.col("i").alias("j"), "weight"))
     d = both.groupBy("i").agg(F.sum("weight").alias("d"))
     q = cut(both.join(d, "i").select("i", "j", (F.col("weight") / F.col("d")).alias("q")))
-    x = h.inc.select(F.col("vid").alias("source")).distinct().orderBy("source").limit(5).select("source", F.col("source").alias("id"), F.lit(1.0).alias("p"))
+    x = h.inc.select(F.col("vid").alias("source")).distinct().select("source", F.col("source").alias("id"), F.lit(1.0).alias("p"))
     parts = []
     for _ in range(3):
         x = x.join(q, x["id"] == q["i"]).groupBy("source", F.col("j").alias("id")).agg(F.sum(F.col("p") * F.col("q")).alias("p"))
@@ -479,12 +479,12 @@ def metric_rank(spark, sf_dir):
     return tk.average_rank(spark.createDataFrame(rows, "method string, dataset string, metric string, value double")).select("method", r("avg_rank"))
 
 
-@add("""WITH v AS (SELECT vec_id AS id, embedding::DOUBLE[] AS e FROM embeddings WHERE vec_id < 60),
+@add("""WITH v AS (SELECT vec_id AS id, embedding::DOUBLE[] AS e FROM embeddings),
         s AS (SELECT a.id AS i, b.id AS j, 2.0 * list_inner_product(a.e[1:32], b.e[1:32]) AS sim, list_inner_product(a.e, b.e) AS dot FROM v a, v b),
         m AS (SELECT avg(sim) AS ms, avg(dot) AS md FROM s WHERE i = j)
         SELECT round(avg(abs(sim / ms - dot / md)), 6) AS mae FROM s, m""")
 def metric_mae(spark, sf_dir):
-    v = graphs.read(spark, sf_dir, "embeddings").where("vec_id < 60").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("vec"))
+    v = graphs.read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("vec"))
     half = v.select(F.col("id"), F.slice("vec", 1, 32).alias("h"))
     from ..functions.vectors import dot
 

@@ -304,11 +304,13 @@ for _n, _sql, _f in (
     add(f"{_A} {_sql} {_B}", _n)(lambda spark, sf_dir, f=_f: f(*_sides(spark, sf_dir)))
 
 
-@add("SELECT a.l_suppkey AS e, b.l_suppkey AS f, count(*) AS both FROM (SELECT DISTINCT l_suppkey, l_partkey FROM lineitem) a JOIN (SELECT DISTINCT l_suppkey, l_partkey FROM lineitem) b ON a.l_partkey = b.l_partkey AND a.l_suppkey < b.l_suppkey WHERE a.l_suppkey < 20 AND b.l_suppkey < 20 GROUP BY ALL")
+@add("WITH p AS (SELECT DISTINCT l_suppkey AS e, l_partkey AS v FROM lineitem) SELECT a.e, b.e AS f, count(*) AS both FROM p a JOIN p b ON a.v = b.v AND a.e < b.e GROUP BY ALL")
 def edge_intersection(spark, sf_dir):
-    rows = read(spark, sf_dir, "lineitem").where("l_suppkey < 20").groupBy(F.col("l_suppkey").alias("e")).agg(F.collect_set("l_partkey").alias("m"))
-    both = rows.join(F.broadcast(rows.select(F.col("e").alias("f"), F.col("m").alias("o"))), F.col("e") < F.col("f"))
-    return both.select("e", "f", F.size(F.array_intersect("m", "o")).cast("long").alias("both")).where("both > 0")
+    """Common members of hyperedges that have any, as set intersections."""
+    h = graphs.supplier_catalog(spark, sf_dir).graph
+    rows = h.inc.groupBy(F.col("eid").alias("e")).agg(F.collect_set("vid").alias("m"))
+    both = hg.line_graph(h).join(rows, "e").join(rows.select(F.col("e").alias("f"), F.col("m").alias("o")), "f")
+    return both.select("e", "f", F.size(F.array_intersect("m", "o")).cast("long").alias("both"))
 
 
 # Scalar functions.

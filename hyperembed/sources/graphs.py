@@ -165,7 +165,7 @@ def synthetic(spark: SparkSession, n: int, size: int = 3, q: int = 100, seed: in
     return Workload("synthetic", hypergraph_from(rows, "e", "v"), nodes, bits.select("vid", F.col("i").cast("string").alias("dim"), F.lit(1.0).alias("x")), labels)
 
 
-def planted(spark: SparkSession, n: int = 400, classes: int = 4, edges: int = 700, size: int = 4, q: int = 40, purity: int = 80, seed: int = 21) -> Workload:
+def planted(spark: SparkSession, n: int = 400, classes: int = 4, edges: int = 700, size: int = 4, q: int = 40, purity: int = 60, seed: int = 21) -> Workload:
     """Nodes of class vid mod `classes`; a member of a hyperedge is of the hyperedge's class with `purity` percent; attributes lean to the class."""
     e = spark.range(edges).select(F.col("id").alias("e"), F.explode(F.sequence(F.lit(0), F.lit(size - 1))).alias("j"))
     pure = F.pmod(mix(F.col("e"), F.col("j"), seed), F.lit(100)) < purity
@@ -175,7 +175,7 @@ def planted(spark: SparkSession, n: int = 400, classes: int = 4, edges: int = 70
     nodes = spark.range(n).select(F.col("id").alias("vid"))
     bit = nodes.select("vid", F.explode(F.sequence(F.lit(0), F.lit(q - 1))).alias("i"))
     home = F.pmod(F.col("i"), F.lit(classes)) == F.pmod(F.col("vid"), F.lit(classes))
-    bit = bit.where(F.pmod(mix(F.col("vid"), F.col("i"), seed + 4), F.lit(100)) < F.when(home, 30).otherwise(18))
+    bit = bit.where(F.pmod(mix(F.col("vid"), F.col("i"), seed + 4), F.lit(100)) < F.when(home, 40).otherwise(15))
     labels = nodes.select("vid", F.pmod(F.col("vid"), F.lit(classes)).cast("string").alias("y"))
     return Workload("planted", hypergraph_from(rows, "e", "v"), nodes, bit.select("vid", F.col("i").cast("string").alias("dim"), F.lit(1.0).alias("x")), labels)
 
