@@ -36,7 +36,7 @@ MAP_BITS = 26
 #: A token is frequent from so many sets on: the least of these that fills at most a quarter of the bitmap, else the last.
 LEVELS = (16, 64, 256)
 SUBCLASS_SHARE = 0.15
-FLUSH = 2_000_000
+FLUSH = 600_000
 #: Sizes of candidates are compared in steps of this logarithm: five steps cover a ratio of 4/3.
 STEP = np.log(1.07)
 #: Members of a tile in which classes of open buckets are compared.
@@ -65,7 +65,7 @@ BANDS = size_bands()
 class Shingler(dict):
     """Sorted 64-bit hashes of a text's distinct shingles; remembers the hashes of words."""
 
-    def __init__(self, words: int = WORDS, entries: int = 150_000):
+    def __init__(self, words: int = WORDS, entries: int = 100_000):
         super().__init__()
         self.words, self.entries = words, entries
 
