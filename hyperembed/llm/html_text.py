@@ -5,6 +5,10 @@ of calling it content or boilerplate; these costs are the terminal capacities of
 neighbouring blocks and blocks of one parent, the stronger the closer they stand in the DOM. The minimum cut, found by
 maximum flow, labels all blocks at once.
 
+Class names and ids that speak of boilerplate count against what is in their element, except on html, body, main and
+article. Where a name only has such a part (has-sidebar, tag-economy), it does not count on an element that also has a
+name of content, or that holds half of the page's prose or more.
+
 Defined results: null and empty html, and pages without content blocks, give the empty text. Unclosed and crossed tags are
 read as browsers do for the common cases (block tags end an open paragraph, an end tag closes what is open inside).
 A script, style or comment that never ends takes the rest of the page. Rows that repeat are extracted alike.
@@ -15,6 +19,7 @@ from __future__ import annotations
 import html as entities
 import re
 from collections import deque
+from functools import lru_cache
 from math import inf
 
 import pandas as pd
@@ -50,14 +55,16 @@ _BAD_NAME = re.compile(
     r"widgets?|toolbar|pagination|pager|tags?|copyright|legal|disclaimer|outbrain|taboola)(?:$|[\s_-])",
     re.IGNORECASE,
 )
+#: Parts of a name that say where a thing stands or how it is wrapped, not what it is.
+_PLACE = frozenset("site page main primary secondary left right top bottom upper lower global area block box bar wrap wrapper container inner outer section list item items row col column panel thread 1 2 3".split())
 _GOOD_NAME = re.compile(r"(?:^|[\s_-])(?:article\w*|content|post|entry|story|main|text|body)(?:$|[\s_-])", re.IGNORECASE)
 
 
 class Block:
-    __slots__ = ("bias", "heading", "linked", "parent", "path", "text")
+    __slots__ = ("bias", "heading", "linked", "marks", "parent", "path", "text")
 
-    def __init__(self, text, bias, heading, linked, parent, path):
-        self.text, self.bias, self.heading, self.linked, self.parent, self.path = text, bias, heading, linked, parent, path
+    def __init__(self, text, bias, heading, linked, parent, path, marks=()):
+        self.text, self.bias, self.heading, self.linked, self.parent, self.path, self.marks = text, bias, heading, linked, parent, path, marks
 
     @property
     def score(self) -> float:
@@ -69,28 +76,65 @@ class Block:
         return z + 0.8 * self.heading
 
 
-def _bias(tag: str, attrs: str, above: float) -> float:
-    own = TAG_BIAS.get(tag, 0.0)
+@lru_cache(4096)
+def _name_kind(names: str) -> str:
+    """What class names and ids say: bad (a whole name does), part (a part of a name does), good, or nothing."""
+    if not _BAD_NAME.search(names):
+        return "good" if _GOOD_NAME.search(names) else ""
+    good = False
+    for name in names.split():
+        parts = [x for x in re.split("[-_]+", name.lower()) if x]
+        bad = [_BAD_NAME.search(x) is not None for x in parts]
+        if any(bad) and all(b or x in _PLACE for b, x in zip(bad, parts)):
+            return "bad"
+        good = good or name.lower() == "hentry" or bool(parts) and all(_GOOD_NAME.search(x) for x in parts)
+    return "good" if good else "part"
+
+
+def _bias(tag: str, attrs: str, above: float) -> tuple[float, float]:
+    """(score that an element adds to all blocks in it, further score if it turns out not to hold most of the page)."""
+    own, later = TAG_BIAS.get(tag, 0.0), 0.0
     if tag == "header":
         own = -9.0 if above < 2 else -1.0  # a header within an article holds its title
     if attrs:
         if names := " ".join(m.strip("\"'") for m in _NAMES.findall(attrs)):
-            if _BAD_NAME.search(names):
+            kind = _name_kind(names)
+            if tag in ("main", "article"):
+                own += 1.5 * (_GOOD_NAME.search(names) is not None)
+            elif tag in ("html", "body"):
+                pass
+            elif kind == "bad":
                 own = min(own, 0.0) - 9.0
-            elif tag not in ("body", "html") and _GOOD_NAME.search(names):
+            elif kind == "part":
+                later = min(own, 0.0) - 9.0 - own
+            elif kind == "good":
                 own += 1.5
         if (m := _ROLE.search(attrs)) and m[1].lower() in ROLE_BIAS:
             own += ROLE_BIAS[m[1].lower()]
         if _HIDDEN.search(attrs):
             own -= 9.0
-    return own
+    return own, later
+
+
+def _settle(blocks: list[Block], later: dict[int, float]) -> None:
+    """Adds to blocks what the elements in `later` cost, unless an element holds half of the prose or more."""
+    held, total = dict.fromkeys(later, 0), 0
+    for b in blocks:
+        if b.score > 0:
+            prose = len(b.text) - b.linked
+            total += prose
+            for k in b.marks:
+                held[k] += prose
+    for b in blocks:
+        b.bias += sum(later[k] for k in b.marks if not 2 * held[k] >= total > 0)
 
 
 def blocks_of(page: str) -> list[Block]:
     """The page's text blocks in order."""
     out: list[Block] = []
-    # Of each open element: tag, score with its ancestors, number, heading, link, path of block ancestors' numbers.
-    stack = [("", 0.0, 0, False, False, (0,))]
+    # Of each open element: tag, score with its ancestors, number, heading, link, path of block ancestors' numbers, those of `later`.
+    stack = [("", 0.0, 0, False, False, (0,), ())]
+    later: dict[int, float] = {}
     pieces: list[str] = []
     linked, number, at = 0, 0, 0
 
@@ -101,7 +145,7 @@ def blocks_of(page: str) -> list[Block]:
         if text:
             top = next(e for e in reversed(stack) if not e[0] or e[0] in BLOCK_TAGS)
             path = top[5]
-            out.append(Block(text, stack[-1][1], top[3], min(linked, len(text)), path[-2] if len(path) > 1 else path[-1], path))
+            out.append(Block(text, stack[-1][1], top[3], min(linked, len(text)), path[-2] if len(path) > 1 else path[-1], path, stack[-1][6]))
         linked = 0
 
     def add(raw: str):
@@ -145,10 +189,17 @@ def blocks_of(page: str) -> list[Block]:
             continue
         top = stack[-1]
         number += 1
-        stack.append((tag, top[1] + _bias(tag, m["attrs"], top[1]), number, top[3] or tag in HEADINGS, top[4] or tag == "a", (*top[5], number) if block and len(top[5]) < 60 else top[5]))
+        own, more = _bias(tag, m["attrs"], top[1])
+        marks = top[6]
+        if more:
+            later[number] = more
+            marks = (*marks, number)
+        stack.append((tag, top[1] + own, number, top[3] or tag in HEADINGS, top[4] or tag == "a", (*top[5], number) if block and len(top[5]) < 60 else top[5], marks))
     if at < len(page):
         add(page[at:])
     flush()
+    if later:
+        _settle(out, later)
     return out
 
 

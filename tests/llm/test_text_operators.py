@@ -213,6 +213,21 @@ def test_main_text():
     assert len(html_text.main_text("<article>" + "<p>word word word word word. " * 5000)) > 5000 * 20
 
 
+STORY = ["The first paragraph of this story is long enough to be read as prose.", "The second one tells what came after that, and it ends here."]
+
+
+@pytest.mark.parametrize("above, below", [
+    ('<body class="has-sidebar search-results"><article class="post tag-economy hentry comments-open">', "</article>"),
+    ('<html class="no-overlay"><body id="tag-page"><main class="with-sidebar">', "</main>"),
+    ('<body><div class="post tag-economy hentry">', "</div>"),
+    ('<body><div class="layout-content-sidebar"><div class="no-comments">', "</div></div>"),
+])
+def test_main_text_under_names_with_a_bad_part(above, below):
+    rest = '<div class="sidebar-left"><p>Read this other long story about something else entirely.</p></div><div class="related-posts"><p>More that you may like to read here.</p></div>'
+    page = above + "".join(f"<p>{x}</p>" for x in STORY) + below + rest
+    assert html_text.main_text(page) == "\n\n".join(STORY)
+
+
 def test_pages_give_their_articles(spark):
     import html as entities
     import re
