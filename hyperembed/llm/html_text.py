@@ -11,7 +11,9 @@ name of content, or that holds half of the page's prose or more.
 
 Defined results: null and empty html, and pages without content blocks, give the empty text. Unclosed and crossed tags are
 read as browsers do for the common cases (block tags end an open paragraph, an end tag closes what is open inside).
-A script, style or comment that never ends takes the rest of the page. Rows that repeat are extracted alike.
+A script, style, textarea, title, iframe or comment that never ends takes the rest of the page. What an svg, object, canvas,
+select, template or noscript holds counts as boilerplate if the element is closed; where its end tag is missing, its text
+is read like any other (a select ends at the next block tag). Text within math stays. Rows that repeat are extracted alike.
 """
 
 from __future__ import annotations
@@ -20,6 +22,7 @@ import html as entities
 import re
 from collections import deque
 from functools import lru_cache
+from itertools import groupby
 from math import inf
 
 import pandas as pd
@@ -29,13 +32,15 @@ from .common import bounded_batches
 
 _TOKEN = re.compile(
     r"<!--.*?(?:-->|\Z)"
-    r"|<(?P<raw>script|style|noscript|template|svg|iframe|textarea|select|title|math|canvas|object)\b(?:\"[^\"]*+\"|'[^']*+'|[^>\"'])*+>.*?(?:</(?P=raw)\s*>|\Z)"
     r"|<[!?][^>]*+>"
     r"|<(?P<end>/?)(?P<tag>[a-zA-Z][a-zA-Z0-9:-]*+)(?P<attrs>(?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+|[^>]*+)>",
     re.DOTALL | re.IGNORECASE,
 )
 
 # Element kinds of HTML.
+RAW_TAGS = {tag: re.compile(rf"</{tag}\s*>", re.IGNORECASE) for tag in ("script", "style", "textarea", "title", "iframe")}
+EMBEDDED_TAGS = frozenset("svg object canvas select template noscript".split())
+HOLDERS = frozenset("select svg foreignobject".split())
 BLOCK_TAGS = frozenset(
     "address article aside blockquote body caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 "
     "head header hgroup hr html legend li main menu nav ol optgroup option p pre search section summary table tbody td tfoot th thead tr ul".split()
@@ -44,6 +49,7 @@ VOID_TAGS = frozenset("area base br col embed hr img input link meta param sourc
 HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 
 #: Score that a tag adds to all blocks in it.
+EMBEDDED_BIAS = -9.0
 TAG_BIAS = {"article": 3.0, "main": 2.5, "nav": -9.0, "menu": -9.0, "footer": -9.0, "aside": -9.0, "form": -9.0, "button": -9.0, "dialog": -9.0, "label": -6.0, "search": -9.0, "fieldset": -6.0}
 ROLE_BIAS = {"navigation": -9.0, "banner": -9.0, "contentinfo": -9.0, "complementary": -9.0, "search": -9.0, "form": -9.0, "dialog": -9.0, "alert": -9.0, "alertdialog": -9.0, "menu": -9.0, "menubar": -9.0, "toolbar": -9.0, "main": 2.5, "article": 3.0}
 _NAMES = re.compile(r"""(?:class|id)\s*=\s*("[^"]*"|'[^']*'|[^\s>]+)""", re.IGNORECASE)
@@ -61,10 +67,10 @@ _GOOD_NAME = re.compile(r"(?:^|[\s_-])(?:article\w*|content|post|entry|story|mai
 
 
 class Block:
-    __slots__ = ("bias", "heading", "linked", "marks", "parent", "path", "text")
+    __slots__ = ("bias", "heading", "linked", "mark", "parent", "path", "text")
 
-    def __init__(self, text, bias, heading, linked, parent, path, marks=()):
-        self.text, self.bias, self.heading, self.linked, self.parent, self.path, self.marks = text, bias, heading, linked, parent, path, marks
+    def __init__(self, text, bias, heading, linked, parent, path, mark=0):
+        self.text, self.bias, self.heading, self.linked, self.parent, self.path, self.mark = text, bias, heading, linked, parent, path, mark
 
     @property
     def score(self) -> float:
@@ -116,46 +122,68 @@ def _bias(tag: str, attrs: str, above: float) -> tuple[float, float]:
     return own, later
 
 
-def _settle(blocks: list[Block], later: dict[int, float]) -> None:
-    """Adds to blocks what the elements in `later` cost, unless an element holds half of the prose or more."""
-    held, total = dict.fromkeys(later, 0), 0
+def _settle(blocks: list[Block], marked: dict[int, tuple[int, float]], closed: set[int]) -> None:
+    """Adds to blocks what `closed` embedded elements cost, and names in elements that do not hold half of the prose or more.
+
+    `marked` holds, by number of element, the marked element around it and the cost of its names, outer elements first.
+    """
+    cost = {0: 0.0}
+    for k, (above, _) in marked.items():
+        cost[k] = cost[above] + EMBEDDED_BIAS * (k in closed)
+    held, total = dict.fromkeys(cost, 0), 0
     for b in blocks:
+        b.bias += cost[b.mark]
         if b.score > 0:
-            prose = len(b.text) - b.linked
-            total += prose
-            for k in b.marks:
-                held[k] += prose
+            total += len(b.text) - b.linked
+            held[b.mark] += len(b.text) - b.linked
+    for k in reversed(marked):
+        held[marked[k][0]] += held[k]
+    for k, (above, names) in marked.items():
+        cost[k] = cost[above] + (0.0 if 2 * held[k] >= total > 0 else names)
     for b in blocks:
-        b.bias += sum(later[k] for k in b.marks if not 2 * held[k] >= total > 0)
+        b.bias += cost[b.mark]
 
 
 def blocks_of(page: str) -> list[Block]:
     """The page's text blocks in order."""
     out: list[Block] = []
-    # Of each open element: tag, score with its ancestors, number, heading, link, path of block ancestors' numbers, those of `later`.
-    stack = [("", 0.0, 0, False, False, (0,), ())]
-    later: dict[int, float] = {}
+    # Of each open element: tag, score with its ancestors, number, heading, link, path of block ancestors' numbers, number of the
+    # marked element around it, places in the stack (0: none) of the outermost embedded element and of the last HOLDERS element.
+    stack = [("", 0.0, 0, False, False, (0,), 0, 0, 0)]
+    marked: dict[int, tuple[int, float]] = {}
+    closed: set[int] = set()
     pieces: list[str] = []
+    inner: list[tuple] = []  # (open element, text) within embedded elements: kept apart, so they do not split a paragraph
     linked, number, at = 0, 0, 0
 
+    def emit(parts, e, linked):
+        if text := " ".join("".join(parts).split()):
+            path = e[5]
+            out.append(Block(text, e[1], e[3], min(linked, len(text)), path[-2] if len(path) > 1 else path[-1], path, e[6]))
+
     def flush():
         nonlocal linked
-        text = " ".join("".join(pieces).split()) if pieces else ""
-        pieces.clear()
-        if text:
-            top = next(e for e in reversed(stack) if not e[0] or e[0] in BLOCK_TAGS)
-            path = top[5]
-            out.append(Block(text, stack[-1][1], top[3], min(linked, len(text)), path[-2] if len(path) > 1 else path[-1], path, stack[-1][6]))
+        if pieces:
+            emit(pieces, stack[stack[-1][7] - 1], linked)  # place 0 gives the last
+            pieces.clear()
         linked = 0
+        if inner:
+            for _, group in groupby(inner, key=lambda x: x[0][6]):
+                group = list(group)
+                emit([x for _, x in group], group[0][0], sum(len(x.strip()) for e, x in group if e[4]))
+            inner.clear()
 
     def add(raw: str):
         nonlocal linked
         text = entities.unescape(raw) if "&" in raw else raw
+        if stack[-1][7]:
+            inner.append((stack[-1], text))
+            return
         pieces.append(text)
         if stack[-1][4]:
             linked += len(text.strip())
 
-    for m in _TOKEN.finditer(page):
+    while m := _TOKEN.search(page, at):
         if m.start() > at:
             add(page[at: m.start()])
         at = m.end()
@@ -163,19 +191,34 @@ def blocks_of(page: str) -> list[Block]:
         if tag is None:
             continue
         tag = tag.lower()
+        if tag in RAW_TAGS:
+            if not m["end"] and not (m["attrs"].endswith("/") and any(e[0] in ("svg", "math") for e in stack)):
+                end = RAW_TAGS[tag].search(page, at)
+                at = end.end() if end else len(page)
+            continue
         block = tag in BLOCK_TAGS
+        if block and stack[-1][7]:
+            k = stack[-1][8]
+            if stack[k][0] == "select" and tag in ("option", "optgroup", "hr"):
+                add(" ")
+                continue
+            if stack[k][0] in ("select", "svg") and not m["end"]:  # these hold no blocks
+                del stack[k:]
         if m["end"]:
             if block:
                 flush()
             for k in range(len(stack) - 1, 0, -1):
                 if stack[k][0] == tag:
+                    if tag in EMBEDDED_TAGS:
+                        closed.add(stack[k][2])
                     del stack[k:]
                     break
-                if not block and stack[k][0] in BLOCK_TAGS:  # an inline end tag closes nothing outside its block
+                # An inline end tag closes nothing outside its block.
+                if not block and tag not in EMBEDDED_TAGS and stack[k][0] in BLOCK_TAGS:
                     break
             continue
         if tag == "br":
-            pieces.append(" ")
+            add(" ")
             continue
         if block:
             flush()
@@ -183,23 +226,28 @@ def blocks_of(page: str) -> list[Block]:
                 if stack[k][0] == "p" or stack[k][0] == tag == "li":
                     del stack[k:]
                     break
-                if stack[k][0] in BLOCK_TAGS:
+                if stack[k][0] in BLOCK_TAGS or stack[k][0] in EMBEDDED_TAGS:
                     break
         if tag in VOID_TAGS or m["attrs"].endswith("/"):
             continue
         top = stack[-1]
         number += 1
-        own, more = _bias(tag, m["attrs"], top[1])
-        marks = top[6]
-        if more:
-            later[number] = more
-            marks = (*marks, number)
-        stack.append((tag, top[1] + own, number, top[3] or tag in HEADINGS, top[4] or tag == "a", (*top[5], number) if block and len(top[5]) < 60 else top[5], marks))
+        embedded = tag in EMBEDDED_TAGS
+        own, names = (0.0, 0.0) if embedded else _bias(tag, m["attrs"], top[1])
+        mark = top[6]
+        if names or embedded:
+            marked[number] = (mark, names)
+            mark = number
+        if tag == "select":
+            closed.add(number)
+        path = (*top[5], number) if block and len(top[5]) < 60 else top[5]
+        place = len(stack)
+        stack.append((tag, top[1] + own, number, top[3] or tag in HEADINGS, top[4] or tag == "a", path, mark, top[7] or place * embedded, place if tag in HOLDERS else top[8]))
     if at < len(page):
         add(page[at:])
     flush()
-    if later:
-        _settle(out, later)
+    if marked:
+        _settle(out, marked, closed)
     return out
 
 

@@ -228,6 +228,27 @@ def test_main_text_under_names_with_a_bad_part(above, below):
     assert html_text.main_text(page) == "\n\n".join(STORY)
 
 
+@pytest.mark.parametrize("before", [
+    '<svg viewBox="0 0 1 1"/>', "<math/>", "<svg><title/><style/></svg>", "<select><option>One<option>Two", '<object data="x">', "<canvas id=c>", "<template>", "<noscript>", "<svg><text>a",
+])
+def test_main_text_after_open_or_self_closed_elements(before):
+    article = "<article>" + "".join(f"<p>{x}</p>" for x in STORY) + "</article>"
+    after = "<nav><select><option>Three</select><object></object><canvas></canvas><template></template><noscript></noscript><svg></svg></nav>"
+    for page in (before + article, before + article + after, f"<div>{before}</div>{article}"):
+        assert html_text.main_text(page) == "\n\n".join(STORY)
+
+
+def test_main_text_of_embedded_elements():
+    inner = "A sentence of its own that is long enough to look like prose, but is no part of the page."
+    for tag in ("object", "canvas", "template", "noscript"):
+        page = f"<article><p>{STORY[0]}</p><{tag}><p>{inner}</p></{tag}><p>{STORY[1]}</p></article>"
+        assert html_text.main_text(page) == "\n\n".join(STORY)
+    page = f"<article><p>{STORY[0]} <svg><text>{inner}</text></svg><select><option>{inner}</option></select>{STORY[1]}</p></article>"
+    assert html_text.main_text(page) == " ".join(STORY)
+    page = "<article><p>The area of this circle is <math><mi>r</mi><mo>&#178;</mo></math> times the well known number, as was shown above.</p></article>"
+    assert html_text.main_text(page) == "The area of this circle is r² times the well known number, as was shown above."
+
+
 def test_pages_give_their_articles(spark):
     import html as entities
     import re
