@@ -17,10 +17,11 @@ class LabelModel:
         """`belief` holds, for label 0 and 1, expected shares of votes -1, 0, 1; it counts as `strength` times the data."""
         self.prior, self.smoothing, self.steps, self.weigh, self.belief, self.strength = prior, smoothing, steps, weigh_correlated, belief, strength
 
-    def fit(self, votes: np.ndarray, counts: np.ndarray, anchor: np.ndarray | None = None, start_accuracy: float = 0.8) -> LabelModel:
+    def fit(self, votes: np.ndarray, counts: np.ndarray, anchor: np.ndarray | None = None, start_accuracy: float = 0.8, weights: np.ndarray | None = None) -> LabelModel:
         """`votes` (patterns x voters) in {-1, 0, 1} with `counts`; starts from voters that are right with `start_accuracy`.
 
-        `anchor`, where given, holds a first guess of P(label 1) per pattern (NaN: none).
+        `anchor`, where given, holds a first guess of P(label 1) per pattern (NaN: none); `weights`, where given, say how much
+        each voter counts, in place of weights from correlations.
         """
         votes, counts = np.asarray(votes, np.int8), np.asarray(counts, float)
         n, m = votes.shape
@@ -31,7 +32,7 @@ class LabelModel:
         self.table[1] = np.stack([active[0] * (1 - start_accuracy), active[1], active[2] * start_accuracy]) + 1e-9
         self.table[0] = np.stack([active[0] * start_accuracy, active[1], active[2] * (1 - start_accuracy)]) + 1e-9
         self.table /= self.table.sum(axis=1, keepdims=True)
-        self.weights = self._weights(votes, counts, anchor) if self.weigh else np.ones(m)
+        self.weights = np.asarray(weights, float) if weights is not None else self._weights(votes, counts, anchor) if self.weigh else np.ones(m)
         if n == 0 or counts.sum() == 0:
             return self
         first = None if anchor is None else np.asarray(anchor, float)

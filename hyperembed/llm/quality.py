@@ -4,6 +4,11 @@ One pass over the texts counts what the rules need; the votes of a document are
 the histogram of those numbers (at most 3 ** rules rows, whatever the corpus) and gives each a posterior probability of
 good quality, which takes the place of a filter that every rule must pass.
 
+Beliefs say what a vote against is worth and outweigh the data 5 to 1, as kinds of junk differ and the data alone would call
+the largest kind the bad class. How much each rule counts comes from the data alone in large corpora: a rule whose votes
+against come as often with doubts of other rules as any text does is noise, and loses its weight. So one vote against of a
+rule that the others bear out rejects a text, and one of a rule that fires at random does not.
+
 Defined results: a null or empty text has no words, all counts are 0 and base_failed is true. Rows that repeat a doc_id
 are documents of their own. On an empty table the model keeps its start values and the result is empty.
 """
@@ -39,6 +44,9 @@ RULES = {
 }
 #: What is expected of a rule before the data speak: shares of votes against, abstentions and votes for, on bad and on good texts.
 BELIEF = {0: (0.15, 0.05, 0.8), 1: (0.0005, 0.0995, 0.9)}
+BELIEF_STRENGTH = 5.0
+#: So many votes against, all borne out, does every rule have before the data speak.
+WEIGHT_PRIOR = 10.0
 STATS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 
 
@@ -129,16 +137,40 @@ def measure_documents(df: DataFrame, text: str = "text", ident: str = "doc_id")
     return stash(df.select(F.col(ident).alias("_id"), F.col(text).alias("_text")).mapInArrow(_measured, schema), "quality")
 
 
+def rule_weights(votes: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """Of each rule a weight from 0 to 1: twice the share of its votes against that others bear out beyond chance.
+
+    Other rules bear out a vote against where one of them does not vote for the text; how often that is so by chance, the
+    texts without this rule's vote against tell.
+    """
+    doubt = votes != 1
+    out = np.ones(votes.shape[1])
+    for k in range(votes.shape[1]):
+        against, other = votes[:, k] < 0, doubt.sum(1) > doubt[:, k]
+        n, rest = counts[against].sum(), counts[~against].sum()
+        chance = counts[~against & other].sum() / max(rest, 1)
+        if chance < 1:
+            beyond = (counts[against & other].sum() - n * chance) / (1 - chance)
+            out[k] = np.clip(2 * (WEIGHT_PRIOR + beyond) / (WEIGHT_PRIOR + n), 0, 1)
+    return out
+
+
 def fit_rules(measured: DataFrame) -> tuple[LabelModel, dict[int, float]]:
     """The label model over all documents with words, and the posterior of every vote pattern that occurs."""
     rows = measured.groupBy("pattern").agg(F.sum(F.expr("cast(n_words > 0 as long)")).alias("n")).orderBy("pattern").collect()
     patterns, counts = np.array([r.pattern for r in rows], int), np.array([r.n for r in rows], float)
     votes = votes_of(patterns)
-    # First guess: a rule that votes against a text is seldom wrong. What each rule is worth, the data then tell.
-    model = LabelModel(prior=0.9, weigh_correlated=False, belief=BELIEF, strength=5.0).fit(votes, counts, np.where((votes < 0).any(1), 0.1, 0.97))
+    model = fit_votes(votes, counts)
     return model, dict(zip(patterns.tolist(), model.posterior(votes).tolist()))
 
 
+def fit_votes(votes: np.ndarray, counts: np.ndarray) -> LabelModel:
+    """The label model of vote patterns. First guess: a vote against is seldom wrong if others bear out its rule."""
+    weights = rule_weights(votes, counts)
+    first = np.where(((votes < 0) & (weights >= 0.5)).any(1), 0.1, 0.97)
+    return LabelModel(prior=0.9, belief=BELIEF, strength=BELIEF_STRENGTH).fit(votes, counts, first, weights=weights)
+
+
 def judge(df: DataFrame, text: str = "text", ident: str = "doc_id", threshold: float = 0.5) -> DataFrame:
     """(ident, STATS, base_failed, quality, kept): quality is the posterior probability, kept its verdict at `threshold`."""
     measured = measure_documents(df, text, ident)

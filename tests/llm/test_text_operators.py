@@ -132,6 +132,21 @@ def test_quality_verdict_finds_junk(spark):
     assert [r.kept for r in quality.judge(df).collect()] == [False, False] and quality.judge(df.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("rate", [0.02, 0.05])
+def test_quality_rule_with_random_votes_is_weighed_down(rate):
+    rng = np.random.default_rng(3)
+    n, rules = 20000, len(quality.RULES)
+    bad = rng.random(n) < 0.1
+    votes = np.where(rng.random((n, rules)) < np.where(bad, 0.3, 0.0)[:, None], -1, np.where(rng.random((n, rules)) < 0.05, 0, 1))
+    votes[:, 6] = np.where(rng.random(n) < rate, -1, 1)
+    pattern, back, counts = np.unique(votes, axis=0, return_inverse=True, return_counts=True)
+    model = quality.fit_votes(pattern, counts.astype(float))
+    kept = model.posterior(pattern)[back.ravel()] >= 0.5
+    informed = (np.delete(votes, 6, 1) < 0).any(1)
+    assert model.weights[6] < 0.2 and (np.delete(model.weights, 6) > 0.9).all()
+    assert kept[~bad & (votes[:, 6] < 0)].mean() > 0.99 and kept[~bad].mean() > 0.99 and kept[bad & informed].mean() < 0.01
+
+
 def test_label_model_recovers_accuracies():
     rng = np.random.default_rng(2)
     y = rng.random(4000) < 0.7
