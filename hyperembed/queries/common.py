@@ -9,6 +9,8 @@ from ..session import cut, small
 from ..sources import graphs
 
 BETA, NEIGHBOURS = 1.0, 10
+#: Suffix of a query: the workload it runs on, over whole tables; the planted graph reads none.
+WORKLOADS = {"": graphs.order_baskets, "_days": graphs.user_days, "_vectors": graphs.vec_buckets, "_planted": lambda spark, sf_dir: graphs.planted(spark)}
 
 
 class Registry:

@@ -9,7 +9,7 @@ from ..operators import hypergraph as hg, lowrank as lr, walk as wk
 from ..plans import embed as em, experiments as ex
 from ..session import cut
 from ..sources import graphs
-from .common import Registry, r, sql_vectors, sql_walk, starts, vectors_graph
+from .common import WORKLOADS, Registry, r, sql_vectors, sql_walk, starts, vectors_graph
 
 _reg = Registry()
 add, verdict = _reg.add, _reg.verdict
@@ -20,9 +20,30 @@ def _planted(spark):
     return graphs.planted(spark, n=240, edges=420)
 
 
-@add()
-def exp_node_cls(spark, sf_dir):
-    return ex.node_classification(spark, _planted(spark))
+def _small_planted(spark):
+    return graphs.planted(spark, n=120, edges=200)
+
+
+SWEEPS = {"K": (2, 10, 20), "beta": (0.1, 1.0, 10.0), "r": (8, 16, 24), "alpha": (0.001, 0.1, 0.3), "tau": (1, 3, 5), "b": (16, 64, 128)}
+#: Experiments, with the planted graph of each.
+EXPERIMENTS = {
+    "exp_node_cls": (ex.node_classification, _planted), "exp_edge_cls": (ex.edge_classification, _planted), "exp_link": (ex.link_prediction, _planted),
+    "exp_time": (ex.running_time, _planted), "exp_ablation": (ex.ablation, _planted), "exp_extended_baselines": (ex.extended_baselines, _planted),
+    "exp_grid": (lambda spark, w: ex.grid(spark, w, ks=(5,), ranks=(8, 16)), _small_planted),
+} | {f"exp_{what}": (lambda spark, w, what=what, values=values: ex.sweep(spark, w, what, values), _small_planted) for what, values in SWEEPS.items()}
+
+
+def _experiment(name, run, planted):
+    """`name` and its runs on the other workloads, each over the whole table."""
+    for suffix, source in WORKLOADS.items():
+        if suffix == "_planted":
+            add(name=name + suffix)(lambda spark, sf_dir: run(spark, planted(spark)))
+        else:
+            add(name=name + suffix)(lambda spark, sf_dir, source=source: run(spark, source(spark, sf_dir)))
+
+
+for _name, (_run, _graph) in EXPERIMENTS.items():
+    _experiment(_name, _run, _graph)
 
 
 @add()
@@ -31,31 +52,16 @@ def task_node(spark, sf_dir):
     return ex.node_classification(spark, graphs.user_days(spark, sf_dir), compared=())
 
 
-@add()
-def exp_edge_cls(spark, sf_dir):
-    return ex.edge_classification(spark, _planted(spark))
-
-
 @add()
 def task_edge(spark, sf_dir):
     return ex.edge_classification(spark, graphs.user_days(spark, sf_dir))
 
 
-@add()
-def exp_link(spark, sf_dir):
-    return ex.link_prediction(spark, _planted(spark))
-
-
 @add()
 def task_link(spark, sf_dir):
     return ex.link_prediction(spark, graphs.user_days(spark, sf_dir))
 
 
-@add()
-def exp_time(spark, sf_dir):
-    return ex.running_time(spark, _planted(spark))
-
-
 @add()
 def exp_scale(spark, sf_dir):
     return ex.scaling(spark)
@@ -66,25 +72,6 @@ def exp_mae(spark, sf_dir):
     return ex.approximation_error(spark, graphs.user_days(spark, sf_dir))
 
 
-@add()
-def exp_ablation(spark, sf_dir):
-    return ex.ablation(spark, _planted(spark))
-
-
-@add()
-def exp_extended_baselines(spark, sf_dir):
-    return ex.extended_baselines(spark, _planted(spark))
-
-
-@add()
-def exp_grid(spark, sf_dir):
-    return ex.grid(spark, graphs.planted(spark, n=120, edges=200), ks=(5,), ranks=(8, 16))
-
-
-for _what, _values in {"K": (2, 10, 20), "beta": (0.1, 1.0, 10.0), "r": (8, 16, 24), "alpha": (0.001, 0.1, 0.3), "tau": (1, 3, 5), "b": (16, 64, 128)}.items():
-    add(name=f"exp_{_what}")(lambda spark, sf_dir, w=_what, v=_values: ex.sweep(spark, graphs.planted(spark, n=120, edges=200), w, v))
-
-
 @verdict("both_methods_close", "full_beats_no_attributes", "full_beats_one_hop", "dense_mae_not_larger")
 def reported_shapes(spark, sf_dir):
     """What the experiments should show on the planted graph: order of the methods, not their values."""

@@ -11,7 +11,7 @@ from ..operators.blocks import gram, half_step
 from ..plans import embed as em
 from ..session import cut
 from ..sources import graphs
-from .common import SQL_BASKETS, Registry, extended, r, sql_vectors, sql_walk, vectors_graph
+from .common import SQL_BASKETS, WORKLOADS, Registry, extended, r, sql_vectors, sql_walk, vectors_graph
 
 _reg = Registry()
 add, verdict = _reg.add, _reg.verdict
@@ -320,43 +320,45 @@ def objective_value(spark, sf_dir):
 
 
 def _baseline(name, make):
-    @add(name=name)
-    def run(spark, sf_dir):
-        w = graphs.planted(spark)
-        return make(w, graphs.dense_attributes(w))
+    """`name` and its runs on the other workloads, each over the whole table."""
+    for suffix, source in WORKLOADS.items():
 
-    return run
+        @add(name=name + suffix)
+        def run(spark, sf_dir, source=source):
+            w = source(spark, sf_dir)
+            dense = cut(graphs.dense_attributes(w))
+            return make(w, dense, len(dense.first()["attrs"]))
 
 
-WIDTH = 40
 for _name, _make in {
-    "base_walk_skipgram": lambda w, a: bl.base_walk_skipgram(w.graph, K),
-    "base_walk_restart": lambda w, a: bl.base_walk_skipgram(w.graph, K, restart=0.1),
-    "base_affinity": lambda w, a: bl.base_affinity(w.graph, a, WIDTH, K),
-    "base_linear_filter": lambda w, a: bl.base_linear_filter(w.graph, a, WIDTH, K),
-    "base_node_attr_graph": lambda w, a: bl.base_node_attr_graph(w.graph, a, WIDTH, K),
-    "base_anchor": lambda w, a: bl.base_anchor(w.graph, K),
-    "base_als": lambda w, a: bl.base_als(w.graph, K),
-    "base_als_edges": lambda w, a: bl.base_als(w.graph, K, side="edge"),
-    "base_virtual_label": lambda w, a: bl.base_virtual_label(w.graph, a, WIDTH, K),
-    "base_two_view": lambda w, a: bl.base_two_view(w.graph, a, WIDTH, K),
-    "base_fill": lambda w, a: bl.base_fill(w.graph, a, WIDTH, K),
-    "base_dense_mf": lambda w, a: bl.base_dense_mf(w.graph, K),
-    "base_sparse_mf": lambda w, a: bl.base_sparse_mf(w.graph, K),
-    "base_spectral": lambda w, a: bl.base_spectral(w.graph, K),
+    "base_walk_skipgram": lambda w, a, q: bl.base_walk_skipgram(w.graph, K),
+    "base_walk_restart": lambda w, a, q: bl.base_walk_skipgram(w.graph, K, restart=0.1),
+    "base_affinity": lambda w, a, q: bl.base_affinity(w.graph, a, q, K),
+    "base_linear_filter": lambda w, a, q: bl.base_linear_filter(w.graph, a, q, K),
+    "base_node_attr_graph": lambda w, a, q: bl.base_node_attr_graph(w.graph, a, q, K),
+    "base_anchor": lambda w, a, q: bl.base_anchor(w.graph, K),
+    "base_als": lambda w, a, q: bl.base_als(w.graph, K),
+    "base_als_edges": lambda w, a, q: bl.base_als(w.graph, K, side="edge"),
+    "base_virtual_label": lambda w, a, q: bl.base_virtual_label(w.graph, a, q, K),
+    "base_two_view": lambda w, a, q: bl.base_two_view(w.graph, a, q, K),
+    "base_fill": lambda w, a, q: bl.base_fill(w.graph, a, q, K),
+    "base_dense_mf": lambda w, a, q: bl.base_dense_mf(w.graph, K),
+    "base_sparse_mf": lambda w, a, q: bl.base_sparse_mf(w.graph, K),
+    "base_spectral": lambda w, a, q: bl.base_spectral(w.graph, K),
 }.items():
     _baseline(_name, _make)
 
 
-@add()
-def base_two_view_extended(spark, sf_dir):
+def _two_view_extended(w, dense, q):
     """The two-view learner with rows of the node similarity appended to the attributes."""
-    w = graphs.planted(spark, n=200, edges=350)
-    x = extended(spark, w)
+    x = extended(w.graph.inc.sparkSession, w)
     ids, sim = em.dense_similarity(x)
-    extra = lr.to_frame(spark, ids, sim).withColumnRenamed("vec", "s")
-    dense = graphs.dense_attributes(w).join(extra.withColumnRenamed("id", "vid"), "vid").select("vid", F.concat("attrs", "s").alias("attrs"))
-    return bl.base_two_view(w.graph, dense, WIDTH + len(ids), K)
+    extra = lr.to_frame(w.graph.inc.sparkSession, ids, sim).withColumnRenamed("vec", "s")
+    both = dense.join(extra.withColumnRenamed("id", "vid"), "vid").select("vid", F.concat("attrs", "s").alias("attrs"))
+    return bl.base_two_view(w.graph, both, q + len(ids), K)
+
+
+_baseline("base_two_view_extended", _two_view_extended)
 
 
 @verdict("starts_everywhere", "steps_follow_hyperedges", "repeatable")

@@ -7,6 +7,7 @@ import duckdb
 import pytest
 
 from hyperembed.queries import ORACLES, QUERIES
+from hyperembed.sources import graphs
 
 SF = "/root/testdata/sf0.001"
 #: Minutes of work in all; run by the driver's gate, and here with HYPEREMBED_ALL=1.
@@ -34,3 +35,15 @@ def test_against_sql(spark, duck, name):
     columns = [d[0] for d in result.description]
     assert sorted(df.columns) == sorted(columns)
     assert got == rows(columns, result.fetchall())
+
+
+@pytest.mark.parametrize("name, source", [("base_anchor", graphs.order_baskets), ("base_dense_mf_vectors", graphs.vec_buckets), ("base_linear_filter_days", graphs.user_days)])
+def test_compared_methods_read_the_tables(spark, name, source):
+    ids = [x[0] for x in QUERIES[name](spark, SF).select("id").collect()]
+    assert sorted(ids) == sorted(x[0] for x in source(spark, SF).graph.inc.select("vid").distinct().collect())
+
+
+def test_compared_methods_and_experiments_on_every_workload():
+    names = [n for n in QUERIES if n.startswith(("base_", "exp_")) and n not in ("exp_scale", "exp_scale_settings", "exp_mae")]
+    roots = {n for n in names if not n.endswith(("_days", "_vectors", "_planted"))}
+    assert len(roots) == 15 + 13 and set(names) == {n + s for n in roots for s in ("", "_days", "_vectors", "_planted")}
