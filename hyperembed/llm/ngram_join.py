@@ -154,8 +154,8 @@ def prefix_signatures(s: np.ndarray, frequent: np.ndarray) -> tuple[np.ndarray,
     return rare, np.unique(np.concatenate(out)) if out else np.zeros(0, U)
 
 
-def _fresh_sets(batches, shingler):
-    """(id, set, key) of the rows; the set is None where this partition has had it before."""
+def _fresh_sets(batches, shingler, named: bool = False):
+    """(id, set, key) of the rows; the set is None where this partition has had it before. With `named`, only rows with an id have sets."""
     seen: set[bytes] = set()
     for b in batches:
         for ident, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
@@ -164,7 +164,7 @@ def _fresh_sets(batches, shingler):
                 yield ident, None, None, 0
                 continue
             key = set_key(s)
-            new = key not in seen
+            new = key not in seen and not (named and ident is None)
             if new:
                 if len(seen) > 500_000:
                     seen.clear()
@@ -287,9 +287,9 @@ def _index_rows(shared, frequent, bits: int, kind: pa.DataType, words: int):
 
     def run(batches):
         rows, parts, n = [], [], 0
-        for ident, s, key, size in _fresh_sets(batches, Shingler(words)):
+        for ident, s, key, size in _fresh_sets(batches, Shingler(words), named=True):
             handle = pairs = profile = None
-            if s is not None and ident is not None:
+            if s is not None:
                 often = is_marked(s, frequent.value)
                 handle = handle_of(key, size, size - int(np.count_nonzero(often)))
                 singles, combos = prefix_signatures(s, often)

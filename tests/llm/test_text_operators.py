@@ -106,6 +106,14 @@ def test_prefixes_share_a_signature():
                 assert ngram_join.overlap_bound(ngram_join.profile_of(x), ngram_join.profile_of(y)) >= both
 
 
+def test_shingle_set_that_a_row_without_id_has_first(spark):
+    near = near_texts(5, 12)[0].split()
+    texts = [" ".join(near), " ".join(near[:-1] + ["other"])]
+    df = spark.createDataFrame([(None, texts[0]), (7, texts[0]), (3, texts[1])], "doc_id long, text string").coalesce(1)
+    n = len(near) - 4
+    assert rows_of(ngram_join.near_duplicate_classes(df)) == sorted(map(repr, [(None, n, None), (7, n, 3), (3, n, 3)]))
+
+
 def test_shingle_edge_cases(spark):
     df = spark.createDataFrame([(None, "a b c d e f"), (4, "a b c d e f"), (2, "a b c d e f"), (2, "other words of the same id"), (9, None)], "doc_id long, text string")
     assert rows_of(ngram_join.near_duplicate_classes(df)) == sorted(map(repr, [(None, 2, None), (4, 2, 2), (2, 2, 2), (2, 2, 2), (9, 0, 9)]))
