@@ -24,6 +24,7 @@ its class is null; rows that repeat a doc_id with other texts are nodes of their
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F
@@ -533,12 +534,27 @@ def near_duplicate_classes(df: DataFrame, text: str = "text", ident: str = "doc_
     # Only sets of several documents, and linked ones, have a class beyond themselves.
     table = stash(named.where("linked or _size > 1").join(classes, "root").select("key", "_class"), "classes")
     rows = join.rows.drop("handle").join(maybe_broadcast(table, 64), "key", "left")
-    rows = rows.select("_id", "n", F.when(F.col("_id").isNotNull(), F.coalesce("_class", "_id")).alias("_class"))
+    rows = rows.select("_id", "key", "n", F.when(F.col("_id").isNotNull(), F.coalesce("_class", "_id")).alias("_class"))
     if not carry:
         return rows.select(F.col("_id").alias(ident), F.col("n").alias("n_shingles"), F.col("_class").alias("component_id"))
     goes = maybe_broadcast(stash(rows.where("_class != _id").select("_id", "_class").distinct(), "goes"), 48)
     packed = df.select(F.struct("*").alias("_row"), F.col(ident).alias("_id"))
-    return packed.join(goes, "_id", "left").select("_row", F.coalesce("_class", "_id").alias("component_id"))
+    named = lambda found: found.select("_row", F.coalesce("_class", "_id").alias("component_id"))
+    # An id that repeats with other texts may have rows of several classes; only there the class goes by the row's set.
+    several = rows.join(goes.select("_id").distinct(), "_id", "left_semi").groupBy("_id").agg(F.min("_class").alias("lo"), F.max("_class").alias("hi")).where("lo != hi")
+    several = stash(several.select("_id"), "several")
+    if not several.limit(1).count():
+        return named(packed.join(goes, "_id", "left"))
+    several = maybe_broadcast(several, 16)
+
+    @F.pandas_udf("binary")
+    def key_of(texts: pd.Series) -> pd.Series:
+        sets = map(Shingler(words), (t if isinstance(t, str) else None for t in texts))
+        return pd.Series([set_key(s) if len(s) else None for s in sets], dtype=object)
+
+    classes = stash(rows.join(several, "_id", "left_semi").where("key is not null").select("_id", "key", "_class").distinct(), "classes")
+    own = packed.join(several, "_id", "left_semi").withColumn("key", key_of(F.col("_row")[text])).join(classes, ["_id", "key"], "left")
+    return named(packed.join(several, "_id", "left_anti").join(goes, "_id", "left")).union(named(own))
 
 
 def one_of_each_class(df: DataFrame, text: str = "text", ident: str = "doc_id") -> DataFrame:

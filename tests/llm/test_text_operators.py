@@ -114,6 +114,13 @@ def test_shingle_set_that_a_row_without_id_has_first(spark):
     assert rows_of(ngram_join.near_duplicate_classes(df)) == sorted(map(repr, [(None, n, None), (7, n, 3), (3, n, 3)]))
 
 
+def test_one_of_each_class_keeps_other_texts_of_an_id(spark):
+    text = " ".join(f"w{i}" for i in range(40))
+    rows = [(1, text), (5, text + " more"), (5, "a text of its own without any near copy"), (5, None), (6, text), (None, text), (8, "x y z")]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert rows_of(ngram_join.one_of_each_class(df)) == sorted(map(repr, [rows[0], rows[2], rows[3], rows[5], rows[6]]))
+
+
 def test_shingle_edge_cases(spark):
     df = spark.createDataFrame([(None, "a b c d e f"), (4, "a b c d e f"), (2, "a b c d e f"), (2, "other words of the same id"), (9, None)], "doc_id long, text string")
     assert rows_of(ngram_join.near_duplicate_classes(df)) == sorted(map(repr, [(None, 2, None), (4, 2, 2), (2, 2, 2), (2, 2, 2), (9, 0, 9)]))
