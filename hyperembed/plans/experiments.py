@@ -54,7 +54,7 @@ def edge_scores(run: Run, name: str, method: str, z: DataFrame, w: graphs.Worklo
         run.put(name, method, "macro_f1", f["macro_f1"], param, s)
 
 
-SMALL = em.Settings(k=16, rank=16, b=256)
+SMALL = em.Settings(k=16, rank=16)
 
 
 def node_classification(spark, w: graphs.Workload, settings=SMALL, compared=("linear filter", "affinity", "anchor", "spectral", "dense factorisation")) -> DataFrame:

@@ -6,6 +6,7 @@ import os
 import duckdb
 import pytest
 
+from hyperembed.plans import embed as em, experiments as ex
 from hyperembed.queries import ORACLES, QUERIES
 from hyperembed.sources import graphs
 
@@ -47,3 +48,7 @@ def test_compared_methods_and_experiments_on_every_workload():
     names = [n for n in QUERIES if n.startswith(("base_", "exp_")) and n not in ("exp_scale", "exp_scale_settings", "exp_mae")]
     roots = {n for n in names if not n.endswith(("_days", "_vectors", "_planted"))}
     assert len(roots) == 15 + 13 and set(names) == {n + s for n in roots for s in ("", "_days", "_vectors", "_planted")}
+
+
+def test_experiments_use_the_default_sketch_width():
+    assert ex.SMALL.b == em.Settings().b == 128
