@@ -3,10 +3,14 @@
 from __future__ import annotations
 
 import contextlib
+import ctypes
+import functools
 import gc
+import sys
 import tempfile
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 #: ASCII letters that the contracts fold; other letters keep their case.
@@ -16,6 +20,8 @@ LOWER = UPPER.lower()
 #: White space of the word rule ``[^\x20\x09-\x0D]+``.
 BLANKS = " \t\n\x0b\x0c\r"
 
+_LIBC = ctypes.CDLL("libc.so.6") if sys.platform == "linux" and hasattr(ctypes.CDLL(None), "malloc_trim") else None
+
 #: A small side is broadcast only below this many (estimated) bytes.
 BROADCAST_BYTES = 32 << 20
 
@@ -74,6 +80,27 @@ def without_cycles():
             gc.enable()
 
 
+def give_back() -> None:
+    """Return free memory of this Python worker to the system; workers live on, and what one stage held must not weigh on the next."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    if _LIBC is not None:
+        _LIBC.malloc_trim(0)
+
+
+def tidy(run):
+    """A function over batches that gives memory back when its task ends."""
+
+    @functools.wraps(run)
+    def tidied(batches):
+        try:
+            yield from run(batches)
+        finally:
+            give_back()
+
+    return tidied
+
+
 def bounded_batches(spark: SparkSession, rows: int = 1000) -> None:
     """Long texts make Arrow batches of the default 10,000 rows too large for small executors; a smaller setting of the session stays."""
     key = "spark.sql.execution.arrow.maxRecordsPerBatch"
