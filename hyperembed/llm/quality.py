@@ -4,10 +4,9 @@ One pass over the texts counts what the rules need; the votes of a document are
 the histogram of those numbers (at most 3 ** rules rows, whatever the corpus) and gives each a posterior probability of
 good quality, which takes the place of a filter that every rule must pass.
 
-Beliefs say what a vote against is worth and outweigh the data 5 to 1, as kinds of junk differ and the data alone would call
-the largest kind the bad class. How much each rule counts comes from the data alone in large corpora: a rule whose votes
-against come as often with doubts of other rules as any text does is noise, and loses its weight. So one vote against of a
-rule that the others bear out rejects a text, and one of a rule that fires at random does not.
+The model starts from the guess that bad texts fail a rule now and then and good ones hardly ever; that start counts as a few
+documents. How often each rule is right, and which rules see the same fault, comes from the corpus: an objection that no
+other rule ever shares is weak, one that comes with others or whose rule the others bear out is strong.
 
 Defined results: a null or empty text has no words, all counts are 0 and base_failed is true. Rows that repeat a doc_id
 are documents of their own. On an empty table the model keeps its start values and the result is empty.
@@ -15,11 +14,13 @@ are documents of their own. On an empty table the model keeps its start values a
 
 from __future__ import annotations
 
+from collections import Counter
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import bounded_batches, stash
+from .common import bounded_batches, stash, tidy
 from .label_model import LabelModel
 
 SYMBOLS = b"#*$%&|<>"
@@ -41,12 +42,18 @@ RULES = {
     "exclamations_per_word": (None, 0.0, 0.02, 0.2),
     "digit_share": (None, 0.0, 0.1, 0.3),
     "distinct_words": (0.1, 0.3, 1.0, None),
+    "words_with_letters": (0.8, 0.95, 1.0, None),
+    "words_without_symbols": (0.7, 0.97, 1.0, None),
+    "commonest_word": (None, 0.0, 0.1, 0.25),
+    "letter_share": (0.7, 0.8, 1.0, None),
 }
-#: What is expected of a rule before the data speak: shares of votes against, abstentions and votes for, on bad and on good texts.
-BELIEF = {0: (0.15, 0.05, 0.8), 1: (0.0005, 0.0995, 0.9)}
-BELIEF_STRENGTH = 5.0
-#: So many votes against, all borne out, does every rule have before the data speak.
-WEIGHT_PRIOR = 10.0
+#: Where the model starts: shares of votes against, abstentions and votes for, on bad (0) and on good texts (1).
+START = {0: (0.3, 0.1, 0.6), 1: (0.01, 0.09, 0.9)}
+#: Shapes of letters: a word is its letters, digits, symbols and other marks.
+_SHAPES = bytes.maketrans(bytes(range(256)), bytes(
+    b[0] if (b := bytes([k])) in (b" ", b"\t", b"\n", b"\x0b", b"\x0c", b"\r") else ord("a") if b.isalpha() or k > 127 else ord("0") if b.isdigit() else ord("#") if b in SYMBOLS else ord(".")
+    for k in range(256)
+))
 STATS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 
 
@@ -54,13 +61,14 @@ def _count(data: bytes, which: bytes) -> int:
     return len(data) - len(data.translate(None, which))
 
 
-def repeated_words(words: list) -> tuple[int, int]:
-    """(words that lie in a 3-word window found twice or more, distinct words)."""
+def repeated_words(words: list) -> tuple[int, int, int]:
+    """(words that lie in a 3-word window found twice or more, distinct words, occurrences of the commonest word)."""
     seen: dict = {}
     ids = np.array([seen.setdefault(w, len(seen)) for w in words], np.int64)
     n, k = len(ids), len(seen)
+    top = int(np.bincount(ids).max()) if n else 0
     if n < 4 or k == n:
-        return (0, k)
+        return 0, k, top
     pair = ids[:-1] * k + ids[1:]
     if k > 1 << 20:  # three ids would not fit in 63 bits
         pair = np.unique(pair, return_inverse=True)[1].astype(np.int64)
@@ -75,11 +83,12 @@ def repeated_words(words: list) -> tuple[int, int]:
     cover[:-2] |= again
     cover[1:-1] |= again
     cover[2:] |= again
-    return int(cover.sum()), len(seen)
+    return int(cover.sum()), len(seen), top
 
 
 def measure(text: str | None) -> tuple:
-    """STATS, then lines with a word, capitals, small letters, exclamation marks, digits, distinct words."""
+    """STATS, then lines with a word, capitals, small letters, exclamation marks, digits, distinct words, the commonest word's number,
+    words with a letter, words without a symbol, bytes and bytes of letters in words."""
     data = (text or "").encode("utf-8", "surrogatepass")
     words = data.split()
     dense = data.translate(None, BLANK)
@@ -91,14 +100,17 @@ def measure(text: str | None) -> tuple:
                 dups += 1
             else:
                 seen.add(line)
-    repeats, distinct = repeated_words(words)
+    repeats, distinct, top = repeated_words(words)
+    skeleton = data.translate(_SHAPES)
+    shapes = Counter(skeleton.split())
+    lettered, clean = sum([n for s, n in shapes.items() if b"a" in s]), sum([n for s, n in shapes.items() if b"#" not in s])
     return (len(words), len(dense) - _count(dense, TAILS), _count(data, SYMBOLS), dups, repeats,
-            lines, _count(data, CAPITALS), _count(data, SMALL), data.count(b"!"), _count(data, DIGITS), distinct)
+            lines, _count(data, CAPITALS), _count(data, SMALL), data.count(b"!"), _count(data, DIGITS), distinct, top, lettered, clean, len(dense), skeleton.count(b"a"))
 
 
 def rule_votes(stats: np.ndarray) -> np.ndarray:
     """Votes of RULES, in order, for rows of `measure`."""
-    words, chars, symbols, dups, repeats, lines, capitals, small, marks, digits, distinct = stats.T.astype(float)
+    words, chars, symbols, dups, repeats, lines, capitals, small, marks, digits, distinct, top, lettered, clean, size, letters = stats.T.astype(float)
     some = lambda x: np.maximum(x, 1)
     ratios = {
         "word_length": chars / some(words), "symbols_per_word": symbols / some(words), "duplicate_lines": dups / some(lines),
@@ -106,6 +118,9 @@ def rule_votes(stats: np.ndarray) -> np.ndarray:
         "exclamations_per_word": marks / some(words), "digit_share": digits / some(chars),
         # Distinct words thin out with length; the square root keeps the ratio comparable.
         "distinct_words": np.minimum(1, distinct / some(10 * np.sqrt(words))),
+        "words_with_letters": lettered / some(words), "words_without_symbols": clean / some(words),
+        # The commonest word of a short text is common by chance.
+        "commonest_word": np.where(words < 20, 0.15, top / some(words)), "letter_share": letters / some(size),
     }
     out = np.zeros((len(stats), len(RULES)), np.int8)
     for k, (name, (low, good, to, high)) in enumerate(RULES.items()):
@@ -134,25 +149,7 @@ def measure_documents(df: DataFrame, text: str = "text", ident: str = "doc_id")
     bounded_batches(df.sparkSession)
     kind = df.schema[ident].dataType.simpleString()
     schema = f"_id {kind}, {', '.join(f'{s} long' for s in STATS)}, pattern int"
-    return stash(df.select(F.col(ident).alias("_id"), F.col(text).alias("_text")).mapInArrow(_measured, schema), "quality")
-
-
-def rule_weights(votes: np.ndarray, counts: np.ndarray) -> np.ndarray:
-    """Of each rule a weight from 0 to 1: twice the share of its votes against that others bear out beyond chance.
-
-    Other rules bear out a vote against where one of them does not vote for the text; how often that is so by chance, the
-    texts without this rule's vote against tell.
-    """
-    doubt = votes != 1
-    out = np.ones(votes.shape[1])
-    for k in range(votes.shape[1]):
-        against, other = votes[:, k] < 0, doubt.sum(1) > doubt[:, k]
-        n, rest = counts[against].sum(), counts[~against].sum()
-        chance = counts[~against & other].sum() / max(rest, 1)
-        if chance < 1:
-            beyond = (counts[against & other].sum() - n * chance) / (1 - chance)
-            out[k] = np.clip(2 * (WEIGHT_PRIOR + beyond) / (WEIGHT_PRIOR + n), 0, 1)
-    return out
+    return stash(df.select(F.col(ident).alias("_id"), F.col(text).alias("_text")).mapInArrow(tidy(_measured), schema), "quality")
 
 
 def fit_rules(measured: DataFrame) -> tuple[LabelModel, dict[int, float]]:
@@ -165,10 +162,8 @@ def fit_rules(measured: DataFrame) -> tuple[LabelModel, dict[int, float]]:
 
 
 def fit_votes(votes: np.ndarray, counts: np.ndarray) -> LabelModel:
-    """The label model of vote patterns. First guess: a vote against is seldom wrong if others bear out its rule."""
-    weights = rule_weights(votes, counts)
-    first = np.where(((votes < 0) & (weights >= 0.5)).any(1), 0.1, 0.97)
-    return LabelModel(prior=0.9, belief=BELIEF, strength=BELIEF_STRENGTH).fit(votes, counts, first, weights=weights)
+    """The label model of vote patterns."""
+    return LabelModel(prior=0.9, start=START).fit(votes, counts)
 
 
 def judge(df: DataFrame, text: str = "text", ident: str = "doc_id", threshold: float = 0.5) -> DataFrame:
