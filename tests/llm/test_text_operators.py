@@ -248,6 +248,25 @@ def test_mix_against_brute_force(spark):
     assert mixing.mixed_documents(df).columns == df.columns
 
 
+def test_mix_tilts_documents_by_size(spark):
+    """Within a source the rates follow the exponential tilt of the odds, and the sources' tokens meet their targets."""
+    rng = random.Random(8)
+    rows = [(i, " ".join(["w"] * rng.choice([1, 7, 50, 300, 2500, 9000])), "abcd"[i % 4]) for i in range(240)]
+    rows += [(0, "x " * 2500, "a")] * 5 + [(0, "x " * 2501, "a")] * 3  # ties in one bin
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(3)
+    got = [r.asDict() for r in mixing.mix(df, carry=True).select("_row.source", "size", "target", "rate", "taken", "copies").collect()]
+    for s in "abcd":
+        own = [r for r in got if r["source"] == s]
+        target = own[0]["target"]
+        assert abs(sum(r["size"] * r["rate"] for r in own) - target) < 1e-4 * target and abs(sum(r["taken"] for r in own) - target) < 0.01 * target
+        if max(r["rate"] for r in own) < 2.999:
+            tilt = {r["size"]: math.log(2 * r["rate"] / (3 - r["rate"])) / r["size"] for r in own}  # cap 3: rate = 3 / (1 + 2 e^-x)
+            assert len({r["rate"] for r in own}) > 3 and max(tilt.values()) - min(tilt.values()) < 1e-6
+    again = mixing.mix(df.repartition(5)).groupBy("doc_id").agg(F.sort_array(F.collect_list("taken")).alias("t"))
+    first = mixing.mix(df).groupBy("doc_id").agg(F.sort_array(F.collect_list("taken")).alias("t"))
+    assert rows_of(first) == rows_of(again)
+
+
 # Pages.
 
 
