@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame, Window, functions as F
 from .common import maybe_broadcast, stash
 
 WEIGHTS = (5.0, 2.0, 1.0)
-EXACT, FINE, SLICE = 2048, 512, 50_000
+EXACT, FINE, SLICE = 2048, 512, 1000
 #: Newton rounds of one job, and jobs at most; a source whose tokens are within TOLERANCE of its target is done.
 ROUNDS, JOBS, TOLERANCE = 4, 16, 1e-7
 #: Bins that are diffused at a time.
