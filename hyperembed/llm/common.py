@@ -58,6 +58,12 @@ def maybe_broadcast(df: DataFrame, row_bytes: int, limit: int = BROADCAST_BYTES)
     return F.broadcast(df) if df.count() * row_bytes <= limit else df
 
 
+def block_bits(df: DataFrame, least: int = 8, most: int = 20, block_bytes: int = 4 << 20) -> int:
+    """Bits of a block number such that a block stands for about `block_bytes` of the input, by the planner's estimate of its size."""
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return max(least, min(most, (size // block_bytes).bit_length()))
+
+
 def fold_case(c: Column) -> Column:
     """Lower-case A-Z only; null counts as empty."""
     return F.translate(F.coalesce(c, F.lit("")), UPPER, LOWER)

@@ -7,9 +7,10 @@ Every string of `length` bytes contains whole one of its text's anchors: the gra
 2. each repeated anchor sends its surroundings (all strings around it) to a task of its hash; equal surroundings of one
    partition collapse to the earliest document first. Around hot anchors every string goes to a task of its own hash instead,
    so that the many different surroundings of a common phrase do not meet in one task;
-3. a task sorts the suffixes of its surroundings by deep-shallow sorting: multikey quicksort on 8-byte letters down to a shallow
-   depth, then blind tries for the groups that still agree; strings equal over `length` bytes stand together, and all but
-   those of the least doc_id are removed.
+3. a task sorts the strings around its anchors by deep-shallow sorting: they are bucketed by anchor and place beside it (equal
+   strings agree in both), multikey quicksort on 8-byte letters takes the buckets down to a shallow depth, then blind tries
+   order the groups that still agree; strings equal over `length` bytes stand together, and all but those of the least doc_id
+   are removed.
 
 Defined results: a null text has no bytes; a null doc_id neither removes nor is removed; rows of one doc_id do not remove from
 each other; an empty table gives an empty result. Ids are integers.
@@ -23,7 +24,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import bounded_batches, maybe_broadcast, stash
+from .common import block_bits, bounded_batches, maybe_broadcast, stash, tidy
 from .ngram_join import _blocks, mix64
 
 LENGTH, GRAM = 50, 32
@@ -32,7 +33,7 @@ MAP_BITS = 27
 #: Anchors that so many documents have are hot: their surroundings would fill a task's memory.
 HOT = 65_536
 #: Bytes of text worked on at a time, and records gathered before a partition sends them.
-SLICE, FLUSH = 1 << 18, 80_000
+SLICE, FLUSH = 1 << 18, 100_000
 U = np.uint64
 _BASE = U(0x9E3779B97F4A7C15)
 EMPTY_SHA = hashlib.sha256(b"").hexdigest()
@@ -117,10 +118,25 @@ def _slices(batches):
         yield pack()
 
 
+def pack_sorted(tokens: np.ndarray) -> bytes:
+    """Sorted 32-bit values as packed differences, byte by byte: their upper bytes are mostly zero."""
+    step = np.diff(tokens.astype("<u4"), prepend=np.uint32(0))
+    return _zip(np.ascontiguousarray(step.view(np.uint8).reshape(-1, 4).T).tobytes())
+
+
+def unpack_sorted(data: bytes) -> np.ndarray:
+    step = np.ascontiguousarray(np.frombuffer(_unzip(data), np.uint8).reshape(4, -1).T).view("<u4").ravel()
+    return np.cumsum(step, dtype=np.uint64).astype(np.uint32)
+
+
 def _anchor_pieces(bits: int, length: int):
+    """(block, tokens, counts) of a partition: how many of its documents have an anchor, summed up before it is sent."""
+
     def flush(parts):
-        rows = list(_blocks(np.sort(np.concatenate(parts)), bits))
-        return pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.binary())], ["block", "tokens"])
+        h, count = np.unique(np.concatenate(parts), return_counts=True)
+        count = np.minimum(count, 0xFFFFFFFF).astype("<u4")
+        rows = [(block, pack_sorted(np.frombuffer(low, "<u4")), _zip(n)) for block, low, n in _blocks(h, bits, count)]
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.binary(), pa.binary()))], ["block", "tokens", "counts"])
 
     def run(batches):
         parts, n = [], 0
@@ -139,7 +155,7 @@ def _anchor_pieces(bits: int, length: int):
         if n:
             yield flush(parts)
 
-    return run
+    return tidy(run)
 
 
 def _anchor_segments(bits: int, levels):
@@ -147,9 +163,12 @@ def _anchor_segments(bits: int, levels):
     width = MAP_BITS - bits
 
     def run(key, t):
-        tokens = np.sort(np.concatenate([np.frombuffer(x, "<u4") for x in t.column("tokens").to_pylist()]))
+        tokens = np.concatenate([unpack_sorted(x) for x in t.column("tokens").to_pylist()])
+        counts = np.concatenate([np.frombuffer(_unzip(x), "<u4") for x in t.column("counts").to_pylist()]).astype(np.int64)
+        order = np.argsort(tokens, kind="stable")
+        tokens, counts = tokens[order], counts[order]
         first = np.flatnonzero(np.r_[True, tokens[1:] != tokens[:-1]])
-        count = np.diff(np.r_[first, len(tokens)])
+        count = np.add.reduceat(counts, first)
         maps = []
         for level in levels:
             bitmap = np.zeros(1 << width, bool)
@@ -257,7 +276,11 @@ def _surroundings(repeated, hot, bits: int, length: int):
             for part in np.split(order, np.flatnonzero(np.diff(by[order])) + 1):
                 out.append((int(by[part[0]]), 1, _zip(d[part].tobytes()), _zip(t[part].tobytes()), _zip(s[part].astype("<i4").tobytes()), None, _zip(e[part].astype("<i4").tobytes()), None))
         keep = np.flatnonzero(~later)
-        keep = keep[np.argsort(block[keep], kind="stable")]
+        # By block, and in it by the text from the anchor on: like surroundings side by side pack well.
+        lead = np.where(off[keep] == 255, 0, off[keep]).astype(np.int64)
+        column = np.minimum(lead[:, None] + np.arange(8), rows.shape[1] - 1)
+        text = np.ascontiguousarray(rows[keep[:, None], column]).view(">u8").ravel().astype(U)
+        keep = keep[np.lexsort((text, block[keep]))]
         for part in np.split(keep, np.flatnonzero(np.diff(block[keep])) + 1):
             flat = rows[part][np.arange(rows.shape[1]) < size[part][:, None]]
             out.append((int(block[part[0]]), 0, _zip(doc[part].tobytes()), _zip(tie[part].tobytes()), _zip(place[part].tobytes()), off[part].tobytes(), size[part].tobytes(), _zip(flat.tobytes())))
@@ -296,7 +319,7 @@ def _surroundings(repeated, hot, bits: int, length: int):
         if records.n:
             yield flush(records)
 
-    return run
+    return tidy(run)
 
 
 class BlindTrie:
@@ -346,11 +369,12 @@ class BlindTrie:
                 yield node
 
 
-def deep_shallow_sort(text: np.ndarray, starts: np.ndarray, depth: int, shallow: int = 16) -> tuple[np.ndarray, np.ndarray]:
-    """(order, new): indices into `starts` sorted by the `depth` bytes there, and where a window differs from the one before.
+def deep_shallow_sort(text: np.ndarray, starts: np.ndarray, depth: int, shallow: int = 16, bucket: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """(order, new): indices into `starts` sorted by (bucket, the `depth` bytes there), and where a window differs from the one before.
 
-    Multikey quicksort takes eight bytes as one letter; a group is sorted on only while it has several members. Groups
-    that agree on `shallow` bytes are compared with their first member at once; those that do not wholly agree go to a blind trie.
+    Multikey quicksort takes eight bytes as one letter: a round splits every open group by the letter of its middle member
+    into less, equal and greater, and only the equal part goes on to the next letter. Groups that agree on `shallow` bytes are
+    compared with their first member at once; those that do not wholly agree go to a blind trie.
     """
     n = len(starts)
     padded = np.zeros(len(text) + depth + 8, np.uint8)
@@ -358,21 +382,32 @@ def deep_shallow_sort(text: np.ndarray, starts: np.ndarray, depth: int, shallow:
     letters = np.zeros(len(padded) - 7, U)
     for k in range(8):
         letters = letters << U(8) | padded[k: len(letters) + k].astype(U)
-    order = np.arange(n)
+    order = np.arange(n) if bucket is None else np.argsort(bucket, kind="stable")
     new = np.zeros(n, bool)
     if n:
         new[0] = True
-    for d in range(0, shallow, 8):
-        group = np.cumsum(new) - 1
-        size = np.bincount(group, minlength=1)
-        some = np.flatnonzero(size[group] > 1)
+        if bucket is not None:
+            new[1:] = bucket[order[1:]] != bucket[order[:-1]]
+    level = np.zeros(n, np.int64)  # bytes in which the members of a group agree
+    some = np.arange(n)  # places of open groups
+    while len(some):
+        head = np.flatnonzero(new[some])
+        size = np.diff(np.r_[head, len(some)])
+        group = np.repeat(np.arange(len(head)), size)
+        live = ((size > 1) & (level[some[head]] < shallow))[group]
+        some, group = some[live], group[live]
         if not len(some):
-            return order, new
-        key = letters[starts[order[some]] + d]
-        by = np.lexsort((key, group[some]))
-        order[some] = order[some][by]
-        key = key[by]
-        new[some[1:]] |= (key[1:] != key[:-1]) & (group[some[1:]] == group[some[:-1]])
+            break
+        head = np.flatnonzero(np.r_[True, group[1:] != group[:-1]])
+        size = np.diff(np.r_[head, len(some)])
+        group = np.repeat(np.arange(len(head)), size)
+        letter = letters[starts[order[some]] + level[some]]
+        pivot = letter[head + size // 2][group]
+        side = (letter >= pivot).astype(np.int64) + (letter > pivot)
+        by = np.argsort(group * 3 + side, kind="stable")
+        order[some], side = order[some][by], side[by]
+        level[some] += 8 * (side == 1)
+        new[some[1:]] |= (side[1:] != side[:-1]) & (group[1:] == group[:-1])
     first = np.flatnonzero(new)
     size = np.diff(np.r_[first, n])
     lead = np.repeat(first, size)
@@ -439,7 +474,7 @@ def _settle(length: int):
                 group = np.empty(len(k), np.int64)
                 group[order] = np.cumsum(new) - 1
                 k = np.flatnonzero(np.bincount(group)[group] > 1)
-                d, ti, p, s, rows = d[k], ti[k], p[k], s[k], rows[k]
+                d, ti, p, o, s, rows, group = d[k], ti[k], p[k], o[k], s[k], rows[k], group[k]
             else:
                 k = k[:0]
             if len(k):
@@ -448,7 +483,7 @@ def _settle(length: int):
                 count = s - length + 1
                 owner = np.repeat(np.arange(len(k)), count)
                 shift = np.arange(len(owner)) - np.repeat(np.cumsum(count) - count, count)
-                order, new = deep_shallow_sort(text, base[owner] + shift, length)
+                order, new = deep_shallow_sort(text, base[owner] + shift, length, bucket=group[owner] * 256 + shift - o[owner] + 128)
                 owner, shift = owner[order], shift[order]
                 first = np.flatnonzero(new)
                 least = np.repeat(np.minimum.reduceat(d[owner], first), np.diff(np.r_[first, len(owner)]))
@@ -500,17 +535,24 @@ def remove_repeats(df: DataFrame, text: str = "text", ident: str = "doc_id", len
     """(ident, n_bytes, n_removed, n_spans, kept_sha256, kept) of every row; kept holds the remaining bytes."""
     spark = df.sparkSession
     bounded_batches(spark)
-    bits = int(spark.conf.get("spark.sql.shuffle.partitions")).bit_length()
-    bits = max(6, min(18, bits + 4, max(10, bits)))  # small blocks, but not more than about a thousand on few partitions
+    bits = block_bits(df)
     docs = df.select(F.col(ident).cast("long").alias("_id"), F.coalesce(F.col(text), F.lit("")).alias("_text"))
-    docs = docs.withColumns({"_tie": F.xxhash64("_text"), "_sha": F.sha2("_text", 256)})
+    docs = docs.withColumns({"_hash": F.xxhash64("_text"), "_sha": F.sha2("_text", 256)})
+    marks = stash(docs.where("_id is not null").select("_id", "_hash", "_sha"), "marks")
     # Whole texts that a smaller doc_id has are settled at once.
-    classes = docs.where("_id is not null").groupBy("_tie", "_sha").agg(F.min("_id").alias("_first"), F.max("_id").alias("_last")).where("_first < _last")
+    classes = marks.groupBy("_hash", "_sha").agg(F.min("_id").alias("_first"), F.max("_id").alias("_last")).where("_first < _last")
     classes = maybe_broadcast(stash(classes.drop("_last"), "texts"), 100)
-    docs = docs.join(classes, ["_tie", "_sha"], "left").withColumn("_copy", F.coalesce(F.col("_id") > F.col("_first"), F.lit(False)) & (F.octet_length("_text") >= length)).drop("_first")
+    # Only where an id repeats with other texts does a hash of the text have to tell its rows apart.
+    several = marks.groupBy("_id").agg(F.min("_hash").alias("lo"), F.max("_hash").alias("hi")).where("lo != hi").select("_id", F.lit(True).alias("_several"))
+    several = maybe_broadcast(stash(several, "several"), 16)
+    docs = docs.join(classes, ["_hash", "_sha"], "left").join(several, "_id", "left")
+    docs = docs.withColumns({
+        "_copy": F.coalesce(F.col("_id") > F.col("_first"), F.lit(False)) & (F.octet_length("_text") >= length),
+        "_tie": F.when(F.col("_several"), F.col("_hash")).otherwise(F.lit(0).cast("long")),
+    }).drop("_first", "_several", "_hash")
     fresh = docs.where(f"not _copy and _id is not null and octet_length(_text) >= {length}").select("_id", "_tie", "_text")
 
-    pieces = fresh.mapInArrow(_anchor_pieces(bits, length), "block int, tokens binary").groupBy("block")
+    pieces = fresh.mapInArrow(_anchor_pieces(bits, length), "block int, tokens binary, counts binary").groupBy("block")
     segments = stash(pieces.applyInArrow(_anchor_segments(bits, (2, HOT)), "block int, map0 binary, map1 binary"), "anchors")
     size = 1 << (MAP_BITS - 3 - bits)
     maps = [np.zeros(1 << (MAP_BITS - 3), np.uint8) for _ in range(2)]

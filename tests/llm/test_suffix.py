@@ -86,3 +86,30 @@ def test_every_window_has_an_anchor_of_its_text():
             inside = at[(at >= k) & (at + sd.GRAM <= k + 50)]
             assert len(inside)
         start = e
+
+
+def test_multikey_quicksort_in_buckets():
+    rng = np.random.default_rng(4)
+    text = rng.integers(97, 100, 4000).astype(np.uint8)
+    text[1000:1060] = text[2000:2060] = text[3000:3060]
+    starts = rng.integers(0, 3940, 1500)
+    bucket = rng.integers(0, 7, 1500)
+    order, new = sd.deep_shallow_sort(text, starts, 50, bucket=bucket)
+    windows = [(int(bucket[i]), text[starts[i]: starts[i] + 50].tobytes()) for i in order]
+    assert windows == sorted(windows) and sorted(order.tolist()) == list(range(1500))
+    assert new.tolist() == [k == 0 or windows[k] != windows[k - 1] for k in range(1500)]
+
+
+def test_packed_tokens_round_trip():
+    for n in (0, 1, 5000):
+        tokens = np.sort(np.random.default_rng(n).integers(0, 2**32, n).astype(np.uint32))
+        assert (sd.unpack_sorted(sd.pack_sorted(tokens)) == tokens).all()
+
+
+def test_empty_table_and_very_long_texts(spark):
+    schema = "doc_id long, text string, kept string, _id string"
+    assert sd.remove_repeats(spark.createDataFrame([], schema)).count() == 0
+    long = " ".join(f"word{i * i % 9973}" for i in range(60_000))
+    rows = [(1, long), (2, "other start " + long[1000:200_000]), (3, "q" * 300_000), (4, "q" * 60)]
+    got = sorted(tuple(r) for r in sd.remove_repeats(spark.createDataFrame([(*r, "x", "y") for r in rows], schema)).drop("kept").collect())
+    assert [r[:3] for r in got] == [(1, len(long), 0), (2, 12 + 199_000, 199_000), (3, 300_000, 0), (4, 60, 60)]
