@@ -4,10 +4,12 @@ Every string of `length` bytes contains whole one of its text's anchors: the gra
 `length - GRAM + 1` neighbouring grams. Equal strings have equal anchors, so:
 
 1. anchors are counted over the corpus; two bitmaps of fixed size mark those seen twice or more, and the hot ones;
-2. each repeated anchor sends its surroundings (all strings around it) to a task of its hash; equal surroundings of one
-   partition collapse to the earliest document first. Around hot anchors every string goes to a task of its own hash instead,
-   so that the many different surroundings of a common phrase do not meet in one task;
-3. a task sorts the strings around its anchors by deep-shallow sorting: they are bucketed by anchor and place beside it (equal
+2. a repeated anchor sends a 64-bit hash of its surroundings (all strings around it) to a task of its own; a third bitmap marks
+   the anchors whose surroundings differ. Where all are alike, the earliest document keeps them, and no text has to move;
+3. an anchor with different surroundings sends them to a task of its hash; equal surroundings of one partition collapse to the
+   earliest document first. Around hot anchors every string goes to a task of its own hash instead, so that the many
+   different surroundings of a common phrase do not meet in one task;
+4. a task sorts the strings around its anchors by deep-shallow sorting: they are bucketed by anchor and place beside it (equal
    strings agree in both), multikey quicksort on 8-byte letters takes the buckets down to a shallow depth, then blind tries
    order the groups that still agree; strings equal over `length` bytes stand together, and all but those of the least doc_id
    are removed.
@@ -34,6 +36,8 @@ MAP_BITS = 27
 HOT = 65_536
 #: Bytes of text worked on at a time, and records gathered before a partition sends them.
 SLICE, FLUSH = 1 << 18, 100_000
+#: In place of an anchor's offset: a single string, or an anchor that stands for surroundings that are alike everywhere.
+ALONE, ALIKE = 255, 254
 U = np.uint64
 _BASE = U(0x9E3779B97F4A7C15)
 EMPTY_SHA = hashlib.sha256(b"").hexdigest()
@@ -192,6 +196,75 @@ def _probe(h: np.ndarray, bitmap: np.ndarray, bits: int) -> np.ndarray:
     return out
 
 
+def _row_hash(rows: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(64-bit hash of each padded row and its length, the row as words)."""
+    pad = -(rows.shape[1] + 1) % 8
+    words = np.ascontiguousarray(np.concatenate([rows, size[:, None].astype(np.uint8), np.zeros((len(rows), pad), np.uint8)], axis=1)).view(">u8").astype(U)
+    with np.errstate(over="ignore"):
+        h = np.zeros(len(rows), U)
+        for k in range(words.shape[1]):
+            h = mix64(h * _BASE + words[:, k])
+    return h, words
+
+
+def _text_rows(data: np.ndarray, first: np.ndarray, size: np.ndarray, width: int) -> np.ndarray:
+    """The `size` bytes from `first` on, in rows of `width` bytes filled up with zeros."""
+    column = first[:, None] + np.arange(width)
+    return np.where(np.arange(width) < size[:, None], data[np.minimum(column, len(data) - 1)], 0).astype(np.uint8)
+
+
+def _surrounding_hashes(repeated, bits: int, length: int):
+    """(block, tokens, hashes) of a partition: of each repeated anchor the least and the largest hash of its surroundings."""
+
+    def flush(parts):
+        h, s = (np.concatenate(x) for x in zip(*parts))
+        order = np.lexsort((s, h))
+        h, s = h[order], s[order]
+        new = np.r_[True, h[1:] != h[:-1]]
+        head = np.maximum.accumulate(np.where(new, np.arange(len(h)), 0))
+        keep = new | (np.r_[new[1:], True] & (s != s[head]))
+        rows = [(block, pack_sorted(np.frombuffer(low, "<u4")), x) for block, low, x in _blocks(h[keep], bits, s[keep].astype("<u8"))]
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.binary(), pa.binary()))], ["block", "tokens", "hashes"])
+
+    def run(batches):
+        parts, n = [], 0
+        for _, _, data, starts, ends in _slices(batches):
+            at, h = anchors(data, ends, length)
+            again = _probe(h, repeated.value, bits)
+            at, h = at[again], h[again]
+            if len(at):
+                doc = np.searchsorted(ends, at, "right")
+                first, last = np.maximum(starts[doc], at + GRAM - length), np.minimum(ends[doc], at + length)
+                parts.append((h, _row_hash(_text_rows(data, first, last - first, 2 * length - GRAM), last - first)[0]))
+                n += len(h)
+            if n >= 4 * FLUSH:
+                yield flush(parts)
+                parts, n = [], 0
+        if n:
+            yield flush(parts)
+
+    return tidy(run)
+
+
+def _mixed_segments(bits: int):
+    """Of one block the bitmap segment of the anchors whose surroundings differ; two places an anchor."""
+    width = MAP_BITS - bits
+
+    def run(key, t):
+        tokens = np.concatenate([unpack_sorted(x) for x in t.column("tokens").to_pylist()])
+        hashes = np.concatenate([np.frombuffer(x, "<u8") for x in t.column("hashes").to_pylist()])
+        order = np.argsort(tokens, kind="stable")
+        tokens, hashes = tokens[order], hashes[order]
+        first = np.flatnonzero(np.r_[True, tokens[1:] != tokens[:-1]])
+        mixed = tokens[first[np.minimum.reduceat(hashes, first) != np.maximum.reduceat(hashes, first)]]
+        bitmap = np.zeros(1 << width, bool)
+        bitmap[mixed >> np.uint32(32 - width)] = True
+        bitmap[mixed & np.uint32((1 << width) - 1)] = True
+        return pa.table({"block": pa.array([key[0].as_py()], pa.int32()), "map0": pa.array([np.packbits(bitmap).tobytes() if len(mixed) else None], pa.binary())})
+
+    return run
+
+
 class _Records:
     """Surroundings of anchors (or single strings): block, document, tie, place, anchor's offset, length, bytes in a padded row."""
 
@@ -200,11 +273,19 @@ class _Records:
 
     def add(self, block, doc, tie, place, off, size, data, first):
         if len(block):
-            column = first[:, None] + np.arange(self.width)
-            rows = np.where(np.arange(self.width) < size[:, None], data[np.minimum(column, len(data) - 1)], 0).astype(np.uint8)
+            rows = _text_rows(data, first, size, self.width)
             self.parts.append((block, doc, tie, place.astype(np.int32), off.astype(np.uint8), size.astype(np.uint8), rows))
             self.n += len(block)
 
+    def add_alike(self, block, doc, tie, place, size, h):
+        """The anchor's hash stands for the surroundings; the last byte tells such a row from a text."""
+        if len(block):
+            rows = np.zeros((len(block), self.width), np.uint8)
+            rows[:, :8] = h.astype("<u8").view(np.uint8).reshape(-1, 8)
+            rows[:, -1] = 255
+            self.parts.append((block, doc, tie, place.astype(np.int32), np.full(len(block), ALIKE, np.uint8), size.astype(np.uint8), rows))
+            self.n += len(block)
+
     def take(self):
         out = [np.concatenate(c) for c in zip(*self.parts)]
         self.parts, self.n = [], 0
@@ -221,12 +302,7 @@ def _unzip(data: bytes) -> bytes:
 
 def _same_rows(rows: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(order, new): rows sorted by bytes and length, and where another row begins."""
-    pad = -(rows.shape[1] + 1) % 8
-    words = np.ascontiguousarray(np.concatenate([rows, size[:, None], np.zeros((len(rows), pad), np.uint8)], axis=1)).view(">u8").astype(U)
-    with np.errstate(over="ignore"):
-        h = np.zeros(len(rows), U)
-        for k in range(words.shape[1]):
-            h = mix64(h * _BASE + words[:, k])
+    h, words = _row_hash(rows, size)
     order = np.argsort(h, kind="stable")
     w = words[order]
     return order, np.r_[True, (w[1:] != w[:-1]).any(1)] if len(w) else np.zeros(0, bool)
@@ -258,7 +334,7 @@ def _pack_spans(doc, tie, start, end):
     return [pa.array(doc[heads]), pa.array(tie[heads]), *lists]
 
 
-def _surroundings(repeated, hot, bits: int, length: int):
+def _surroundings(repeated, hot, mixed, bits: int, length: int):
     """Pieces (block, kind, doc, tie, place, off, size, data) of a partition; kind 1 holds spans that are settled already."""
     names = ["block", "kind", "doc", "tie", "place", "off", "size", "data"]
     types = [pa.int32(), pa.int8()] + [pa.binary()] * 6
@@ -277,12 +353,13 @@ def _surroundings(repeated, hot, bits: int, length: int):
                 out.append((int(by[part[0]]), 1, _zip(d[part].tobytes()), _zip(t[part].tobytes()), _zip(s[part].astype("<i4").tobytes()), None, _zip(e[part].astype("<i4").tobytes()), None))
         keep = np.flatnonzero(~later)
         # By block, and in it by the text from the anchor on: like surroundings side by side pack well.
-        lead = np.where(off[keep] == 255, 0, off[keep]).astype(np.int64)
+        lead = np.where(off[keep] >= ALIKE, 0, off[keep]).astype(np.int64)
+        wide = np.where(off == ALIKE, 8, size)
         column = np.minimum(lead[:, None] + np.arange(8), rows.shape[1] - 1)
         text = np.ascontiguousarray(rows[keep[:, None], column]).view(">u8").ravel().astype(U)
         keep = keep[np.lexsort((text, block[keep]))]
         for part in np.split(keep, np.flatnonzero(np.diff(block[keep])) + 1):
-            flat = rows[part][np.arange(rows.shape[1]) < size[part][:, None]]
+            flat = rows[part][np.arange(rows.shape[1]) < wide[part][:, None]]
             out.append((int(block[part[0]]), 0, _zip(doc[part].tobytes()), _zip(tie[part].tobytes()), _zip(place[part].tobytes()), off[part].tobytes(), size[part].tobytes(), _zip(flat.tobytes())))
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), types)], names)
 
@@ -296,8 +373,11 @@ def _surroundings(repeated, hot, bits: int, length: int):
                 continue
             doc = np.searchsorted(ends, at, "right")
             first, last = np.maximum(starts[doc], at + GRAM - length), np.minimum(ends[doc], at + length)
-            common = _probe(h, hot.value, bits)
-            k = ~common
+            differ = _probe(h, mixed.value, bits)
+            k = ~differ
+            records.add_alike((h[k] >> U(64 - bits)).astype(np.int64), ids[doc[k]], ties[doc[k]], first[k] - starts[doc[k]], last[k] - first[k], h[k])
+            common = _probe(h, hot.value, bits) & differ
+            k = differ & ~common
             records.add((h[k] >> U(64 - bits)).astype(np.int64), ids[doc[k]], ties[doc[k]], first[k] - starts[doc[k]], at[k] - first[k], last[k] - first[k], data, first[k])
             k = np.flatnonzero(common)
             for s in range(0, len(k), 4096):  # each string around a hot anchor by itself
@@ -311,7 +391,7 @@ def _surroundings(repeated, hot, bits: int, length: int):
                     for c in range(length):
                         w = w * _BASE + data[start + c].astype(U)
                 full = np.full(len(start), length)
-                records.add((mix64(w) >> U(64 - bits)).astype(np.int64), ids[d], ties[d], start - starts[d], np.full(len(start), 255), full, data, start)
+                records.add((mix64(w) >> U(64 - bits)).astype(np.int64), ids[d], ties[d], start - starts[d], np.full(len(start), ALONE), full, data, start)
                 if records.n >= FLUSH:
                     yield flush(records)
             if records.n >= FLUSH:
@@ -455,8 +535,10 @@ def _settle(length: int):
             else:
                 size = np.frombuffer(s, np.uint8)
                 rows = np.zeros((len(size), 2 * length - GRAM), np.uint8)
-                rows[np.arange(rows.shape[1]) < size[:, None]] = np.frombuffer(_unzip(data), np.uint8)
-                parts.append((np.frombuffer(d, np.int64), np.frombuffer(ti, np.int64), np.frombuffer(p, "<i4").astype(np.int64), np.frombuffer(o, np.uint8), size, rows))
+                off = np.frombuffer(o, np.uint8)
+                rows[np.arange(rows.shape[1]) < np.where(off == ALIKE, 8, size)[:, None]] = np.frombuffer(_unzip(data), np.uint8)
+                rows[off == ALIKE, -1] = 255
+                parts.append((np.frombuffer(d, np.int64), np.frombuffer(ti, np.int64), np.frombuffer(p, "<i4").astype(np.int64), off, size, rows))
         if parts:
             d, ti, p, o, s, rows = (np.concatenate(c) for c in zip(*parts))
             order, new = _same_rows(rows, s)
@@ -466,7 +548,7 @@ def _settle(length: int):
             start.append(p[later])
             end.append(p[later] + s[later])
             # What is left differs; suffixes are sorted where several surroundings share their anchor.
-            k = np.flatnonzero(~later & (o != 255))
+            k = np.flatnonzero(~later & (o < ALIKE))
             d, ti, p, o, s, rows = d[k], ti[k], p[k], o[k].astype(np.int64), s[k].astype(np.int64), rows[k]
             if len(k) > 1:
                 gram = rows[np.arange(len(k))[:, None], o[:, None] + np.arange(GRAM)]
@@ -531,11 +613,22 @@ def _cut_rows(batches):
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), types)], ["_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
 
 
+def _bitmaps(segments: DataFrame, bits: int, count: int) -> list:
+    """The segments' bitmaps of fixed size, sent to the tasks."""
+    size = 1 << (MAP_BITS - 3 - bits)
+    maps = [np.zeros(1 << (MAP_BITS - 3), np.uint8) for _ in range(count)]
+    for r in segments.toLocalIterator():
+        for k, m in enumerate(maps):
+            if r[f"map{k}"] is not None:
+                m[r["block"] * size: (r["block"] + 1) * size] = np.frombuffer(r[f"map{k}"], np.uint8)
+    return [segments.sparkSession.sparkContext.broadcast(m) for m in maps]
+
+
 def remove_repeats(df: DataFrame, text: str = "text", ident: str = "doc_id", length: int = LENGTH) -> DataFrame:
     """(ident, n_bytes, n_removed, n_spans, kept_sha256, kept) of every row; kept holds the remaining bytes."""
     spark = df.sparkSession
     bounded_batches(spark)
-    bits = block_bits(df)
+    bits = block_bits(df, block_bytes=1 << 19)
     docs = df.select(F.col(ident).cast("long").alias("_id"), F.coalesce(F.col(text), F.lit("")).alias("_text"))
     docs = docs.withColumns({"_hash": F.xxhash64("_text"), "_sha": F.sha2("_text", 256)})
     marks = stash(docs.where("_id is not null").select("_id", "_hash", "_sha"), "marks")
@@ -554,16 +647,12 @@ def remove_repeats(df: DataFrame, text: str = "text", ident: str = "doc_id", len
 
     pieces = fresh.mapInArrow(_anchor_pieces(bits, length), "block int, tokens binary, counts binary").groupBy("block")
     segments = stash(pieces.applyInArrow(_anchor_segments(bits, (2, HOT)), "block int, map0 binary, map1 binary"), "anchors")
-    size = 1 << (MAP_BITS - 3 - bits)
-    maps = [np.zeros(1 << (MAP_BITS - 3), np.uint8) for _ in range(2)]
-    for r in segments.toLocalIterator():
-        for m, x in zip(maps, (r["map0"], r["map1"])):
-            if x is not None:
-                m[r["block"] * size: (r["block"] + 1) * size] = np.frombuffer(x, np.uint8)
-    repeated, hot = (spark.sparkContext.broadcast(m) for m in maps)
+    repeated, hot = _bitmaps(segments, bits, 2)
+    hashes = fresh.mapInArrow(_surrounding_hashes(repeated, bits, length), "block int, tokens binary, hashes binary").groupBy("block")
+    (mixed,) = _bitmaps(stash(hashes.applyInArrow(_mixed_segments(bits), "block int, map0 binary"), "mixed"), bits, 1)
 
     schema = "block int, kind byte, doc binary, tie binary, place binary, off binary, size binary, data binary"
-    around = fresh.mapInArrow(_surroundings(repeated, hot, bits, length), schema)
+    around = fresh.mapInArrow(_surroundings(repeated, hot, mixed, bits, length), schema)
     spans = around.groupBy("block").applyInArrow(_settle(length), "doc long, tie long, starts array<int>, ends array<int>")
     spans = stash(spans.groupBy("doc", "tie").agg(F.collect_list(F.struct("starts", "ends")).alias("_spans")), "spans")
 
