@@ -29,7 +29,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F
 
-from .common import bounded_batches, maybe_broadcast, stash
+from .common import bounded_batches, maybe_broadcast, stash, tidy
 
 WORDS = 5
 #: Bits of the bitmap of frequent tokens.
@@ -229,7 +229,7 @@ def frequent_tokens(docs: DataFrame, bits: int, words: int = WORDS, levels=LEVEL
     Shared tokens are those that two sets or more hold; others cannot lead to a partner.
     """
     levels = (2, *levels)
-    pieces = docs.mapInArrow(_token_pieces(bits, words), "block int, tokens binary")
+    pieces = docs.mapInArrow(tidy(_token_pieces(bits, words)), "block int, tokens binary")
     columns = ["block int", *(f"n{k} long" for k in range(len(levels))), *(f"map{k} binary" for k in range(len(levels)))]
     segments = stash(pieces.groupBy("block").applyInArrow(_frequent_segments(bits, levels), ", ".join(columns)), "frequent")
     sums = segments.agg(*[F.sum(f"n{k}").alias(f"n{k}") for k in range(len(levels))]).first()
@@ -449,7 +449,7 @@ class ShingleJoin:
         shared, frequent, self.level = frequent_tokens(self.docs, self.bits, words)
         shared, frequent = (self.spark.sparkContext.broadcast(m) for m in (shared, frequent))
         arrow = pa.string() if self.kind.simpleString() == "string" else pa.int32() if self.kind.simpleString() == "int" else pa.int64()
-        self.index = stash(self.docs.mapInArrow(_index_rows(shared, frequent, self.bits, arrow, words), f"_id {self.kind.simpleString()}, {INDEX}"), "index")
+        self.index = stash(self.docs.mapInArrow(tidy(_index_rows(shared, frequent, self.bits, arrow, words)), f"_id {self.kind.simpleString()}, {INDEX}"), "index")
         self.rows = self.index.where("block is null").select("_id", "key", "handle", "n")
 
     def candidates(self) -> DataFrame:
@@ -466,7 +466,7 @@ class ShingleJoin:
         profiles = stash(profiles.join(wanted, "handle", "left_semi").dropDuplicates(["key"]), "profiles")
         side = lambda x: profiles.select(F.col("handle").alias(f"h{x}"), F.col("key").alias(x), F.col("n").alias(f"n{x}"), F.col("profile").alias(f"p{x}"))
         both = pairs.withColumnsRenamed({"a": "ha", "b": "hb"}).join(side("b"), "hb").join(side("a"), "ha").where("4 * na >= 3 * nb and 4 * nb >= 3 * na and a != b")
-        left = both.select("a", "b", "ha", "na", "nb", "pa", "pb").mapInArrow(_bound_filter, "a binary, b binary, ha long")
+        left = both.select("a", "b", "ha", "na", "nb", "pa", "pb").mapInArrow(tidy(_bound_filter), "a binary, b binary, ha long")
         return stash(left.distinct(), "plausible")
 
     def verify(self, pairs: DataFrame) -> DataFrame:
@@ -474,7 +474,7 @@ class ShingleJoin:
         wanted = pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct()
         ids = self.rows.where("_id is not null").select("_id", "key").join(wanted, "key", "left_semi").groupBy("key").agg(F.min("_id").alias("_id"))
         ids = maybe_broadcast(stash(ids.select("_id").distinct(), "wanted"), 32)
-        sets = self.docs.join(ids, "_id", "left_semi").select("_id", "_text").mapInArrow(_set_rows(self.words), "key binary, tokens array<long>")
+        sets = self.docs.join(ids, "_id", "left_semi").select("_id", "_text").mapInArrow(tidy(_set_rows(self.words)), "key binary, tokens array<long>")
         sets = stash(sets.join(wanted, "key", "left_semi"), "sets")
         a, b = (sets.select(F.col("key").alias(x), F.col("tokens").alias(f"t{x}")) for x in "ab")
         both = pairs.join(b, "b").join(a, "a").withColumn("same", F.size(F.array_intersect("ta", "tb")))

@@ -22,7 +22,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
-from .common import bounded_batches, stash
+from .common import bounded_batches, stash, tidy
 from .label_model import LabelModel
 
 SAMPLE_ROWS, VOTERS, LEAST_DOCS = 12_000, 512, 4
@@ -94,7 +94,7 @@ def _count_features(batches):
 
 def mine_lexicon(sample: DataFrame, voters: int, least: int) -> list[tuple[str, int, int]]:
     """The features that go most with label 1: (feature, toxic documents, documents)."""
-    counts = sample.select("_text", "_label").mapInArrow(_count_features, "f string, toxic long, docs long")
+    counts = sample.select("_text", "_label").mapInArrow(tidy(_count_features), "f string, toxic long, docs long")
     counts = counts.groupBy("f").agg(F.sum("toxic").alias("toxic"), F.sum("docs").alias("docs"))
     rate = sample.agg(F.avg("_label").alias("r")).first()["r"] or 0.0
     if not 0 < rate < 1:
@@ -183,7 +183,7 @@ def learn(docs: DataFrame, labels: DataFrame, text: str = "text", ident: str = "
     sample = training_sample(docs, labels, text, ident, label, rows)
     lexicon = mine_lexicon(sample, voters, least)
     features = [f for f, _, _ in lexicon] + list(PATTERNS)
-    hits = sample.orderBy("_order").select("_text", "_label").mapInArrow(_firing(features), "hits array<int>, label int").toPandas()  # at most `rows` rows
+    hits = sample.orderBy("_order").select("_text", "_label").mapInArrow(tidy(_firing(features)), "hits array<int>, label int").toPandas()  # at most `rows` rows
     fires = np.zeros((len(hits), len(features)), bool)
     for i, h in enumerate(hits["hits"]):
         fires[i, h] = True
