@@ -28,8 +28,18 @@ def half_step(ell: DataFrame, vecs: DataFrame, width: int, source: str, target:
     return sums.select(F.col("out").alias("id"), F.array(*[F.col(f"s{i}") for i in range(width)]).alias("vec"))
 
 
-def gram(vecs: DataFrame, width: int) -> np.ndarray:
-    """Sum of vec vec^T. Partitions form their own, rows of these add up on executors; the driver gets `width` rows."""
+#: Wider Gram matrices add up in numpy, in two steps of this fan-in; narrower ones in codegen sums.
+WIDE, FAN = 128, 64
+
+
+def _add_rows(key, table):
+    x = table.column("vec").combine_chunks()
+    total = x.flatten().to_numpy(zero_copy_only=False).reshape(len(x), -1).sum(axis=0)
+    return pa.table({"id": pa.array([key[0].as_py()], pa.int64()), "vec": pa.array([total.tolist()], pa.list_(pa.float64()))})
+
+
+def gram_rows(vecs: DataFrame, width: int) -> DataFrame:
+    """Sum of vec vec^T as `width` rows (id, vec). Partitions form their own; rows of these add up on executors."""
 
     def run(batches):
         g = np.zeros((width, width))
@@ -40,10 +50,19 @@ def gram(vecs: DataFrame, width: int) -> np.ndarray:
         yield vec_batch(pa.array(np.arange(width, dtype=np.int64)), g)
 
     parts = vecs.select("id", "vec").mapInArrow(run, VEC)
-    sums = parts.groupBy("id").agg(F.collect_list("vec").alias("vecs")) if width > 128 else parts.groupBy("id").agg(*[F.sum(F.col("vec")[i]).alias(f"s{i}") for i in range(width)])
+    if width <= WIDE:
+        sums = parts.groupBy("id").agg(*[F.sum(F.col("vec")[i]).alias(f"s{i}") for i in range(width)])
+        return sums.select("id", F.array(*[f"s{i}" for i in range(width)]).alias("vec"))
+    # No task holds more than a FAN-th of the partitions' rows, nor more than FAN sums.
+    some = parts.withColumn("turn", F.pmod(F.spark_partition_id(), F.lit(FAN))).groupBy("id", "turn").applyInArrow(_add_rows, VEC)
+    return some.groupBy("id").applyInArrow(_add_rows, VEC)
+
+
+def gram(vecs: DataFrame, width: int) -> np.ndarray:
+    """Sum of vec vec^T; the driver gets `width` rows, however many partitions there are."""
     out = np.zeros((width, width))
-    for r in sums.collect():
-        out[r[0]] = np.sum(r[1], axis=0) if width > 128 else r[1:]
+    for r in gram_rows(vecs, width).collect():
+        out[r[0]] = r[1]
     return (out + out.T) / 2
 
 

@@ -119,50 +119,70 @@ def svd_full(h: Hypergraph, rank: int | None = None, most: int = 5000) -> Svd:
     return Svd(to_frame(spark, eids, u[:, :k] * flip), s[:k], to_frame(spark, vids, vt[:k].T * flip))
 
 
-def svd_lanczos(h: Hypergraph, rank: int, steps: int | None = None, seed: int = 1) -> Svd:
-    """Golub-Kahan bidiagonalisation with full re-orthogonalisation, one vector a pass; the basis stays on executors as one table."""
+def block_lanczos(apply, start: DataFrame, width: int, rank: int, limit: int, tolerance: float, most: int = 40, largest: bool = True) -> tuple[np.ndarray, DataFrame]:
+    """(leading eigenvalues, their vectors as a table) of a symmetric operator on vector tables.
+
+    `apply(block, width)` multiplies a block. The basis stands in one table, orthogonalised against all of itself at every
+    step. Steps go on until the residual of each of the `rank` leading pairs is below `tolerance` times the largest value,
+    the basis spans `limit` dimensions, or the operator leaves it no new direction.
+    """
+    basis, total = _orthonormal(start, width)
+    basis = cut(basis, "lanczos")
+    width, form = total, np.zeros((0, 0))
+    for _ in range(most):
+        last = basis.select("id", F.slice("vec", total - width + 1, width).alias("vec"))
+        image = apply(last, width).select("id", F.col("vec").alias("image"))
+        nothing = F.array(*[F.lit(0.0)] * width)
+        both = cut(basis.join(image, "id", "left").select("id", F.concat("vec", F.coalesce("image", nothing)).alias("vec")), "lanczos")
+        g = gram(both, total + width)
+        grown = np.zeros((total, total))
+        grown[: len(form), : len(form)] = form
+        grown[:, total - width:] = g[:total, total:]
+        grown[total - width:] = g[:total, total:].T
+        form = grown
+        # The basis is orthonormal up to rounding; its own Gram matrix corrects for the rest.
+        root = np.linalg.cholesky(g[:total, :total])
+        inner = np.linalg.solve(root, np.linalg.solve(root, (form + form.T) / 2).T)
+        value, vector = np.linalg.eigh((inner + inner.T) / 2)
+        order = np.argsort(-value if largest else -np.abs(value), kind="stable")[:rank]
+        value, vector = value[order], np.linalg.solve(root.T, vector[:, order])
+        cross = np.linalg.solve(g[:total, :total], g[:total, total:])
+        rest = g[total:, total:] - g[total:, :total] @ cross
+        d, e = np.linalg.eigh((rest + rest.T) / 2)
+        scale = max(np.abs(value).max(initial=0), 1e-300)
+        tail = vector[total - width:]
+        residual = np.sqrt(np.maximum(np.einsum("ij,ik,kj->j", tail, rest, tail), 0))
+        keep = d > max(1e-20, (1e-10 * scale) ** 2)
+        if (len(value) == min(rank, limit) and residual.max(initial=0) <= tolerance * scale) or total >= limit or not keep.any():
+            break
+        keep &= np.arange(len(d)) >= len(d) - (limit - total)  # no more directions than there are left
+        turn = e[:, keep] / np.sqrt(d[keep])
+        step = np.zeros((total + width, total + turn.shape[1]))
+        step[:total, :total] = np.eye(total)
+        step[:total, total:], step[total:, total:] = -cross @ turn, turn
+        basis = cut(times(both, step), "lanczos")
+        width = turn.shape[1]
+        total += width
+    return value, times(basis, vector)
+
+
+def svd_lanczos(h: Hypergraph, rank: int, tolerance: float = 1e-9, block: int | None = None, seed: int = 1) -> Svd:
+    """Golub-Kahan Lanczos in blocks, with full re-orthogonalisation, until every kept value's residual is below `tolerance`.
+
+    A block as wide as the rank and a little more finds values that repeat; the known top right vector is in the first block.
+    """
     ell = cut(normalise(h), "ell")
-    nodes = ell.select(F.col("vid").alias("id")).distinct()
+    nodes = node_degrees(h).select(F.col("vid").alias("id"), F.sqrt("d").alias("top"))
     n, m = nodes.count(), ell.select("eid").distinct().count()
-    steps = min(steps or 2 * rank + 10, n, m)
-    us: DataFrame | None = None
-    vs, wv = _orthonormal(start_block(nodes, 1, seed), 1)
-    vs = cut(vs, "lanczos")
-
-    def append(basis: DataFrame, width: int, new: DataFrame):
-        both = basis.join(new.select("id", F.col("vec").alias("x")), "id", "left").select("id", F.concat("vec", F.coalesce("x", F.array(F.lit(0.0)))).alias("vec"))
-        both = cut(both, "lanczos")
-        g = gram(both, width + 1)
-        c = g[:width, width]
-        rest = g[width, width] - c @ c
-        if rest <= 1e-20:
-            return basis, width
-        m_ = np.eye(width + 1)
-        m_[:width, width] = -c / np.sqrt(rest)
-        m_[width, width] = 1 / np.sqrt(rest)
-        return cut(times(both, m_), "lanczos"), width + 1
-
-    last = lambda vecs, w: vecs.select("id", F.array(F.col("vec")[w - 1]).alias("vec"))
-    wu = 0
-    for _ in range(steps):
-        y = half_step(ell, last(vs, wv), 1, "vid", "eid")
-        if us is None:
-            us, wu = _orthonormal(y, 1)
-            us = cut(us, "lanczos")
-        else:
-            us, got = append(us, wu, y)
-            if got == wu:
-                break
-            wu = got
-        vs, got = append(vs, wv, half_step(ell, last(us, wu), 1, "eid", "vid"))
-        if got == wv:
-            break
-        wv = got
-    image = cut(half_step(ell, vs, wv, "vid", "eid"), "lanczos")
-    d, e = np.linalg.eigh(gram(image, wv))
-    order = np.argsort(-d)[:rank]
-    d, e = np.maximum(d[order], 1e-300), e[:, order]
-    return Svd(cut(times(image, e / np.sqrt(d)), "u"), np.minimum(np.sqrt(d), 1.0), cut(times(vs, e), "v"))
+    width = min(block or rank + 2, n, m)
+    start = start_block(nodes, width - 1, seed).join(nodes, "id").select("id", F.concat(F.array("top"), "vec").alias("vec")) if width > 1 else nodes.select("id", F.array("top").alias("vec"))
+    step = lambda v, w: cut(half_step(ell, cut(half_step(ell, v, w, "vid", "eid"), "lanczos"), w, "eid", "vid"), "lanczos")
+    value, v = block_lanczos(step, start, width, rank, n, tolerance)
+    keep = value > 1e-16
+    sigma, v = np.sqrt(value[keep]), cut(times(v, np.eye(len(value))[:, keep]), "v")
+    flip = _signs(v, len(sigma))
+    u = half_step(ell, v, len(sigma), "vid", "eid")
+    return Svd(cut(times(u, np.diag(flip / sigma)), "u"), np.minimum(sigma, 1.0), cut(times(v, np.diag(flip)), "v"))
 
 
 def walk_filter(sigma, alpha: float = 0.1, steps: int = 10) -> np.ndarray:
@@ -320,35 +340,21 @@ def eig_gram(y: DataFrame, theta: np.ndarray, width: int, k: int, negative: str
     return lam, m
 
 
-def lowrank_matvec(y: DataFrame, theta: np.ndarray, width: int, v: DataFrame) -> DataFrame:
-    """Y (theta * (Y^T v)) for a vector table v of width 1."""
-    joined = y.join(v.select("id", F.col("vec")[0].alias("x")), "id").select("id", F.concat("vec", F.array("x")).alias("vec"))
-    inner = gram(joined, width + 1)[:width, width]
-    return times(y, (theta * inner)[:, None])
+def lowrank_matvec(y: DataFrame, theta: np.ndarray, width: int, v: DataFrame, columns: int = 1) -> DataFrame:
+    """Y (theta * (Y^T v)) for a vector table v of `columns` columns."""
+    joined = y.join(v.select("id", F.col("vec").alias("x")), "id").select("id", F.concat("vec", "x").alias("vec"))
+    inner = gram(joined, width + columns)[:width, width:]
+    return times(y, theta[:, None] * inner)
 
 
-def eig_lanczos(y: DataFrame, theta: np.ndarray, width: int, k: int, steps: int | None = None, seed: int = 1) -> np.ndarray:
-    """k leading eigenvalues of the low-rank operator, by Lanczos with full re-orthogonalisation in an orthonormal basis of Y's columns."""
-    d, e = np.linalg.eigh(gram(y, width))
-    keep = d > d.max(initial=0) * 1e-12
-    root = e[:, keep] * np.sqrt(d[keep])
-    n = root.shape[1]
-    steps = min(steps or 4 * k + 20, n)
-    q = np.random.default_rng(seed).standard_normal(n)
-    basis, t = [q / np.linalg.norm(q)], np.zeros((steps, steps))
-    for j in range(steps):
-        w = root.T @ (theta * (root @ basis[j]))
-        t[j, j] = basis[j] @ w
-        for _ in range(2):
-            for b in basis:
-                w = w - (b @ w) * b
-        norm = np.linalg.norm(w)
-        if j + 1 == steps or norm < 1e-10 * max(1.0, np.abs(t).max()):
-            t = t[: j + 1, : j + 1]
-            break
-        t[j, j + 1] = t[j + 1, j] = norm
-        basis.append(w / norm)
-    return np.sort(np.linalg.eigvalsh(t))[::-1][:k]
+def eig_lanczos(y: DataFrame, theta: np.ndarray, width: int, k: int, tolerance: float = 1e-9, seed: int = 1) -> tuple[np.ndarray, DataFrame]:
+    """(k leading eigenvalues of Y diag(theta) Y^T, their vectors as a table), by block Lanczos on distributed products."""
+    y = cut(y, "lanczos")
+    n = y.count()
+    columns = min(k + 2, n, width)
+    step = lambda v, w: cut(lowrank_matvec(y, theta, width, v, w), "lanczos")
+    value, vectors = block_lanczos(step, start_block(y, columns, seed), columns, k, min(n, width), tolerance)
+    return value, cut(vectors, "lanczos")
 
 
 def canonical(m: np.ndarray, x: np.ndarray) -> np.ndarray:

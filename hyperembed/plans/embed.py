@@ -178,6 +178,3 @@ def load_model(spark: SparkSession, path: str) -> Model:
 def default_model_path(spark: SparkSession, name: str) -> str:
     return f"{work_folder(spark)}/models/{name}"
 
-
-def operator_gram(f: DataFrame, width: int) -> np.ndarray:
-    return gram(f, width)

@@ -137,3 +137,24 @@ def test_plans_push_filters_and_broadcast_small_sides_only(spark, capsys):
     assert "PushedFilters: [IsNotNull(o_orderpriority)" in out and "ReadSchema: struct<o_orderkey:bigint,o_totalprice:double,o_orderpriority:string>" in out
     QUERIES["node_degree"](spark, "/root/testdata/sf0.001").explain("formatted")
     assert "CartesianProduct" not in capsys.readouterr().out
+
+
+def test_wide_gram_adds_up_on_executors(spark):
+    from hyperembed.operators.blocks import gram, gram_rows
+
+    x = np.random.default_rng(1).standard_normal((300, 385))
+    vecs = lr.to_frame(spark, np.arange(300), x).repartition(9)
+    assert gram_rows(vecs, 385).count() == 385
+    assert np.abs(gram(vecs, 385) - x.T @ x).max() < 1e-9
+
+
+def test_lanczos_finds_values_that_repeat(spark, toy_x):
+    """Three components: the value 1 three times over; vectors are orthonormal and their residuals small."""
+    from hyperembed.operators.blocks import gram
+
+    rows = [(10 * c + e, 100 * c + v, 1.0) for c in range(3) for e, v in [(0, 0), (0, 1), (0, 2), (1, 2), (1, 3), (2, 3), (2, 0), (3, 1), (3, 4), (3, 0)]]
+    h = hg.hypergraph_from(spark.createDataFrame(rows, "e long, v long, g double"), "e", "v", "g")
+    full, got = lr.svd_full(h, 8), lr.svd_lanczos(h, 8)
+    assert np.abs(got.sigma[:3] - 1).max() < 1e-9 and np.abs(full.sigma - got.sigma).max() < 1e-7
+    for side in (got.u, got.v):
+        assert np.abs(gram(side, 8) - np.eye(8)).max() < 1e-6
