@@ -2,9 +2,10 @@
 
 1. A bounded sample of labelled rows (at most `SAMPLE_ROWS`, the first by hash; only rows whose crc32(doc_id) mod 3 is not
    1) is thinned of near copies: of the rows that share their smallest 5-word shingle hash, one stays.
-2. Words and word beginnings whose presence goes with the label become lexicon voters (at most `VOTERS`); fixed patterns vote as well.
+2. Words and word beginnings whose presence goes with the label, in each of two folds, become lexicon voters (at most
+   `VOTERS`); fixed patterns vote as well.
 3. Voters whose votes nearly coincide merge. The label model estimates, by expectation-maximisation, each voter's accuracy
-   and the dependence between voters; the given label is one more voter, so wrong labels can be outvoted.
+   and the votes of voters that depend on each other; the given label is one more voter, so wrong labels can be outvoted.
 4. A logistic regression learns the posterior labels from presence of the lexicon's words; it scores every whole text.
 
 Defined results: null and empty texts get the score of a text without any feature. Rows that repeat a doc_id are scored
@@ -74,28 +75,31 @@ def training_sample(docs: DataFrame, labels: DataFrame, text: str, ident: str, l
 
 
 def _count_features(batches):
-    """(feature, toxic, all) sums of a partition."""
+    """(feature, fold, toxic, all) sums of a partition."""
     toxic, every = Counter(), Counter()
     for b in batches:
-        for text, label in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-            f = features_of(words_of(text))
+        for text, label, fold in zip(*(c.to_pylist() for c in b.columns)):
+            f = [(x, fold) for x in features_of(words_of(text))]
             every.update(f)
             if label:
                 toxic.update(f)
-    keys = [k for k, n in every.items() if k in toxic]
+    keys = list(every)
     for i in range(0, len(keys), 100_000):
         part = keys[i: i + 100_000]
-        yield pa.RecordBatch.from_arrays([pa.array(part, pa.string()), pa.array([toxic[k] for k in part], pa.int64()), pa.array([every[k] for k in part], pa.int64())], ["f", "toxic", "docs"])
-    rest = [k for k in every if k not in toxic]
-    for i in range(0, len(rest), 100_000):
-        part = rest[i: i + 100_000]
-        yield pa.RecordBatch.from_arrays([pa.array(part, pa.string()), pa.array([0] * len(part), pa.int64()), pa.array([every[k] for k in part], pa.int64())], ["f", "toxic", "docs"])
+        columns = [pa.array([k[0] for k in part], pa.string()), pa.array([k[1] for k in part], pa.int32()), pa.array([toxic[k] for k in part], pa.int64()), pa.array([every[k] for k in part], pa.int64())]
+        yield pa.RecordBatch.from_arrays(columns, ["f", "fold", "toxic", "docs"])
 
 
 def mine_lexicon(sample: DataFrame, voters: int, least: int) -> list[tuple[str, int, int]]:
-    """The features that go most with label 1: (feature, toxic documents, documents)."""
-    counts = sample.select("_text", "_label").mapInArrow(tidy(_count_features), "f string, toxic long, docs long")
-    counts = counts.groupBy("f").agg(F.sum("toxic").alias("toxic"), F.sum("docs").alias("docs"))
+    """The features that go most with label 1: (feature, toxic documents, documents).
+
+    The sample falls into two folds by hash; what is found over both must hold in each by itself, so that a few wrong labels
+    of one fold make no voter.
+    """
+    folds = sample.select("_text", "_label", F.pmod(F.xxhash64("_order"), F.lit(2)).cast("int").alias("fold"))
+    counts = folds.mapInArrow(tidy(_count_features), "f string, fold int, toxic long, docs long")
+    in_fold = lambda c, k: F.sum(F.when(F.col("fold") == k, F.col(c)).otherwise(0))
+    counts = counts.groupBy("f").agg(F.sum("toxic").alias("toxic"), F.sum("docs").alias("docs"), *[in_fold(c, k).alias(f"{c}{k}") for c in ("toxic", "docs") for k in (0, 1)])
     rate = sample.agg(F.avg("_label").alias("r")).first()["r"] or 0.0
     if not 0 < rate < 1:
         return []
@@ -105,7 +109,8 @@ def mine_lexicon(sample: DataFrame, voters: int, least: int) -> list[tuple[str,
     gain = 2 * (k * F.log(share / rate) + (n - k) * F.log((1 - share) / (1 - rate)))
     # Among so many features some gain this much by chance alone.
     tried = counts.where(n >= least).count()
-    best = counts.where((k >= least) & (share > 0.75)).withColumn("gain", gain).where(F.col("gain") > 1.9 * float(np.log(max(2, tried))))
+    holds = (F.col("toxic0") > 0.6 * F.col("docs0")) & (F.col("toxic1") > 0.6 * F.col("docs1"))
+    best = counts.where((k >= least) & (share > 0.75) & holds).withColumn("gain", gain).where(F.col("gain") > 1.9 * float(np.log(max(2, tried))))
     return [(r.f, r.toxic, r.docs) for r in best.orderBy(F.desc("gain"), "f").limit(voters).collect()]
 
 
