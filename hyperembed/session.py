@@ -11,12 +11,14 @@ BROADCAST_BYTES = 32 << 20
 
 
 def work_folder(spark: SparkSession) -> str:
-    """The folder that the session names in spark.checkpoint.dir; a temporary one only where none is set."""
+    """The folder that the session names in spark.checkpoint.dir; where none is set, a temporary one in local mode, an error on a cluster."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         if held.isDefined():
             return held.get()
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         base = tempfile.mkdtemp(prefix="hyperembed-")
         spark.sparkContext.setCheckpointDir(base)
     return base
