@@ -4,8 +4,8 @@ Each stage takes (spark, docs, sf_dir) and works on all rows that the stage befo
 of `documents`. Between stages the rows are written as Parquet and read again.
 
 Null and empty texts are not toxic, count as equal to each other in exact dedup, have no near copies, and are not taken by the
-mix (they have no words). Rows of null id stay in the dedup stages unless their text is equal to another row's. Repeated rows
-are one text; ties go to the largest id in exact dedup and to the least in near dedup. Empty tables give empty results. Further
+mix (they have no words). Rows of null id stay in the dedup stages unless their text is equal to another row's. Rows
+that repeat an id and a text share their verdict; ties go to the largest id in exact dedup and to the least in near dedup. Empty tables give empty results. Further
 columns, also such as the stages use inside, come through to the mix.
 """
 
