@@ -22,12 +22,29 @@ def edge_majority_label(h: Hypergraph, labels: DataFrame) -> DataFrame:
     return n.withColumn("r", F.row_number().over(w)).where(F.col("r") == 1).select("eid", "y")
 
 
+def _ranges(df: DataFrame, by: str, bins: int = 4096) -> DataFrame:
+    """With a column `bin`: equal ranges of the column `by`, in its order; at most `bins` of them."""
+    ends = df.agg(F.min(by).alias("_low"), F.max(by).alias("_high"))
+    span = F.col("_high").cast("double") - F.col("_low").cast("double")
+    place = F.when(span > 0, F.floor((F.col(by).cast("double") - F.col("_low").cast("double")) / span * bins)).otherwise(F.lit(0))
+    return df.crossJoin(F.broadcast(ends)).withColumn("bin", F.least(F.lit(bins - 1), place).cast("int")).drop("_low", "_high")
+
+
+def _before(binned: DataFrame, count) -> DataFrame:
+    """(bin, before): sum of `count` in the bins before; one small row per bin."""
+    sums = binned.groupBy("bin").agg(count.alias("n"))
+    w = Window.orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)
+    return F.broadcast(sums.select("bin", F.coalesce(F.sum("n").over(w), F.lit(0)).alias("before")))
+
+
 def negatives(edges: DataFrame, nodes: DataFrame, seed: int = 41, tries: int = 4) -> DataFrame:
     """(eid, vid): for each (eid, size) as many distinct random nodes; the j-th pick takes the first of `tries` salts that no earlier slot took.
 
-    Nodes are numbered in order; at scale the numbers come from per-range counts instead of one window.
+    Nodes are numbered in order, range by range, after the counts of the ranges before.
     """
-    ranked = nodes.select("vid", (F.row_number().over(Window.orderBy("vid")) - 1).alias("place"))
+    binned = _ranges(nodes.select("vid"), "vid")
+    inside = F.row_number().over(Window.partitionBy("bin").orderBy("vid")) - 1
+    ranked = binned.withColumn("inside", inside).join(_before(binned, F.count("*")), "bin").select("vid", (F.col("before") + F.col("inside")).cast("int").alias("place"))
     n = ranked.count()
     slots = edges.select("eid", "size", F.explode(F.sequence(F.lit(0), F.col("size") * tries - 1)).alias("slot"))
     picks = slots.select("eid", "size", "slot", F.pmod(mix(F.col("eid"), F.col("slot"), seed), F.lit(n)).alias("place"))
@@ -83,11 +100,11 @@ def accuracy(pred: DataFrame) -> DataFrame:
 
 
 def auc(scores: DataFrame) -> DataFrame:
-    """One row (auc) of (y boolean, score): rank sum with mid-ranks for ties, from counts per score."""
-    per = scores.groupBy("score").agg(F.count("*").alias("n"), F.sum(F.col("y").cast("int")).alias("pos"))
-    w = Window.orderBy("score").rowsBetween(Window.unboundedPreceding, -1)
-    mid = F.coalesce(F.sum("n").over(w), F.lit(0)) + (F.col("n") + 1) / 2
-    per = per.withColumn("ranks", F.col("pos") * mid)
+    """One row (auc) of (y boolean, score): rank sum with mid-ranks for ties, from counts per score, range by range of the scores."""
+    per = _ranges(scores.groupBy("score").agg(F.count("*").alias("n"), F.sum(F.col("y").cast("int")).alias("pos")), "score")
+    w = Window.partitionBy("bin").orderBy("score").rowsBetween(Window.unboundedPreceding, -1)
+    mid = F.col("before") + F.coalesce(F.sum("n").over(w), F.lit(0)) + (F.col("n") + 1) / 2
+    per = per.join(_before(per, F.sum("n")), "bin").withColumn("ranks", F.col("pos") * mid)
     p, n = F.sum("pos"), F.sum(F.col("n") - F.col("pos"))
     return per.agg(((F.sum("ranks") - p * (p + 1) / 2) / (p * n)).alias("auc"))
 

@@ -7,7 +7,7 @@ import time
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from ..operators import baselines as bl, hypergraph as hg, knn, lowrank as lr, tasks as tk, walk as wk
+from ..operators import baselines as bl, hypergraph as hg, knn, lowrank as lr, tasks as tk
 from ..session import cut
 from ..sources import graphs
 from . import embed as em
@@ -31,7 +31,7 @@ class Run:
 def extended(w: graphs.Workload, k: int = 10, beta: float = 1.0) -> hg.Hypergraph:
     if not k:
         return w.graph
-    near = knn.knn_exact(graphs.dense_attributes(w), k, blocks=4)
+    near = knn.knn_ivf(graphs.dense_attributes(w), k)
     h = hg.extend(w.graph, cut(near), w.nodes, beta)
     return hg.Hypergraph(cut(h.inc), cut(h.edges))
 
@@ -163,7 +163,7 @@ def scaling(spark, sizes=(500, 1000, 2000), settings=em.Settings(k=8, rank=8, b=
     for n in sizes:
         w = graphs.synthetic(spark, n, q=20)
         began = time.time()
-        near = knn.knn_lsh(graphs.dense_attributes(w), 5, bits=6, tables=6)
+        near = knn.knn_ivf(graphs.dense_attributes(w), 5)
         h = hg.extend(w.graph, cut(near), w.nodes)
         h = hg.Hypergraph(cut(h.inc), cut(h.edges))
         run.put("synthetic", "extension", "seconds", time.time() - began, n)
@@ -222,7 +222,3 @@ def gain(results: DataFrame, method: str, against: str) -> DataFrame:
     m = repeat_average(results)
     a, b = (m.where(F.col("method") == x).select("graph", "metric", "param", F.col("mean").alias(n)) for x, n in ((method, "a"), (against, "b")))
     return a.join(b, ["graph", "metric", "param"]).select("graph", "metric", "param", (F.col("a") - F.col("b")).alias("difference"), (F.col("b") / F.col("a")).alias("ratio"))
-
-
-def walk_rows(x: hg.Hypergraph, sources: DataFrame, steps: int) -> DataFrame:
-    return wk.walk(x, sources, steps=steps)

@@ -53,7 +53,7 @@ def vectors_graph(spark: SparkSession, sf_dir: str, k: int = NEIGHBOURS, beta: f
     """(workload, neighbours, extended hypergraph) of the embeddings table."""
     w = graphs.vec_buckets(spark, sf_dir)
     nodes = vector_nodes(spark, sf_dir)
-    near = cut(knn.knn_exact(nodes, k, blocks=4), "near") if k else None
+    near = cut(knn.knn_exact(nodes, k), "near") if k else None
     if not k:
         return w, None, w.graph
     return w, near, hg.extend(w.graph, near, w.nodes, beta)
@@ -65,7 +65,7 @@ def vector_nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def extended(spark: SparkSession, w: graphs.Workload, k: int = NEIGHBOURS, beta: float = BETA, dense: bool = True) -> hg.Hypergraph:
     """A workload with its attribute hyperedges, materialised."""
-    near = knn.knn_exact(graphs.dense_attributes(w), k, blocks=4) if dense else knn.knn_sparse(w.attrs, k)
+    near = knn.knn_ivf(graphs.dense_attributes(w), k) if dense else knn.knn_sparse(w.attrs, k)
     h = hg.extend(w.graph, cut(near, "near"), w.nodes, beta)
     return hg.Hypergraph(cut(h.inc, "inc"), cut(h.edges, "edges"))
 
