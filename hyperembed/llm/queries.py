@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from . import exact_dedup as dedup, html_text, mixing, ngram_join, quality, sentence_pieces, suffix_dedup, token_files, toxicity, warc
 from .common import LOWER, UPPER, table
+from .suffix_dedup import LENGTH
 
 
 def vocabulary(name: str) -> str:
@@ -61,6 +62,31 @@ QUERIES = {f.__name__: f for f in (
 )}
 
 ORACLES = {
+    "op1_warc_archive": """
+        WITH p AS (SELECT page_id, coalesce(html, '') AS t FROM pages),
+        g AS (SELECT page_id, octet_length(encode(t))::BIGINT AS payload_bytes, max(page_id) OVER (PARTITION BY t) AS answer,
+                     unhex(sha1(t))::BIT::VARCHAR AS bits FROM p)
+        SELECT page_id, payload_bytes,
+               array_to_string([substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', ('0b' || substr(bits, 5 * i + 1, 5))::INTEGER + 1, 1) FOR i IN range(32)], '') AS payload_digest,
+               CASE WHEN page_id = answer THEN 'response' ELSE 'revisit' END AS record_type,
+               CASE WHEN page_id <> answer THEN answer END AS refers_to
+        FROM g""",
+    "op3_suffix_dedup": f"""
+        WITH d AS (SELECT doc_id, encode(coalesce(text, '')) AS b, octet_length(encode(coalesce(text, ''))) AS n FROM documents),
+        places AS (SELECT doc_id, unnest(range(n - {LENGTH - 1})) AS p, b FROM d WHERE n >= {LENGTH}),
+        strings AS (SELECT doc_id, p, b[p + 1 : p + {LENGTH}] AS s FROM places),
+        firsts AS (SELECT s, min(doc_id) AS least FROM strings GROUP BY s),
+        again AS (SELECT doc_id, p FROM strings JOIN firsts USING (s) WHERE doc_id > least),
+        marked AS (SELECT doc_id, p, CASE WHEN p <= lag(p) OVER w + {LENGTH} THEN 0 ELSE 1 END AS opens FROM again WINDOW w AS (PARTITION BY doc_id ORDER BY p)),
+        numbered AS (SELECT doc_id, p, sum(opens) OVER (PARTITION BY doc_id ORDER BY p ROWS UNBOUNDED PRECEDING) AS run FROM marked),
+        runs AS (SELECT doc_id, min(p) AS first, max(p) + {LENGTH} AS last FROM numbered GROUP BY doc_id, run),
+        gaps AS (SELECT doc_id, first, last, coalesce(lag(last) OVER (PARTITION BY doc_id ORDER BY first), 0) AS before FROM runs),
+        cut AS (SELECT doc_id, sum(last - first) AS removed, count(*) AS spans, max(last) AS rest,
+                       string_agg(CASE WHEN first > before THEN hex(b[before + 1 : first]) ELSE '' END, '' ORDER BY first) AS kept
+                FROM gaps JOIN d USING (doc_id) GROUP BY doc_id)
+        SELECT doc_id, n::BIGINT AS n_bytes, coalesce(removed, 0)::BIGINT AS n_removed, coalesce(spans, 0)::BIGINT AS n_spans,
+               sha256(CASE WHEN rest IS NULL THEN b ELSE unhex(kept || CASE WHEN n > rest THEN hex(b[rest + 1 : n]) ELSE '' END) END) AS kept_sha256
+        FROM d LEFT JOIN cut USING (doc_id)""",
     "op2_ngram_jaccard_join": f"""
         WITH RECURSIVE words AS (
             SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{UPPER}', '{LOWER}'), '[^\\x20\\x09-\\x0D]+') AS w FROM documents),
