@@ -56,14 +56,23 @@ def _orthonormal(vecs: DataFrame, width: int) -> tuple[DataFrame, np.ndarray]:
     return vecs, width
 
 
-def svd_block(h: Hypergraph, rank: int, oversample: int = 10, power: int = 2, seed: int = 1) -> Svd:
-    """Block subspace iteration: 2 * power + 2 passes over the incidence, each two joins with partial vector sums."""
+def svd_block(h: Hypergraph, rank: int, oversample: int = 10, power: int = 2, seed: int = 1, warm: Svd | None = None) -> Svd:
+    """Block subspace iteration: 2 * power + 2 passes over the incidence, each two joins with partial vector sums.
+
+    With `warm`, the decomposition of an earlier state of the graph, the block starts from its right vectors, so that fewer
+    passes do; nodes that are new since then start at zero there and join in at the first pass.
+    """
     ell = cut(normalise(h), "ell")
     nodes = node_degrees(h).select(F.col("vid").alias("id"), F.sqrt("d").alias("top"))
     n, m = nodes.count(), ell.select("eid").distinct().count()
     width = min(rank + oversample, n, m)
     # The first right vector is known: square roots of degrees, with singular value 1.
     v = start_block(nodes, width - 1, seed).join(nodes, "id").select("id", F.concat(F.array("top"), "vec").alias("vec")) if width > 1 else nodes.select("id", F.array("top").alias("vec"))
+    if warm is not None and width > 1:
+        held = min(warm.rank, width) - 1
+        old = warm.v.select("id", F.slice("vec", 2, held).alias("old")) if held else warm.v.select("id", F.array().cast("array<double>").alias("old"))
+        zeros = F.array_repeat(F.lit(0.0), held)
+        v = v.join(old, "id", "left").select("id", F.concat(F.slice("vec", 1, width - held), F.coalesce("old", zeros)).alias("vec"))
     v = cut(v, "block")
     for _ in range(power + 1):
         u = cut(half_step(ell, v, width, "vid", "eid"), "block")
@@ -119,6 +128,29 @@ def svd_full(h: Hypergraph, rank: int | None = None, most: int = 5000) -> Svd:
     return Svd(to_frame(spark, eids, u[:, :k] * flip), s[:k], to_frame(spark, vids, vt[:k].T * flip))
 
 
+def svd_mllib(h: Hypergraph, rank: int, most: int = 50_000) -> np.ndarray:
+    """Leading singular values by `RowMatrix.computeSVD` of mllib, as a cross-check of the other forms.
+
+    A row is a hyperedge, a column a node by its place in the order of ids. The library holds vectors of all columns on the
+    driver, hence the limit; larger inputs are refused.
+    """
+    from pyspark.mllib.linalg import Vectors
+    from pyspark.mllib.linalg.distributed import RowMatrix
+
+    ell = cut(normalise(h), "ell")
+    ids = [r[0] for r in ell.select("vid").distinct().orderBy("vid").limit(most + 1).collect()]
+    if len(ids) > most:
+        raise ValueError(f"more than {most} nodes are too many for the cross-check; use svd_block")
+    if not ids:
+        return np.zeros(0)
+    columns = F.broadcast(ell.sparkSession.createDataFrame(list(zip(ids, range(len(ids)))), "vid long, place int"))
+    entry = F.sort_array(F.collect_list(F.struct("place", "ell")))
+    rows = ell.join(columns, "vid").groupBy("eid").agg(entry.alias("row")).select("row.place", "row.ell")
+    n = len(ids)
+    matrix = RowMatrix(rows.rdd.map(lambda r: Vectors.sparse(n, r[0], r[1])), numCols=n)
+    return np.array(matrix.computeSVD(min(rank, n)).s.toArray())
+
+
 def block_lanczos(apply, start: DataFrame, width: int, rank: int, limit: int, tolerance: float, most: int = 40, largest: bool = True) -> tuple[np.ndarray, DataFrame]:
     """(leading eigenvalues, their vectors as a table) of a symmetric operator on vector tables.
 
@@ -278,13 +310,43 @@ def sample_rows(f: DataFrame, c: int, seed: int = 5) -> np.ndarray:
     return np.array([r["vec"] for r in f.orderBy(mix(F.col("id"), 0, seed), "id").limit(c).select("vec").collect()])
 
 
-def fit_poly(f: DataFrame, tau: int = 3, c: int = 10, fn=None, seed: int = 5) -> tuple[np.ndarray, float]:
+def sample_centres(f: DataFrame, c: int, seed: int = 5) -> np.ndarray:
+    """c rows by greedy k-centre: the first by hash, then each time the row farthest from all picked (ties: least id).
+
+    Each pick is one pass that sends one row per partition; fewer rows come back where fewer differ.
+    """
+    picked = sample_rows(f, 1, seed)
+    while 0 < len(picked) < c:
+        centres = picked
+
+        def farthest(batches):
+            best = None
+            for b in batches:
+                x = rows_of(b)
+                if len(x):
+                    d = ((x[:, None, :] - centres[None]) ** 2).sum(axis=2).min(axis=1)
+                    ids = b.column("id").to_numpy()
+                    i = np.lexsort((ids, -d))[0]
+                    if best is None or (-d[i], ids[i]) < best[:2]:
+                        best = (-d[i], ids[i], x[i])
+            if best is not None:
+                yield pa.RecordBatch.from_pydict({"far": [float(-best[0])], "least": [-int(best[1])], "vec": [best[2].tolist()]})
+
+        top = f.select("id", "vec").mapInArrow(farthest, "far double, least long, vec array<double>").agg(F.max(F.struct("far", "least", "vec")).alias("top")).first()["top"]
+        if top is None or top["far"] <= 0:
+            break
+        picked = np.vstack([picked, top["vec"]])
+    return picked
+
+
+def fit_poly(f: DataFrame, tau: int = 3, c: int = 10, fn=None, seed: int = 5, sample: str = "hash") -> tuple[np.ndarray, float]:
     """(theta for powers 0..tau of the dot product, largest dot product): least squares of fn on sampled rows against all rows.
 
-    Partitions add up moments of the dot products scaled by their largest; the driver solves (tau + 1) equations.
+    `sample` chooses the rows: 'hash' order or 'kcenter'. Partitions add up moments of the dot products scaled by their
+    largest; the driver solves (tau + 1) equations.
     """
     fn = fn or (lambda x: np.log(np.maximum(x, 1.0)))
-    picked = sample_rows(f, c, seed)
+    picked = {"hash": sample_rows, "kcenter": sample_centres}[sample](f, c, seed)
     if not len(picked):
         return np.zeros(tau + 1), 1.0
 

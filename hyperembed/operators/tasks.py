@@ -3,9 +3,14 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
+from pyspark.ml.classification import LinearSVC, LogisticRegression
+from pyspark.ml.functions import array_to_vector
 from pyspark.sql import DataFrame, Window, functions as F
+from pyspark.sql.types import DoubleType
 
 from ..functions.vectors import dot, mix
+from ..session import cut
 from .blocks import gram
 from .hypergraph import Hypergraph
 
@@ -63,20 +68,54 @@ def group_features(members: DataFrame, vectors: DataFrame, width: int, how: str
     return g.select(F.col("eid").alias("id"), F.array(*[p.cast("double") for p in parts]).alias("vec"))
 
 
-def classify(vectors: DataFrame, labels: DataFrame, parts: DataFrame, width: int, ridge: float = 1e-3) -> DataFrame:
-    """(id, y, predicted, score) of the test rows: ridge regression on one-hot targets from one aggregated Gram matrix.
+def _ridge(rows: DataFrame, classes: list, w: int, penalty: float) -> np.ndarray:
+    """Ridge regression on one-hot targets from one aggregated Gram matrix."""
+    target = [F.when(F.col("y") == c, 1.0).otherwise(0.0) for c in classes]
+    g = gram(rows.select("id", F.concat("x", F.array(*target)).alias("vec")), w + len(classes))
+    scale = max(np.trace(g[:w, :w]) / w, 1e-12)
+    return np.linalg.solve(g[:w, :w] + penalty * scale * np.eye(w), g[:w, w:])
+
 
-    `labels` (id, y string), `parts` (id, is_train). Rows are scaled to unit length; a constant is added.
+def _fitted(rows: DataFrame, classes: list, w: int, penalty: float, learner: str) -> np.ndarray:
+    """Weights of multinomial logistic regression, or of one linear support vector machine per class; the last row holds intercepts.
+
+    A class without a training row scores below all others; with a single class in training everything goes to it.
+    """
+    beta = np.zeros((w, len(classes)))
+    seen = sorted(r["y"] for r in rows.select("y").distinct().collect())
+    beta[-1] = [0.0 if c in seen else -1e9 for c in classes]
+    if len(seen) < 2:
+        return beta
+    place = F.array_position(F.array(*[F.lit(c) for c in seen]), F.col("y")) - 1
+    data = cut(rows.select(array_to_vector(F.slice("x", 1, w - 1)).alias("features"), place.cast("double").alias("label")), "train")
+    if learner == "logistic":
+        model = LogisticRegression(regParam=penalty, family="multinomial", standardization=False).fit(data)
+        for k, c in enumerate(seen):
+            beta[:, classes.index(c)] = np.r_[model.coefficientMatrix.toArray()[k], model.interceptVector[k]]
+        return beta
+    for k, c in enumerate(seen):
+        model = LinearSVC(regParam=penalty, standardization=False).fit(data.withColumn("label", (F.col("label") == k).cast("double")))
+        beta[:, classes.index(c)] = np.r_[model.coefficients.toArray(), model.intercept]
+    return beta
+
+
+def classify(vectors: DataFrame, labels: DataFrame, parts: DataFrame, width: int, ridge: float = 1e-3, learner: str = "ridge") -> DataFrame:
+    """(id, y, predicted, score) of the test rows, by a linear learner: 'ridge', 'logistic' or 'svc'; `ridge` is its penalty.
+
+    `labels` (id, y string), `parts` (id, is_train). Rows are scaled to unit length; a constant is added. Rows of null label
+    take no part. The score is that of the last class.
     """
+    if learner not in ("ridge", "logistic", "svc"):
+        raise ValueError(f"no learner {learner}")
+    labels = labels.where("y is not null")
     classes = [r["y"] for r in labels.select("y").distinct().orderBy("y").collect()]
     length = F.sqrt(dot(F.col("vec"), F.col("vec")))
     unit = F.when(length > 0, F.transform("vec", lambda x: x.cast("double") / length)).otherwise(F.transform("vec", lambda x: x.cast("double")))
     rows = vectors.select("id", F.concat(unit, F.array(F.lit(1.0))).alias("x")).join(labels, "id").join(parts.select("id", "is_train"), "id")
-    target = [F.when(F.col("y") == c, 1.0).otherwise(0.0) for c in classes]
-    w = width + 1
-    g = gram(rows.where("is_train").select("id", F.concat("x", F.array(*target)).alias("vec")), w + len(classes)) if classes else np.zeros((w, w))
-    scale = max(np.trace(g[:w, :w]) / w, 1e-12)
-    beta = np.linalg.solve(g[:w, :w] + ridge * scale * np.eye(w), g[:w, w:])
+    if not classes:
+        return rows.where("false").select("id", "y", F.col("y").alias("predicted"), F.lit(None).cast("double").alias("score"))
+    train = rows.where("is_train")
+    beta = _ridge(train, classes, width + 1, ridge) if learner == "ridge" else _fitted(train, classes, width + 1, ridge, learner)
     scores = F.array(*[dot(F.col("x"), F.array(*[F.lit(float(b)) for b in beta[:, k]])) for k in range(len(classes))])
     out = rows.where("not is_train").withColumn("s", scores)
     best = F.array_position(F.col("s"), F.array_max("s")) - 1
@@ -109,6 +148,14 @@ def auc(scores: DataFrame) -> DataFrame:
     return per.agg(((F.sum("ranks") - p * (p + 1) / 2) / (p * n)).alias("auc"))
 
 
+@F.pandas_udf(DoubleType())
+def auc_of_group(y: pd.Series, score: pd.Series) -> float:
+    """AUC as a grouped aggregate, for many groups each of which fits in a worker; `auc` is the form for one large group."""
+    pos = float(y.sum())
+    neg = len(y) - pos
+    return float((score.rank()[y.astype(bool)].sum() - pos * (pos + 1) / 2) / (pos * neg)) if pos and neg else float("nan")
+
+
 def average_rank(results: DataFrame) -> DataFrame:
     """(method, avg_rank) of (method, dataset, metric, value): rank 1 is the best; a missing value ranks last of all."""
     methods = results.select("method").distinct().count()

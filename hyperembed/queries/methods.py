@@ -97,6 +97,26 @@ def svd_methods_agree(spark, sf_dir):
     return {"block": np.abs(lr.svd_block(x, 6, oversample=90, power=3).sigma - full).max() < 1e-5, "lanczos": np.abs(lr.svd_lanczos(x, 6).sigma - full).max() < 1e-5}
 
 
+@verdict("library_agrees", "top_is_one")
+def svd_mllib_agrees(spark, sf_dir):
+    """The library's ARPACK decomposition against the block form, on the weighted event hypergraph."""
+    h = graphs.user_days(spark, sf_dir).graph
+    theirs, ours = lr.svd_mllib(h, 6), lr.svd_block(h, 6, oversample=40, power=4).sigma
+    return {"library_agrees": np.abs(theirs - ours).max() < 1e-4, "top_is_one": abs(theirs[0] - 1) < 1e-6}
+
+
+@verdict("few_passes_do", "new_nodes_join")
+def svd_warm(spark, sf_dir):
+    """After a tenth of the hyperedges came in, a decomposition that starts from the one before needs fewer passes than one from noise."""
+    _, x = small_graph(spark)
+    late = F.pmod(F.col("eid"), F.lit(10)) == 0
+    before = lr.svd_block(hg.Hypergraph(x.inc.where(~late), x.edges.where(~late)), 12, power=4)
+    full = lr.svd_full(x, 12).sigma
+    error = {name: np.abs(lr.svd_block(x, 12, oversample=2, power=0, warm=w).sigma - full).max() for name, w in (("warm", before), ("cold", None))}
+    nodes = lr.svd_block(x, 12, oversample=2, power=0, warm=before).v.count()
+    return {"few_passes_do": error["warm"] < error["cold"], "new_nodes_join": nodes == x.inc.select("vid").distinct().count()}
+
+
 @add("SELECT i, round(list_reduce([1.0::DOUBLE] || list_transform(range(10), lambda t: 0.0::DOUBLE), lambda f, t: 0.1 + 0.9 * (i / 10.0) * (i / 10.0) * f), 6) AS phi FROM range(11) t(i)", "walk_filter")
 def _walk_filter(spark, sf_dir):
     s = spark.range(11).select(F.col("id").alias("i"), (F.col("id") / 10.0).alias("s"))
@@ -217,6 +237,23 @@ def poly_fit(spark, sf_dir):
     return {"reproduces_polynomial": np.abs(np.polyval(theta[::-1], z) - want).max() < 1e-6 * max(1, np.abs(want).max())}
 
 
+@verdict("reproduces_polynomial", "same_as_greedy", "covers_better_than_hash")
+def poly_fit_centres(spark, sf_dir):
+    """Rows chosen by greedy k-centre: against the greedy choice on one array, and in how far all rows are from them."""
+    _, x = small_graph(spark)
+    f = cut(lr.factor(lr.svd_full(x, 8), x))
+    picked, (_, rows) = lr.sample_centres(f, 10), rows_matrix(f)
+    radius = lambda c: np.sqrt(((rows[:, None] - c[None]) ** 2).sum(axis=2)).min(axis=1).max()
+    want = picked[:1]
+    while len(want) < 10:
+        want = np.vstack([want, rows[((rows[:, None] - want[None]) ** 2).sum(axis=2).min(axis=1).argmax()]])
+    theta, top = lr.fit_poly(f, 2, 10, lambda z: 2 + 0.5 * z - 0.01 * z**2, sample="kcenter")
+    z = np.linspace(0, top, 50)
+    exact = 2 + 0.5 * z - 0.01 * z**2
+    return {"reproduces_polynomial": np.abs(np.polyval(theta[::-1], z) - exact).max() < 1e-6 * max(1, np.abs(exact).max()),
+            "same_as_greedy": abs(radius(picked) - radius(want)) < 1e-9, "covers_better_than_hash": radius(picked) <= radius(lr.sample_rows(f, 10))}
+
+
 @verdict("mean_error_within_bound", "falls_with_width")
 def sketch_bound(spark, sf_dir):
     """Mean squared error of the sketched operator against its bound in norms of the rows, over seeds."""
@@ -466,6 +503,24 @@ def metric_auc(spark, sf_dir):
     return tk.auc(_scores(spark, sf_dir).select((F.col("y") == "R").alias("y"), "score")).select(r("auc"))
 
 
+@add(ORACLES["metric_auc"])
+def metric_auc_grouped(spark, sf_dir):
+    """The same measure as a grouped aggregate in pandas, which suits many small groups."""
+    return _scores(spark, sf_dir).agg(tk.auc_of_group((F.col("y") == "R"), F.col("score")).alias("auc")).select(r("auc"))
+
+
+@verdict("ridge", "logistic", "svc")
+def learners(spark, sf_dir):
+    """Each linear learner tells the classes of the planted graph apart from their embedding."""
+    w, x = small_graph(spark)
+    z = cut(em.embed_sketch(x, em.Settings(k=K)).vectors("node"))
+    labels = w.labels.select(F.col("vid").alias("id"), F.col("y").cast("string").alias("y"))
+    parts = tk.split(labels.select("id"), 50)
+    shares = {name: tk.accuracy(tk.classify(z, labels, parts, K, learner=name)).first()[0] for name in ("ridge", "logistic", "svc")}
+    common = labels.groupBy("y").count().agg(F.max("count")).first()[0] / labels.count()
+    return {name: share > common + 0.1 for name, share in shares.items()}
+
+
 #: Published Micro-F1 of node classification of some methods on four datasets (null: not finished).
 PUBLISHED = [
     ("walk skip-gram", (0.446, 0.412, None, 0.702)), ("two view", (0.787, 0.702, 0.978, None)), ("dense factorisation", (0.536, 0.518, 0.987, 0.744)),

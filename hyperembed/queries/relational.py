@@ -6,11 +6,12 @@ import uuid
 
 from pyspark.sql import Window, functions as F
 
-from ..functions import vectors
+from ..functions import tables, vectors
+from ..functions.vectors import mix_sql
 from ..operators import hypergraph as hg
 from ..session import work_folder
-from ..sources import graphs, hyperedge_text
-from .common import Registry, r
+from ..sources import graphs, hyperedge_text, layout
+from .common import SQL_BASKETS, Registry, r
 
 _reg = Registry()
 add, verdict = _reg.add, _reg.verdict
@@ -391,3 +392,41 @@ def sql_functions(spark, sf_dir):
 def sql_pipe(spark, sf_dir):
     read(spark, sf_dir, "lineitem").createOrReplaceTempView("hyperembed_lineitem")
     return spark.sql("FROM hyperembed_lineitem |> SELECT DISTINCT l_suppkey, l_partkey |> AGGREGATE count(*) AS n GROUP BY l_suppkey |> WHERE n > 20")
+
+
+# Stored layouts and table functions.
+
+
+@add(f"WITH {SQL_BASKETS} SELECT eid, count(*) AS size, sum(gamma) AS delta FROM inc GROUP BY eid")
+def roundtrip_bucketed(spark, sf_dir):
+    """Hyperedge sizes from the copy that is bucketed by hyperedge: no exchange."""
+    name = f"incidence_{uuid.uuid4().hex}"
+    by_eid, _ = layout.write_bucketed(graphs.order_baskets(spark, sf_dir).graph, name, f"{work_folder(spark)}/{name}", 8)
+    return by_eid.groupBy("eid").agg(F.count("*").alias("size"), F.sum("gamma").alias("delta"))
+
+
+@add(f"WITH {SQL_BASKETS} SELECT eid, vid, gamma FROM inc WHERE {mix_sql('eid', '0', 23)} % 16 = 3")
+def roundtrip_partitioned(spark, sf_dir):
+    """One hash block of the incidence, read from its own folder."""
+    path = f"{work_folder(spark)}/incidence-{uuid.uuid4().hex}"
+    layout.write_partitioned(graphs.order_baskets(spark, sf_dir).graph.inc, path, 16)
+    return layout.read_block(spark, path, 3)
+
+
+@add("WITH p AS (SELECT DISTINCT l_orderkey AS eid, l_partkey AS v FROM lineitem) SELECT x.eid, x.v AS a, y.v AS b FROM p x JOIN p y ON x.eid = y.eid AND x.v < y.v")
+def udtf_pairs(spark, sf_dir):
+    """Members of every basket to pairs by a table function (baskets hold seven lines at most)."""
+    tables.register(spark)
+    view = f"baskets_{uuid.uuid4().hex}"
+    read(spark, sf_dir, "lineitem").groupBy(F.col("l_orderkey").alias("eid")).agg(F.collect_list("l_partkey").alias("members")).createOrReplaceTempView(view)
+    return spark.sql(f"SELECT * FROM hyperedge_pairs(TABLE({view}))")
+
+
+@add("WITH s AS (SELECT l_orderkey AS eid, count(*) AS size FROM lineitem GROUP BY 1) SELECT eid, size AS members, size AS places, true AS in_range FROM s")
+def udtf_members(spark, sf_dir):
+    """As many distinct random places as each basket has lines."""
+    tables.register(spark)
+    view = f"sizes_{uuid.uuid4().hex}"
+    read(spark, sf_dir, "lineitem").groupBy(F.col("l_orderkey").alias("eid")).agg(F.count("*").alias("size")).withColumns({"nodes": F.lit(2000).cast("long"), "seed": F.lit(41).cast("long")}).createOrReplaceTempView(view)
+    drawn = spark.sql(f"SELECT * FROM random_members(TABLE({view}))")
+    return drawn.groupBy("eid").agg(F.count("*").alias("members"), F.count_distinct("place").alias("places"), F.bool_and(F.col("place").between(0, 1999)).alias("in_range"))

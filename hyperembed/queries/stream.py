@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import functions as F
 
+from ..session import work_folder
 from ..streaming import events as ev
 from .common import Registry
 
@@ -50,3 +53,9 @@ def stream_static_join(spark, sf_dir):
     static = spark.read.parquet(f"{sf_dir}/events.parquet").select(F.col("user_id").alias("id")).distinct().withColumn("vec", F.array((F.col("id") % 7).cast("double")))
     j = ev.joined_with(ev.event_stream(spark, sf_dir), static)
     return ev.drain(j.groupBy("event_type").agg(F.round(F.sum(F.col("value") * F.col("vec")[0]), 2).alias("total")))
+
+
+@add("""SELECT 'node' AS side, CAST(user_id AS VARCHAR) AS id, count(*) AS total FROM events GROUP BY user_id
+        UNION ALL SELECT 'edge', event_type || ' ' || strftime(ts, '%Y-%m-%d'), count(*) FROM events GROUP BY ALL UNION ALL SELECT 'all', '', count(*) FROM events""")
+def stream_volumes(spark, sf_dir):
+    return ev.running_volumes(ev.event_stream(spark, sf_dir), f"{work_folder(spark)}/volumes-{uuid.uuid4().hex}")

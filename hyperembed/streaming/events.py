@@ -62,3 +62,35 @@ def running_degrees(events: DataFrame) -> DataFrame:
 def joined_with(events: DataFrame, vectors: DataFrame) -> DataFrame:
     """Stream-static join: each event with its user's vector (id, vec)."""
     return events.join(vectors.withColumnRenamed("id", "user_id"), "user_id")
+
+
+def dropped_late(query) -> int:
+    """Rows that a finished query's stateful operators dropped because the watermark had passed them (of the progress reports that are kept)."""
+    return sum(int(op.get("numRowsDroppedByWatermark", 0)) for p in query.recentProgress for op in p["stateOperators"])
+
+
+def closed_windows(events: DataFrame, delay: str = "1 hour", length: str = "1 day") -> DataFrame:
+    """Windows as in `members_per_window`, for append mode: each comes out once, when the watermark has passed its end; later rows are dropped."""
+    w = F.window("ts", length)
+    g = events.withWatermark("ts", delay).groupBy(w.alias("w"), "event_type").agg(F.approx_count_distinct("user_id").alias("members"), F.count("*").alias("events"))
+    return g.select(F.date_format("w.start", "yyyy-MM-dd HH:mm").alias("start"), "event_type", "members", "events")
+
+
+def running_volumes(events: DataFrame, path: str) -> DataFrame:
+    """Degrees (side, id, total) of users and of (event type, day) hyperedges, and the volume (side 'all'), kept up over micro-batches.
+
+    All three are sums of memberships, so each batch writes its own partial sums to a folder named by its number. A batch that runs
+    again after a failure overwrites that folder and nothing counts twice.
+    """
+    spark = events.sparkSession
+
+    def sums(batch: DataFrame, number: int) -> None:
+        edge = F.concat_ws(" ", "event_type", F.date_format("ts", "yyyy-MM-dd"))
+        sides = F.explode(F.array(*[F.struct(F.lit(s).alias("side"), c.alias("id")) for s, c in (("node", F.col("user_id").cast("string")), ("edge", edge), ("all", F.lit("")))]))
+        rows = batch.select(sides.alias("k")).groupBy("k.side", "k.id").agg(F.count("*").alias("part"))
+        rows.write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    q = events.writeStream.foreachBatch(sums).option("checkpointLocation", f"{path}-checkpoint").trigger(availableNow=True).start()
+    q.awaitTermination()
+    parts = spark.read.schema("side string, id string, part long").parquet(f"{path}/batch=*")
+    return parts.groupBy("side", "id").agg(F.sum("part").alias("total"))
