@@ -125,3 +125,14 @@ def test_centres_of_few_rows(spark):
     f = spark.createDataFrame([(i, [float(i % 2), 0.0]) for i in range(6)], "id long, vec array<double>")
     assert sorted(lr.sample_centres(f, 5).tolist()) == [[0.0, 0.0], [1.0, 0.0]]
     assert len(lr.sample_centres(f.where("false"), 5)) == 0
+
+
+def test_drained_rows_are_written_by_executors(spark):
+    folder = f"{work_folder(spark)}/drain-{uuid.uuid4().hex}"
+    for d in (1, 2, 3):
+        spark.range(4).selectExpr("id AS event_id", f"CAST('2024-01-0{d} 12:00:00' AS TIMESTAMP) AS ts", "id % 2 AS user_id", "'a' AS event_type").coalesce(1).write.mode("append").parquet(folder)
+    stream = spark.readStream.schema("event_id long, ts timestamp, user_id long, event_type string").option("maxFilesPerTrigger", 1).parquet(folder)
+    whole, first = ev.drain(ev.sessions(stream)), ev.drain(stream.select("event_id"), "append")
+    assert whole.inputFiles() and first.inputFiles()
+    assert whole.count() == 6 and first.count() == 12
+    assert {r["events"] for r in whole.collect()} == {2}
