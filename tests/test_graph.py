@@ -180,3 +180,26 @@ def test_lanczos_finds_values_that_repeat(spark, toy_x):
     assert np.abs(got.sigma[:3] - 1).max() < 1e-9 and np.abs(full.sigma - got.sigma).max() < 1e-7
     for side in (got.u, got.v):
         assert np.abs(gram(side, 8) - np.eye(8)).max() < 1e-6
+
+
+def test_clique_walk_makes_no_pairs_of_neighbours(spark, monkeypatch):
+    rows = [(1, 1, 1.0), (1, 2, 2.0), (1, 3, 1.0), (2, 3, 1.0), (2, 4, 3.0), (3, 5, 1.0), (3, 6, 1.0), (4, 6, 1.0), (5, 7, 1.0)]
+    h = hg.hypergraph_from(spark.createDataFrame(rows, "e long, v long, g double"), "e", "v", "g", F.lit(2.0), min_size=1)
+    a = np.zeros((8, 8))
+    for e, i, x in rows:
+        for f, j, y in rows:
+            if e == f and i != j:
+                a[i, j] += 2 * x * y
+    p = np.divide(a, a.sum(1, keepdims=True), out=np.zeros_like(a), where=a.sum(1, keepdims=True) > 0)
+    walk = np.eye(8)
+    for _ in range(4):
+        walk = 0.1 * np.eye(8) + 0.9 * walk @ p
+    average = (p + p @ p + p @ p @ p) / 3
+    monkeypatch.setattr(hg, "clique_expand", None)
+    source = h.inc.select(F.col("vid").alias("id")).distinct()
+    for limit in (700_000, 0):
+        monkeypatch.setattr(bl, "RATES", limit)
+        for got, want in ((bl.pagerank_pairs(h, source, 0.1, 4), walk), (bl.clique_powers_average(h), average)):
+            found = {(r["source"], r["id"]): r["p"] for r in got.collect()}
+            assert {k for k, v in found.items() if v > 1e-12} == {(i, j) for i in range(1, 8) for j in range(1, 8) if want[i, j] > 1e-12}
+            assert all(abs(v - want[k]) < 1e-12 for k, v in found.items())
