@@ -136,3 +136,18 @@ def test_drained_rows_are_written_by_executors(spark):
     assert whole.inputFiles() and first.inputFiles()
     assert whole.count() == 6 and first.count() == 12
     assert {r["events"] for r in whole.collect()} == {2}
+
+
+def test_library_svd_takes_the_smaller_side(spark):
+    h = hg.hypergraph_from(spark.createDataFrame([(e, v) for e in range(3) for v in range(e, 9 + e)], "e long, v long"), "e", "v")
+    assert np.allclose(lr.svd_mllib(h, 2, most=3), lr.svd_full(h, 2).sigma)
+
+
+def test_shared_members_of_any_number_of_pairs(spark, monkeypatch):
+    rows = [(e, v) for e in range(6) for v in range(9) if (e * v) % 3 != 1] + [(9, 0)]
+    h = hg.hypergraph_from(spark.createDataFrame(rows, "e long, v long"), "e", "v", min_size=1)
+    held = {e: {v for f, v in rows if f == e} for e, _ in rows}
+    want = sorted((e, f, len(held[e] & held[f])) for e in held for f in held if e < f and held[e] & held[f])
+    for listed in (2000, 4):
+        monkeypatch.setattr(hg, "LISTED", listed)
+        assert sorted(tuple(r) for r in hg.shared_members(h).collect()) == want
