@@ -52,3 +52,11 @@ def test_compared_methods_and_experiments_on_every_workload():
 
 def test_experiments_use_the_default_sketch_width():
     assert ex.SMALL.b == em.Settings().b == 128
+
+
+@pytest.mark.parametrize("name", ["walk_filter", "walk_filter_shape", "sweep_alpha", "metric_gain", "metric_repeat", "metric_rank"])
+def test_queries_read_a_given_table(spark, monkeypatch, name):
+    seen = []
+    monkeypatch.setattr(graphs, "read", lambda s, d, t, read=graphs.read: seen.append(t) or read(s, d, t))
+    QUERIES[name](spark, SF)
+    assert seen
