@@ -34,7 +34,7 @@ from pyspark.sql import DataFrame, functions as F
 from .common import bounded_batches, tidy, without_cycles
 
 MARK = "▁"
-SAMPLES, SHARPNESS = 2, 12.0
+SAMPLES, SHARPNESS = 2, 1.0
 #: Rank of byte pieces, and the addend of Zipf's law.
 BYTE_RANK, ZIPF = 1e6, 2.7
 #: Longer words are added up in logarithms.

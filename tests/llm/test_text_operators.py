@@ -446,3 +446,13 @@ def test_segmentation_frames(spark):
     import sentencepiece
 
     assert back[0].ids == sentencepiece.SentencePieceProcessor(model_file=model).encode("hello there")
+
+
+def test_default_sampler_leaves_the_best_path():
+    """Samples are no near copies of the likeliest segmentation, which steep weights give."""
+    text = "the morning train from the harbour carried letters and winter apples over the bridge " * 5
+    flat, steep = (sentence_pieces.PieceLattice(vocabulary("piece_bpe_32k.model"), **kw) for kw in ({}, {"sharpness": 16.0}))
+    pieces = lambda lattice, key: sentence_pieces.Counter(sentence_pieces.np.frombuffer(lattice.sample(text, key)[0][0], "<i4").tolist())
+    best = pieces(steep, "1")
+    kept = [(pieces(flat, str(k)) & best).total() / best.total() for k in range(5)]
+    assert sum(kept) / 5 < 0.95
