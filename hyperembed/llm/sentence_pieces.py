@@ -247,6 +247,9 @@ class PieceLattice:
         self.pieces = [sp.id_to_piece(i) for i in range(n)]
         self.bytes = {int(self.pieces[i][1:-1], 16): i for i in range(n) if sp.is_byte(i)}
         self.byte_of = {i: b for b, i in self.bytes.items()}
+        self.written = [bytes([self.byte_of[i]]) if i in self.byte_of else p.encode() for i, p in enumerate(self.pieces)]
+        self.flat, self.long = np.frombuffer(b"".join(self.written), np.uint8), np.fromiter(map(len, self.written), np.int32, n)
+        self.start = np.cumsum(self.long, dtype=np.int32) - self.long
         log_weight = lambda rank: -sharpness * math.log(rank + ZIPF)
         self.ids, self.log_w = {}, {}
         for i, p in enumerate(self.pieces):
@@ -271,6 +274,7 @@ class PieceLattice:
     def _forget(self) -> None:
         """Start the table of words anew: place of each word, probabilities of its best path and of the others, ids of the best."""
         self.place: dict[str, int] = {}
+        self.names, self.size = [], np.zeros(0, np.int32)
         self.p, self.q, self.log_p, self.plain = (np.zeros(0, t) for t in (float, float, float, bool))
         self.best_ids: list[bytes] = []
 
@@ -386,6 +390,8 @@ class PieceLattice:
                 path.append(end[path[-1]])
             p[i], q[i], log_p[i], ids[i] = math.exp(d), -math.expm1(min(0.0, d)), d, np.array(self.path_ids(spelled[i], path), "<i4").tobytes()
         self.place.update(zip(keys, range(len(self.best_ids), len(self.best_ids) + len(keys))))
+        self.names.extend(keys)
+        self.size = np.concatenate([self.size, np.fromiter(map(len, spelled), np.int32, len(keys))])
         self.best_ids.extend(ids)
         self.p, self.q, self.log_p, self.plain = (np.concatenate(x) for x in ((self.p, p), (self.q, q), (self.log_p, log_p), (self.plain, plain)))
 
@@ -411,22 +417,25 @@ class PieceLattice:
         norm = self.processor.normalize(text or "")
         return norm if not norm or norm.startswith(MARK) else MARK + norm
 
-    def _draw_pool(self, items: list) -> list:
-        """(ids, log-probability) for each (word's place, spelled word, seed): a path other than the word's best one."""
-        out: list = [None] * len(items)
-        plain = [k for k, (at, _, _) in enumerate(items) if self.plain[at]]
-        plain.sort(key=lambda k: len(items[k][1]))
-        for s in range(0, len(plain), SIDE_BY_SIDE):
-            part = plain[s: s + SIDE_BY_SIDE]
-            words = {w: i for i, w in enumerate(dict.fromkeys(items[k][1] for k in part))}
-            x = WordLattices(self.tree, list(words))
-            column = x.column[[words[items[k][1]] for k in part]]
-            for k, ids, lp in zip(part, *x.paths(column, np.array([items[k][2] for k in part], U))):
-                out[k] = ids, float(lp)
-        for k, (at, word, seed) in enumerate(items):
-            if out[k] is None:
-                out[k] = self.draw_other(word, [self.best_ids[at]], np.random.Generator(np.random.SFC64(int(seed))))
-        return out
+    def _draw_pool(self, places: np.ndarray, seeds: np.ndarray) -> tuple[list[bytes], np.ndarray]:
+        """(ids, log-probabilities) for each word's place and seed: a path other than the word's best one."""
+        out, logs = [b""] * len(places), np.zeros(len(places))
+        plain = self.plain[places]
+        # Draws of the same word stand together and share its lattice.
+        some = np.flatnonzero(plain)
+        some = some[np.lexsort((places[some], self.size[places[some]]))]
+        first = np.flatnonzero(np.diff(places[some], prepend=-1))
+        for s in range(0, len(first), SIDE_BY_SIDE):
+            a, b = first[s], first[s + SIDE_BY_SIDE] if s + SIDE_BY_SIDE < len(first) else len(some)
+            heads, part = first[s: s + SIDE_BY_SIDE], some[a:b]
+            x = WordLattices(self.tree, [self.spell(self.names[i]) for i in places[some[heads]].tolist()])
+            found, logs[part] = x.paths(np.repeat(x.column, np.diff(np.r_[heads, b])), seeds[part].astype(U))
+            for k, ids in zip(part.tolist(), found):
+                out[k] = ids
+        for k in np.flatnonzero(~plain).tolist():
+            at = int(places[k])
+            out[k], logs[k] = self.draw_other(self.spell(self.names[at]), [self.best_ids[at]], np.random.Generator(np.random.SFC64(int(seeds[k]))))
+        return out, logs
 
     def sample_many(self, texts, keys, samples: int = SAMPLES) -> list[list[tuple[bytes, float, float, float]]]:
         return self.sample_normal(list(map(self.normal, texts)), keys, samples)
@@ -452,7 +461,7 @@ class PieceLattice:
             if not ws:
                 rows[-1].value = -math.inf
         for turn in range(samples):
-            pool, waiting = [], []
+            pool, waiting, done = [(np.zeros(0, np.int64),) * 2], [], 0
             for row, ws in zip(rows, words):
                 if not ws or (turn and row.value == -math.inf):
                     continue
@@ -478,16 +487,17 @@ class PieceLattice:
                 else:
                     over, logs, others, ask, excluded, i = {}, self.log_p[row.at], self.q[row.at], [], None, 0
                     score, start = float(row.rng.gumbel()), 0
-                ask += (start + np.flatnonzero(row.rng.random(n - start) >= p[start:])).tolist()
-                seeds = row.rng.integers(0, 1 << 63, len(ask), np.int64).tolist()
-                pool += [(row.at[k], self.spell(ws[k]), s) for k, s in zip(ask, seeds)]
+                ask = np.r_[np.array(ask, np.int64), start + np.flatnonzero(row.rng.random(n - start) >= p[start:])]
+                pool.append((row.at[ask], row.rng.integers(0, 1 << 63, len(ask), np.int64)))
                 waiting.append((row, ws, (over, logs, others), ask, excluded, i, score))
-            drawn = iter(self._draw_pool(pool))
+            drawn, drawn_logs = self._draw_pool(*map(np.concatenate, zip(*pool)))
             for row, ws, path, ask, excluded, i, score in waiting:
                 over, logs, others = path
-                for k in ask:
-                    over[k], logs[k] = next(drawn)
-                    others[k] = -math.expm1(min(logs[k], -1e-300))
+                here = slice(done, done + len(ask))
+                done = here.stop
+                over.update(zip(ask.tolist(), drawn[here]))
+                logs[ask] = drawn_logs[here]
+                others[ask] = -np.expm1(np.minimum(logs[ask], -1e-300))
                 own = over.get(i) or self.best_ids[row.at[i]]
                 row.found.append((path, float(logs.sum()), score))
                 self._split(row, ws, path, i, {**(excluded or {}), own: float(logs[i])}, score, turn + 1 == samples)
@@ -533,20 +543,15 @@ class PieceLattice:
 
     def joined(self, ids: list[int]) -> str:
         """Pieces of ids side by side, byte pieces joined into UTF-8."""
-        if self.byte_of.keys().isdisjoint(ids):
-            return "".join(map(self.pieces.__getitem__, ids))
-        out, pending = [], bytearray()
-        for i in ids:
-            if i in self.byte_of:
-                pending.append(self.byte_of[i])
-                continue
-            if pending:
-                out.append(pending.decode("utf-8", "replace"))
-                pending = bytearray()
-            out.append(self.pieces[i])
-        if pending:
-            out.append(pending.decode("utf-8", "replace"))
-        return "".join(out)
+        return b"".join(map(self.written.__getitem__, ids)).decode("utf-8", "replace")
+
+    def gives(self, values: np.ndarray, norm: str) -> bool:
+        """Whether ids give a text in the model's own form."""
+        long = self.long[values]
+        end = np.cumsum(long)
+        places = np.repeat(self.start[values] - (end - long), long)
+        places += np.arange(len(places))
+        return self.flat[places].tobytes() == norm.encode("utf-8", "surrogatepass") or self.joined(values.tolist()) == norm
 
     def decode(self, ids) -> str:
         """Text of ids: marks become spaces, the mark put before the text goes."""
@@ -588,7 +593,7 @@ def _sampled(model: str, samples: int, sharpness: float, digest: bool, kind: pa.
                     for ident, norm, found in zip(idents, norms, lattice.sample_normal(norms, list(map(str, idents)), samples)):
                         for k, (ids, lp, score, inclusion) in enumerate(found):
                             values = np.frombuffer(ids, "<i4")
-                            more = (zlib.crc32(ids), lp, score, inclusion, lattice.joined(values.tolist()) == norm) if digest else (values, lp, score, inclusion)
+                            more = (zlib.crc32(ids), lp, score, inclusion, lattice.gives(values, norm)) if digest else (values, lp, score, inclusion)
                             rows.append((ident, k, len(values), *more))
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), types)], names)
 

@@ -456,3 +456,20 @@ def test_default_sampler_leaves_the_best_path():
     best = pieces(steep, "1")
     kept = [(pieces(flat, str(k)) & best).total() / best.total() for k in range(5)]
     assert sum(kept) / 5 < 0.95
+
+
+def test_draws_of_a_word_share_its_lattice(monkeypatch):
+    """Also where there are more draws than are solved side by side; the samples do not depend on it."""
+    text = "reasonable segmentation of considerable words, " * 40 + "\n\u0e01"
+    lattice = sentence_pieces.PieceLattice(vocabulary("piece_bpe_32k.model"))
+    want = lattice.sample_many([text, "words"], ["a", "b"])
+    built, start = [], sentence_pieces.WordLattices.__init__
+    monkeypatch.setattr(sentence_pieces, "SIDE_BY_SIDE", 3)
+    monkeypatch.setattr(sentence_pieces.WordLattices, "__init__", lambda self, tree, words: built.append(list(words)) or start(self, tree, words))
+    assert lattice.sample_many([text, "words"], ["a", "b"]) == want
+    words = [w for x in built for w in x]
+    assert words and len(words) <= 2 * len(set(words))  # one lattice a word in each of the two rounds
+    norm = lattice.normal(text)
+    for ids, *_ in want[0]:
+        values = np.frombuffer(ids, "<i4")
+        assert lattice.gives(values, norm) and lattice.joined(values.tolist()) == norm and not lattice.gives(values[1:], norm)
