@@ -83,3 +83,12 @@ def test_stages_on_an_empty_table(spark):
     docs = spark.createDataFrame([], COLUMNS)
     for _, stage in cp.STAGES:
         assert stage(spark, docs, SF).count() == 0
+
+
+def test_driver_memory_is_given_back_between_stages(spark, monkeypatch):
+    cp.give_back_driver(spark)
+    calls = []
+    monkeypatch.setattr(cp, "STAGES", [(str(k), lambda spark, docs, sf_dir: docs) for k in range(3)])
+    monkeypatch.setattr(cp, "give_back_driver", calls.append)
+    assert cp.run(spark, SF).count() == spark.read.parquet(f"{SF}/documents.parquet").count()
+    assert len(calls) == 2
