@@ -14,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from hyperembed.llm import exact_dedup, mixing, ngram_join, sentence_pieces, toxicity
-from hyperembed.llm.common import give_back_driver, stash, table
+from hyperembed.llm.common import give_back_driver, give_back_executors, stash, table
 from hyperembed.llm.queries import vocabulary
 
 
@@ -58,5 +58,6 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     *first, (_, last) = STAGES
     for name, stage in first:
         docs = stash(stage(spark, docs, sf_dir), "stage")
+        give_back_executors(spark)
         give_back_driver(spark)
     return last(spark, docs, sf_dir)

@@ -31,7 +31,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F
 
-from .common import bounded_batches, tidy, without_cycles
+from .common import HELD, bounded_batches, tidy, without_cycles
 
 MARK = "▁"
 SAMPLES, SHARPNESS = 2, 1.0
@@ -226,6 +226,19 @@ class WordLattices:
         return [flat[a:b] for a, b in zip([0, *ends[:-1].tolist()], ends.tolist())], logs
 
 
+class _Places(dict):
+    """Place of each word in the table; words that are asked for and not in it get the next places and wait in `fresh`."""
+
+    def __init__(self):
+        super().__init__()
+        self.fresh: list[str] = []
+
+    def __missing__(self, word: str) -> int:
+        at = self[word] = len(self)
+        self.fresh.append(word)
+        return at
+
+
 class _Search:
     """The search of one text: its words' places in the table, its random numbers, paths found and open sets."""
 
@@ -273,8 +286,8 @@ class PieceLattice:
 
     def _forget(self) -> None:
         """Start the table of words anew: place of each word, probabilities of its best path and of the others, ids of the best."""
-        self.place: dict[str, int] = {}
-        self.names, self.size = [], np.zeros(0, np.int32)
+        self.place = _Places()
+        self.names, self.size = [], np.zeros(0, np.int32)  # words with their marks
         self.p, self.q, self.log_p, self.plain = (np.zeros(0, t) for t in (float, float, float, bool))
         self.best_ids: list[bytes] = []
 
@@ -363,17 +376,16 @@ class PieceLattice:
             node = here.get(last[0])
         return np.array(self.path_ids(s, path), "<i4").tobytes(), log_p
 
-    def _is_plain(self, s: str) -> bool:
-        return len(s) <= PLAIN_LENGTH and self.tree.known.issuperset(s)
-
-    def learn(self, keys) -> None:
-        """Put words into the table."""
-        keys = list(keys)
-        spelled = list(map(self.spell, keys))
+    def learn(self) -> None:
+        """Put the words that wait for it into the table."""
+        keys, self.place.fresh = self.place.fresh, []
+        spelled = [key if key[:1] == "\n" else MARK + key for key in keys]
         p, q, log_p, ids = np.empty(len(keys)), np.empty(len(keys)), np.empty(len(keys)), [b""] * len(keys)
-        plain = np.fromiter(map(self._is_plain, spelled), bool, len(keys))
+        size = np.fromiter(map(len, spelled), np.int32, len(keys))
+        letters = self.tree.letter[np.frombuffer("".join(spelled).encode("utf-32-le", "surrogatepass"), np.uint32)]
+        plain = (size <= PLAIN_LENGTH) & np.logical_and.reduceat(letters > 0, np.cumsum(size) - size)
         some = np.flatnonzero(plain)
-        some = some[np.argsort([len(spelled[i]) for i in some.tolist()], kind="stable")]
+        some = some[np.argsort(size[some], kind="stable")]
         for s in range(0, len(some), SIDE_BY_SIDE):
             part = some[s: s + SIDE_BY_SIDE]
             x = WordLattices(self.tree, [spelled[i] for i in part.tolist()])
@@ -389,9 +401,8 @@ class PieceLattice:
             while path[-1] < len(spelled[i]):
                 path.append(end[path[-1]])
             p[i], q[i], log_p[i], ids[i] = math.exp(d), -math.expm1(min(0.0, d)), d, np.array(self.path_ids(spelled[i], path), "<i4").tobytes()
-        self.place.update(zip(keys, range(len(self.best_ids), len(self.best_ids) + len(keys))))
-        self.names.extend(keys)
-        self.size = np.concatenate([self.size, np.fromiter(map(len, spelled), np.int32, len(keys))])
+        self.names.extend(spelled)
+        self.size = np.concatenate([self.size, size])
         self.best_ids.extend(ids)
         self.p, self.q, self.log_p, self.plain = (np.concatenate(x) for x in ((self.p, p), (self.q, q), (self.log_p, log_p), (self.plain, plain)))
 
@@ -428,13 +439,13 @@ class PieceLattice:
         for s in range(0, len(first), SIDE_BY_SIDE):
             a, b = first[s], first[s + SIDE_BY_SIDE] if s + SIDE_BY_SIDE < len(first) else len(some)
             heads, part = first[s: s + SIDE_BY_SIDE], some[a:b]
-            x = WordLattices(self.tree, [self.spell(self.names[i]) for i in places[some[heads]].tolist()])
+            x = WordLattices(self.tree, [self.names[i] for i in places[some[heads]].tolist()])
             found, logs[part] = x.paths(np.repeat(x.column, np.diff(np.r_[heads, b])), seeds[part].astype(U))
             for k, ids in zip(part.tolist(), found):
                 out[k] = ids
         for k in np.flatnonzero(~plain).tolist():
             at = int(places[k])
-            out[k], logs[k] = self.draw_other(self.spell(self.names[at]), [self.best_ids[at]], np.random.Generator(np.random.SFC64(int(seeds[k]))))
+            out[k], logs[k] = self.draw_other(self.names[at], [self.best_ids[at]], np.random.Generator(np.random.SFC64(int(seeds[k]))))
         return out, logs
 
     def sample_many(self, texts, keys, samples: int = SAMPLES) -> list[list[tuple[bytes, float, float, float]]]:
@@ -445,19 +456,17 @@ class PieceLattice:
         words = list(map(self.words_of, norms))
         if len(self.best_ids) > self.entries:
             self._forget()
-        known = [list(map(self.place.get, ws)) for ws in words]
-        fresh: dict = {}
-        for ws, at in zip(words, known):
-            if None in at:
-                fresh.update(dict.fromkeys([w for w, a in zip(ws, at) if a is None]))
-        if fresh:
-            self.learn(fresh)
+        places = [np.fromiter(map(self.place.__getitem__, ws), np.int64, len(ws)) for ws in words]
+        if self.place.fresh:
+            try:
+                self.learn()
+            except BaseException:
+                self._forget()  # places without an entry must not stay
+                raise
         rows = []
-        for ws, at, key in zip(words, known, keys):
-            if None in at:
-                at = [self.place[w] if a is None else a for w, a in zip(ws, at)]
+        for ws, at, key in zip(words, places, keys):
             rng = np.random.Generator(np.random.SFC64(xxhash.xxh3_64_intdigest(key)))
-            rows.append(_Search(np.array(at, np.int64), rng))
+            rows.append(_Search(at, rng))
             if not ws:
                 rows[-1].value = -math.inf
         for turn in range(samples):
@@ -565,6 +574,9 @@ def worker_lattice(model: str, sharpness: float) -> PieceLattice:
     return PieceLattice(model, sharpness)
 
 
+HELD.append(worker_lattice)
+
+
 def _portions(batch: pa.RecordBatch):
     """(ids, texts) of at most BATCH_ROWS rows and about BATCH_CHARS characters; longer texts alone."""
     ids, texts, size = [], [], 0
@@ -597,7 +609,7 @@ def _sampled(model: str, samples: int, sharpness: float, digest: bool, kind: pa.
                             rows.append((ident, k, len(values), *more))
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), types)], names)
 
-    return tidy(run)
+    return tidy(run, worker_lattice)
 
 
 def sample_segmentations(df: DataFrame, model: str, samples: int = SAMPLES, sharpness: float = SHARPNESS, text: str = "text", ident: str = "doc_id", digest: bool = False) -> DataFrame:

@@ -92,3 +92,26 @@ def test_driver_memory_is_given_back_between_stages(spark, monkeypatch):
     monkeypatch.setattr(cp, "give_back_driver", calls.append)
     assert cp.run(spark, SF).count() == spark.read.parquet(f"{SF}/documents.parquet").count()
     assert len(calls) == 2
+
+
+def test_workers_drop_what_other_stages_keep(monkeypatch):
+    import functools
+
+    from hyperembed.llm import common, sentence_pieces
+
+    assert sentence_pieces.worker_lattice in common.HELD
+    mine, other = functools.cache(lambda: [1]), functools.cache(lambda: [2])
+    monkeypatch.setattr(common, "HELD", [mine, other])
+    a, b = mine(), other()
+    assert list(common.tidy(lambda batches: iter([1]), mine)([])) == [1]
+    assert mine() is a and other() is not b
+
+
+def test_executors_give_memory_back(spark):
+    from hyperembed.llm import common
+
+    beans = spark._jvm.java.lang.management.ManagementFactory.getGarbageCollectorMXBeans()
+    count = lambda: sum(b.getCollectionCount() for b in beans)
+    before = count()
+    common.give_back_executors(spark)
+    assert count() > before
